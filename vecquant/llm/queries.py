@@ -6,12 +6,25 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
-
-from vecquant.llm import codec, packing, prefix_counts, url_rules
+from pyspark.sql import functions as F
+
+from vecquant.llm import (
+    backoff_lm,
+    codec,
+    feature_digest,
+    license_scan,
+    packing,
+    prefix_counts,
+    quality_rules,
+    rule_ensemble,
+    simhash,
+    url_rules,
+)
 
 #: The rules of the URL query.
 URL_RULES = [("block", "net/"), ("allow", "example.net/en/"), ("block", "example.com/de/"), ("allow", "org/fr/")]
-#: Tokenizer files by name.
+#: The score from which quality is predicted, and tokenizer files by name.
+QUALITY_THRESHOLD = 0.3
 RANKS_FILE, TOKENIZER_FILE = "byte_bpe_50k.tiktoken", "byte_bpe_50k.json"
 
 
@@ -25,6 +38,27 @@ def op1_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged.select("page_id", "host", "path", "rule", "verdict")
 
 
+def op2_feature_digest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return feature_digest.edit_sensitivity(read(spark, sf_dir, "documents"))
+
+
+def op3_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_rules.quality_rules(read(spark, sf_dir, "documents"))
+
+
+def op4_rule_ensemble(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents").select("doc_id", "text")
+    model = rule_ensemble.fit_on_documents(docs, read(spark, sf_dir, "labels"))
+    scored = rule_ensemble.score_documents(docs, model, ("doc_id",))
+    held = rule_ensemble.held_out(F.col("doc_id"))
+    predicted = (F.col("score") >= QUALITY_THRESHOLD).cast("int")
+    return scored.select("doc_id", held.alias("held_out"), "score", predicted.alias("predicted"))
+
+
+def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash.near_duplicates(read(spark, sf_dir, "documents"))
+
+
 def op6_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return codec.encode_documents(read(spark, sf_dir, "documents"), public_tokenizers.path(RANKS_FILE))
 
@@ -37,8 +71,27 @@ def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(read(spark, sf_dir, "documents"), public_tokenizers.path(TOKENIZER_FILE))
 
 
+def op9_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan.scan_licenses(read(spark, sf_dir, "documents"), license_scan.train())
+
+
+def op10_backoff_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    scored = backoff_lm.score_documents(read(spark, sf_dir, "documents"))
+    return scored.select("doc_id", "n_tokens", *[F.round(c, 4).alias(c) for c in ("log10_score", "mean_log10_score")])
+
+
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_url_rules, op6_byte_bpe, op7_token_counts, op8_packing)}
+    found = (
+        op1_url_rules, op2_feature_digest, op3_quality_rules, op4_rule_ensemble, op5_simhash,
+        op6_byte_bpe, op7_token_counts, op8_packing, op9_license_scan, op10_backoff_lm, pipeline,
+    )
+    return {f.__name__: f for f in found}
 
 
 def _rule_fits(host: str, path: str) -> str:
@@ -61,4 +114,5 @@ def oracle_sql() -> dict[str, str]:
                 SELECT page_id, translate(h, {letters}) AS host,
                     regexp_extract(substring(r, length(h) + 1), '^[^?#]*') AS path FROM split)
             SELECT page_id, host, path, {rule} AS rule, {verdict} AS verdict FROM parts""",
+        "op10_backoff_lm": backoff_lm.oracle_sql(),
     }
