@@ -12,6 +12,7 @@ its templates to be confirmed.
 from __future__ import annotations
 
 import re
+from collections.abc import Callable
 from dataclasses import dataclass
 from functools import reduce
 
@@ -179,9 +180,59 @@ def train(seed: int = 7, penalty: float = 2e-3, steps: int = 600) -> LicenseMode
     return LicenseModel(families, b, kept, temperature, threshold)
 
 
+def _bind(value: Column, body: Callable[[Column], Column]) -> Column:
+    """body(value), with the value worked out once however often the body names it."""
+    return F.transform(F.array(value), body)[0]
+
+
 def _any_word(text: Column, found: list[str]) -> Column:
-    lowered = F.lower(text)
-    return reduce(lambda a, b: a | b, [lowered.contains(w) for w in found], F.lit(False))
+    return _bind(F.lower(text), lambda low: reduce(lambda a, b: a | b, [low.contains(w) for w in found], F.lit(False)))
+
+
+def _spaced(text: Column) -> Column:
+    """The words of a paragraph, as words() has them, with a space on either side of each."""
+    plain = F.regexp_replace(F.lower(text), _NOT_WORD, " ")
+    return F.concat(F.lit(" "), F.regexp_replace(plain, r"(^|\s)\.+|\.+(?=\s|$)", "$1"), F.lit(" "))
+
+
+def _has(spaced: Column, term: str) -> Column:
+    return spaced.contains(f" {term} ")
+
+
+def _sum(parts: list[Column]) -> Column:
+    """A balanced sum, which keeps the expression shallow."""
+    while len(parts) > 1:
+        parts = [a + b for a, b in zip(parts[::2], parts[1::2], strict=False)] + parts[len(parts) & ~1 :]
+    return parts[0]
+
+
+def _judgement(spaced: Column, model: LicenseModel) -> Column:
+    """family and probability of a paragraph's best family."""
+
+    def logits(p: Column) -> Column:
+        return F.array(
+            *[
+                _sum([F.lit(float(b)), *[F.when(_has(p, t), float(w[k])).otherwise(0.0) for t, w in model.weights.items() if w[k]]])
+                for k, b in enumerate(model.bias)
+            ]
+        )
+
+    def best(z: Column) -> Column:
+        whole = F.aggregate(z, F.lit(1.0), lambda acc, x: acc + F.exp(x / model.temperature))
+        named = F.array(*[F.struct(z[k].alias("z"), F.lit(f).alias("family")) for k, f in enumerate(model.families)])
+        top = F.array_max(named)
+        return F.struct(top["family"].alias("family"), (F.exp(top["z"] / model.temperature) / whole).alias("probability"))
+
+    return _bind(_bind(spaced, logits), best)
+
+
+def _overlap(spaced: Column, family: Column) -> Column:
+    """The largest share of the words of one of the family's templates that the paragraph has."""
+    out = F.lit(None).cast("double")
+    for name, templates in TEMPLATES.items():
+        shares = [_sum([_has(spaced, w).cast("double") for w in sorted(set(words(t)))]) / len(set(words(t))) for t in templates]
+        out = F.when(family == name, F.greatest(*shares) if len(shares) > 1 else shares[0]).otherwise(out)
+    return out
 
 
 def scan_licenses(
@@ -192,60 +243,34 @@ def scan_licenses(
     Rows: the id, family (of the most probable confirmed paragraph, else null), probability,
     overlap (share of a template's words the paragraph has), families (all confirmed ones,
     sorted), n_paragraphs (confirmed ones) and n_unconfirmed (likely, but unlike each template).
-    A null or empty text has no findings. Every row stays, repeated ones too; ties go to the
-    paragraph with more overlap, then the family first by name. Other columns are ignored.
+    Paragraphs are lines. A null or empty text has no findings. Every row stays, repeated ones
+    too; ties go to more overlap, then the family last by name. Other columns are ignored.
     """
     stems = model.anchors()
-    text = F.col("text")
-    zeros = F.array(*[F.lit(0.0) for _ in model.families])
-    start = F.array(*[F.lit(float(b)) for b in model.bias])
-    weights = F.map_from_arrays(
-        F.array(*[F.lit(t) for t in model.weights]),
-        F.array(*[F.array(*[F.lit(float(x)) for x in v]) for v in model.weights.values()]),
-    )
-
-    def split(p: Column) -> Column:
-        parts = F.transform(F.split(F.lower(p), _NOT_WORD), lambda w: F.regexp_replace(w, r"^\.+|\.+$", ""))
-        return F.filter(parts, lambda w: w != "")
-
-    def judged(w: Column) -> Column:
-        two = F.zip_with(w, F.slice(w, 2, 1_000_000_000), lambda a, b: F.concat(a, F.lit(" "), b))
-        every = F.array_distinct(F.concat(w, F.filter(two, lambda t: t.isNotNull())))
-        known = F.filter(every, lambda t: F.map_contains_key(weights, t))
-        logits = F.aggregate(known, start, lambda acc, t: F.zip_with(acc, F.coalesce(F.element_at(weights, t), zeros), lambda a, b: a + b))
-        powers = F.transform(logits, lambda z: F.exp(z / model.temperature))
-        whole = F.aggregate(powers, F.lit(1.0), lambda a, e: a + e)
-        own = F.array_distinct(w)
-        options = []
-        for k, family in enumerate(model.families):
-            shares = [F.size(F.array_intersect(own, F.array(*map(F.lit, sorted(set(words(t))))))) / len(set(words(t))) for t in TEMPLATES[family]]
-            best = F.greatest(*shares) if len(shares) > 1 else shares[0]
-            options.append(F.struct((powers[k] / whole).alias("probability"), best.alias("overlap"), F.lit(family).alias("family")))
-        return F.reduce(
-            F.array(*options[1:]),
-            options[0],
-            lambda a, b: F.when((b.probability > a.probability), b).otherwise(a),
-        )
-
     source = docs.select(F.col(id_column).alias("id"), F.coalesce(F.col(text_column), F.lit("")).alias("text"))
-    lines = F.when(_any_word(text, stems), F.filter(F.split(text, "\n"), lambda p: _any_word(p, stems)))
-    found = F.filter(F.transform(F.coalesce(lines, F.array().cast("array<string>")), lambda p: judged(split(p))), lambda j: j.probability >= model.threshold)
-    rows = source.select("id", found.alias("found"))
-    good = F.filter("found", lambda j: j.overlap >= min_overlap)
-    rows = rows.select("id", "found", good.alias("good"))
-    best = F.reduce(
-        "good",
-        F.struct(F.lit(-1.0).alias("probability"), F.lit(0.0).alias("overlap"), F.lit(None).cast("string").alias("family")),
-        lambda a, b: F.when((b.probability > a.probability) | ((b.probability == a.probability) & (b.overlap > a.overlap)), b).otherwise(a),
+    source = source.withColumn("code", F.xxhash64("text"))
+    lines = source.where(_any_word(F.col("text"), stems)).select("id", "code", F.posexplode(F.split("text", "\n")).alias("place", "line"))
+    spaced = lines.where(_any_word(F.col("line"), stems)).select("id", "code", "place", _spaced(F.col("line")).alias("spaced"))
+    judged = spaced.select("id", "code", "place", "spaced", _judgement(F.col("spaced"), model).alias("j"))
+    likely = judged.where(F.col("j.probability") >= model.threshold)
+    found = likely.select("id", "code", "place", "j", _overlap(F.col("spaced"), F.col("j.family")).alias("overlap"))
+    # Repeated rows have the same findings, which count once.
+    found = found.groupBy("id", "code", "place").agg(F.first("j").alias("j"), F.first("overlap").alias("overlap"))
+    good = F.col("overlap") >= min_overlap
+    per_text = found.groupBy("id", "code").agg(
+        F.max(F.when(good, F.struct("j.probability", "overlap", "j.family"))).alias("best"),
+        F.array_join(F.array_sort(F.collect_set(F.when(good, F.col("j.family")))), ",").alias("families"),
+        F.count(F.when(good, 1)).alias("n_paragraphs"),
+        F.count(F.when(~good, 1)).alias("n_unconfirmed"),
     )
-    rows = rows.select("id", "found", "good", best.alias("best"))
-    none = F.size("good") == 0
-    return rows.select(
-        F.col("id").alias(id_column),
-        F.col("best.family").alias("family"),
-        F.when(~none, F.col("best.probability")).alias("probability"),
-        F.when(~none, F.col("best.overlap")).alias("overlap"),
-        F.array_join(F.array_sort(F.array_distinct(F.transform("good", lambda j: j.family))), ",").alias("families"),
-        F.size("good").alias("n_paragraphs"),
-        (F.size("found") - F.size("good")).alias("n_unconfirmed"),
+    rows, own = source.select("id", "code").alias("r"), per_text.alias("f")
+    joined = rows.join(own, F.col("r.id").eqNullSafe(F.col("f.id")) & (F.col("r.code") == F.col("f.code")), "left")
+    return joined.select(
+        F.col("r.id").alias(id_column),
+        F.col("f.best.family").alias("family"),
+        F.col("f.best.probability").alias("probability"),
+        F.col("f.best.overlap").alias("overlap"),
+        F.coalesce("f.families", F.lit("")).alias("families"),
+        F.coalesce("f.n_paragraphs", F.lit(0)).alias("n_paragraphs"),
+        F.coalesce("f.n_unconfirmed", F.lit(0)).alias("n_unconfirmed"),
     )
