@@ -14,6 +14,11 @@ def _col(v: Value) -> Column:
     return v if isinstance(v, Column) else F.lit(float(v))
 
 
+def bind(value: Column, body: Callable[[Column], Column]) -> Column:
+    """body(value) with the value worked out once, however often the body names it."""
+    return F.transform(F.array(value), body)[0]
+
+
 def logistic(x: Column, alpha: Value, x0: Value) -> Column:
     return 1 / (1 + F.exp(-_col(alpha) * (x - _col(x0))))
 
@@ -32,22 +37,20 @@ def logit2(y: Column, alpha: Value, x0: Value) -> Column:
 
 def pwl_log2(z: Column) -> Column:
     """Mantissa and exponent by log2, put right where log2 rounds across a power of two."""
-    p = F.floor(F.log2(z)) + 1
-    m = z / F.pow(F.lit(2.0), p)
-    up, down = m >= 1, m < 0.5
-    p = F.when(up, p + 1).when(down, p - 1).otherwise(p)
-    m = F.when(up, m / 2).when(down, m * 2).otherwise(m)
-    return 2 * (m - 1) + p
+
+    def with_exponent(z: Column, p: Column) -> Column:
+        m = z / F.pow(F.lit(2.0), p)
+        return F.when(m >= 1, 2 * (m / 2 - 1) + p + 1).when(m < 0.5, 2 * (m * 2 - 1) + p - 1).otherwise(2 * (m - 1) + p)
+
+    return bind(z, lambda v: bind(F.floor(F.log2(v)) + 1, lambda p: with_exponent(v, p)))
 
 
 def pwl_exp2(v: Column) -> Column:
-    p = F.floor(v + 1)
-    return ((v - p) / 2 + 1) * F.pow(F.lit(2.0), p)
+    return bind(v, lambda u: bind(F.floor(u + 1), lambda p: ((u - p) / 2 + 1) * F.pow(F.lit(2.0), p)))
 
 
 def pwl_logistic(x: Column, alpha: Value, x0: Value) -> Column:
-    z = pwl_exp2(_col(alpha) * (x - _col(x0)))
-    return z / (z + 1)
+    return bind(pwl_exp2(_col(alpha) * (x - _col(x0))), lambda z: z / (z + 1))
 
 
 def pwl_logit(y: Column, alpha: Value, x0: Value) -> Column:
@@ -79,7 +82,7 @@ def bend(curve: str, x: Column, lo: Column, hi: Column, p0: Value = 1.0, p1: Val
     else:
         raw = _RAW[curve][0]
         low, high = raw(lo / width, p0, p1), raw(hi / width, p0, p1)
-        bent = (raw(x / width, p0, p1) - low) / (high - low)
+        bent = bind(low, lambda a: (raw(x / width, p0, p1) - a) / (high - a))
     return F.when(width > 0, bent).otherwise(0.0)
 
 
@@ -92,7 +95,7 @@ def unbend(curve: str, y: Column, lo: Column, hi: Column, p0: Value = 1.0, p1: V
     else:
         raw, inverse = _RAW[curve]
         low, high = raw(lo / width, p0, p1), raw(hi / width, p0, p1)
-        value = width * inverse((high - low) * y + low, p0, p1)
+        value = width * inverse(bind(low, lambda a: (high - a) * y + a), p0, p1)
     return F.when(width > 0, value).otherwise(lo)
 
 

@@ -21,22 +21,29 @@ def long_form(df: DataFrame, vector: str = "embedding") -> DataFrame:
     return long.select("vec_id", "dim", F.col("value").cast("double").alias("value"), "lo", "hi")
 
 
-def error_of(curve: str, p0: Column | float = 1.0, p1: Column | float = 1.0, bits: int = 8) -> Column:
-    """Squared round-trip error of one value of the long form."""
+def coded_form(df: DataFrame, curve: str, p0: float = 1.0, p1: float = 1.0, bits: int = 8, name: str = "code") -> DataFrame:
+    """The long form with the code of every value in a column of its own."""
+    code = expr.quantize(curve, F.col("value"), F.col("lo"), F.col("hi"), p0, p1, bits)
+    return (df if "value" in df.columns else long_form(df)).withColumn(name, code)
+
+
+def error_of(curve: str, p0: Column | float = 1.0, p1: Column | float = 1.0, bits: int = 8, code: str = "code") -> Column:
+    """Squared round-trip error of one value of the coded form."""
     x, lo, hi = F.col("value"), F.col("lo"), F.col("hi")
-    code = expr.quantize(curve, x, lo, hi, p0, p1, bits)
-    return F.pow(x - expr.dequantize(curve, code, lo, hi, p0, p1, bits), 2)
+    return F.pow(x - expr.dequantize(curve, F.col(code), lo, hi, p0, p1, bits), 2)
 
 
 def recon_loss(df: DataFrame, curve: str = "unif", p0: float = 1.0, p1: float = 1.0, bits: int = 8) -> DataFrame:
     """vec_id, loss with fixed parameters. The sum is partial before its exchange."""
-    return long_form(df).groupBy("vec_id").agg(F.sum(error_of(curve, p0, p1, bits)).alias("loss"))
+    coded = coded_form(df, curve, p0, p1, bits)
+    return coded.groupBy("vec_id").agg(F.sum(error_of(curve, p0, p1, bits)).alias("loss"))
 
 
 def gain(df: DataFrame, curve: str, p0: float, p1: float, bits: int = 8) -> DataFrame:
     """vec_id, uniform_loss, loss, gain with fixed parameters, in one pass."""
-    sums = long_form(df).groupBy("vec_id").agg(
-        F.sum(error_of("unif", bits=bits)).alias("uniform_loss"), F.sum(error_of(curve, p0, p1, bits)).alias("loss")
+    coded = coded_form(coded_form(df, "unif", bits=bits, name="flat"), curve, p0, p1, bits)
+    sums = coded.groupBy("vec_id").agg(
+        F.sum(error_of("unif", bits=bits, code="flat")).alias("uniform_loss"), F.sum(error_of(curve, p0, p1, bits)).alias("loss")
     )
     return sums.withColumn("gain", F.when(F.col("loss") > 0, F.col("uniform_loss") / F.col("loss")).otherwise(1.0))
 

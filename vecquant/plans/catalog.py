@@ -196,7 +196,7 @@ for _curve in ("kuma", "logi", "pwl"):
 @_add("kernel_equals_columns", "SELECT CAST(count(*) AS BIGINT) * 64 AS n_values, CAST(0 AS BIGINT) AS differences FROM embeddings")
 def kernel_equals_columns(spark: SparkSession, sf: str) -> DataFrame:
     """Values and differences of codes by the batch kernel and by columns; one in 100,000 may differ at a boundary."""
-    s = Search(curve="unif", bits=8)
+    s = Search(curve="unif", bits=8, split="contiguous")
     kernel = codec.encode(_e(spark, sf), s).select("vec_id", F.hex("codes").alias("k"))
     columns = _e(spark, sf).select("vec_id", expr.quantize_array("unif", F.transform("embedding", lambda v: v.cast("double")), bits=8).alias("c"))
     columns = columns.select("vec_id", F.array_join(F.transform("c", lambda c: F.lpad(F.hex(c.cast("long")), 2, "0")), "").alias("c"))
@@ -624,11 +624,11 @@ def _sql_functions(spark: SparkSession, sf: str) -> DataFrame:
 # --- streams ---------------------------------------------------------------------------------
 
 _EVENTS = "SELECT user_id % 5 AS k, ts, value FROM events"
-_WINDOW = "SELECT {start} AS start, {end} AS \"end\", count(*) AS n, " + q.r6("avg(value)", 4) + " AS mean FROM {source} GROUP BY 1, 2"
+_WINDOW = "SELECT {start} AS start, {end} AS \"end\", count(*) AS n, " + q.r6("avg(value)") + " AS mean FROM {source} GROUP BY 1, 2"
 
 
 def _windows(kind: str, **options: str) -> Query:
-    return lambda s, sf: encode.gain_windows(table(s, sf, "events"), kind, value="value", **options).withColumn("mean", r6("mean", 4))
+    return lambda s, sf: encode.gain_windows(table(s, sf, "events"), kind, value="value", **options).withColumn("mean", r6("mean"))
 
 
 _add("gain_tumbling", _WINDOW.format(start="date_trunc('hour', ts)", end="date_trunc('hour', ts) + INTERVAL 1 HOUR", source="events"))(_windows("tumbling"))
@@ -643,7 +643,7 @@ _add(
     "gain_session",
     f"""WITH e AS (SELECT user_id, ts, value, CASE WHEN ts <= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 1 HOUR THEN 0 ELSE 1 END AS fresh FROM events),
     s AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS g FROM e)
-    SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 1 HOUR AS "end", count(*) AS n, {q.r6('avg(value)', 4)} AS mean FROM s GROUP BY user_id, g""",
+    SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 1 HOUR AS "end", count(*) AS n, {q.r6('avg(value)')} AS mean FROM s GROUP BY user_id, g""",
 )(_windows("session", keys=("user_id",)))
 _add(
     "late_rows",
