@@ -137,8 +137,8 @@ def _scaled(curve: str) -> tuple[Query, str]:
         lo, hi = F.lit(-1.0), F.lit(1.0)
         rows = _grid(spark, sf).select((2 * F.col("x") - 1).alias("x"))
         h = expr.bend(curve, F.col("x"), lo, hi, p0, p1)
-        rows = rows.select("x", h.alias("h"))
-        return rows.select(r6("x").alias("x"), r6("h").alias("h"), r6(expr.unbend(curve, F.col("h"), lo, hi, p0, p1)).alias("back"))
+        rows = rows.select("x", h.alias("bent"))
+        return rows.select(r6("x").alias("x"), r6("bent").alias("h"), r6(expr.unbend(curve, F.col("bent"), lo, hi, p0, p1)).alias("back"))
 
     sql = f"""WITH g AS (SELECT 2 * x - 1 AS x, CAST(-1 AS DOUBLE) AS lo, CAST(1 AS DOUBLE) AS hi FROM {_GRID}),
         b AS (SELECT *, {q.bend(curve, 'x', p0=p0, p1=p1)} AS h FROM g)

@@ -23,7 +23,7 @@ def encode_stream(stream: DataFrame, s: Search, mean: list[float] | None = None)
 def gain_windows(df: DataFrame, kind: str = "tumbling", size: str = "1 hour", slide: str = "30 minutes", late: str = "10 minutes", time: str = "ts", value: str = "gain", keys: tuple[str, ...] = ()) -> DataFrame:
     """Counts and means of a value by tumbling, sliding or session windows; batch and streams alike."""
     window = {"tumbling": lambda: F.window(time, size), "sliding": lambda: F.window(time, size, slide), "session": lambda: F.session_window(time, size)}[kind]()
-    source = df.withWatermark(time, late) if df.isStreaming else df
+    source = _marked(df, time, late) if df.isStreaming else df
     rows = source.groupBy(*keys, window.alias("w")).agg(F.count("*").alias("n"), F.avg(value).alias("mean"))
     return rows.select(*keys, F.col("w.start").alias("start"), F.col("w.end").alias("end"), "n", "mean")
 
@@ -32,7 +32,12 @@ def dedup(stream: DataFrame, key: str = "vec_id", time: str = "ts", late: str =
     """One row a key within the watermark."""
     if not stream.isStreaming:
         return stream.dropDuplicates([key])
-    return stream.withWatermark(time, late).dropDuplicatesWithinWatermark([key])
+    return _marked(stream, time, late).dropDuplicatesWithinWatermark([key])
+
+
+def _marked(stream: DataFrame, time: str, late: str) -> DataFrame:
+    """Watermarks need times with a zone; times without one are taken in the session's."""
+    return stream.withColumn(time, F.col(time).cast("timestamp")).withWatermark(time, late)
 
 
 def late_rows(df: DataFrame, seconds: int, order: str, time: str = "ts") -> DataFrame:
