@@ -192,3 +192,18 @@ def file_bytes(spark, path: str) -> int:  # noqa: ANN001
 
 def footprint_ratio(spark, full: str | Path, coded: str | Path) -> float:  # noqa: ANN001
     return file_bytes(spark, str(full)) / max(1, file_bytes(spark, str(coded)))
+
+
+def recall_at_equal_time(sweep: DataFrame) -> DataFrame:
+    """r, recall_loss: coded recall against full precision interpolated at the same seconds.
+
+    sweep: store, r, recall, seconds. Points outside the times of full precision have no row.
+    """
+    order = Window.orderBy("seconds")  # a row a factor: a handful
+    full = sweep.where("store = 'fp32'").select(
+        "seconds", "recall", F.lead("seconds").over(order).alias("next_s"), F.lead("recall").over(order).alias("next_r")
+    )
+    coded = sweep.where("store = 'coded'").select("r", F.col("seconds").alias("s"), F.col("recall").alias("own"))
+    joined = coded.join(full, (F.col("s") >= F.col("seconds")) & (F.col("s") < F.col("next_s")))
+    share = (F.col("s") - F.col("seconds")) / (F.col("next_s") - F.col("seconds"))
+    return joined.select("r", (F.col("recall") + share * (F.col("next_r") - F.col("recall")) - F.col("own")).alias("recall_loss"))

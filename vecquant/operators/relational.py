@@ -94,3 +94,30 @@ def common(a: DataFrame, b: DataFrame) -> DataFrame:
 
 def only_first(a: DataFrame, b: DataFrame) -> DataFrame:
     return a.select("query_id", "vec_id").exceptAll(b.select("query_id", "vec_id"))
+
+
+def quantiles(df: DataFrame, value: str, shares: list[float], *by: str, how: str = "exact") -> DataFrame:
+    """Quantiles of a column per group: exact, approximate (bounded error), or from a mergeable sketch."""
+    if how == "exact":
+        found = F.percentile(value, F.array(*map(F.lit, shares)))
+    elif how == "approx":
+        found = F.percentile_approx(value, shares, 10_000)
+    elif how == "sketch":
+        grouped = df.groupBy(*by).agg(F.expr(f"kll_sketch_agg_double(CAST({value} AS DOUBLE))").alias("s"))
+        picked = F.array(*[F.expr(f"kll_sketch_get_quantile_double(s, CAST({p} AS DOUBLE))") for p in shares])
+        return grouped.select(*by, picked.alias("quantiles"))
+    else:
+        raise ValueError(how)
+    return df.groupBy(*by).agg(found.alias("quantiles"))
+
+
+def code_map(codes: DataFrame) -> DataFrame:
+    """vec_id and a map from each used code to its count. A vector has at most 2**bits entries."""
+    counts = codes.groupBy("vec_id", "code").agg(F.count("*").alias("n"))
+    return counts.groupBy("vec_id").agg(F.map_from_entries(F.sort_array(F.collect_list(F.struct("code", "n")))).alias("codes"))
+
+
+def rank_bands(df: DataFrame, key: str, order: list, bands: int) -> DataFrame:  # noqa: ANN001
+    """Each row's band of equal size and its share of lower rows, within its key."""
+    own = Window.partitionBy(key).orderBy(*order)
+    return df.withColumns({"band": F.ntile(bands).over(own), "share_below": F.percent_rank().over(own)})

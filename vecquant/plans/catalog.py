@@ -609,6 +609,26 @@ _add("supplier_arrays_codes", _array_codes_sql("SELECT l_suppkey AS vec_id, l_ex
 _add("props_json", "SELECT event_type, count(*) AS n, count(DISTINCT json_extract_string(props, '$.' || json_keys(props)[1])) AS firsts FROM events GROUP BY event_type")(
     lambda s, sf: table(s, sf, "events").select("event_type", F.map_values(F.from_json("props", "map<string,string>"))[0].alias("v")).groupBy("event_type").agg(F.count("*").alias("n"), F.count_distinct("v").alias("firsts"))
 )
+_add("value_quantiles", f"WITH {q.LONG} SELECT {q.r6('quantile_cont(value, 0.1)')} AS a, {q.r6('quantile_cont(value, 0.5)')} AS b, {q.r6('quantile_cont(value, 0.9)')} AS c FROM long")(
+    lambda s, sf: relational.quantiles(_long(s, sf), "value", [0.1, 0.5, 0.9]).select(*[r6(F.col("quantiles")[i]).alias(n) for i, n in enumerate("abc")])
+)
+for _how in ("approx", "sketch"):
+    _add(f"value_quantiles_{_how}", "SELECT true AS near")(lambda s, sf, h=_how: _near_quantiles(s, sf, h))
+_add("code_map", f"WITH {q.LONG}, c AS (SELECT vec_id, {q.code('unif', 4)} AS code FROM long), n AS (SELECT vec_id, code, count(*) AS n FROM c GROUP BY vec_id, code) SELECT vec_id, count(*) AS levels, max(n) AS most FROM n GROUP BY vec_id")(
+    lambda s, sf: relational.code_map(_codes("unif", 4, s, sf)).select("vec_id", F.size("codes").cast("long").alias("levels"), F.array_max(F.map_values("codes")).alias("most"))
+)
+_add("rank_bands", "SELECT label, vec_id, CAST(ntile(4) OVER w AS INTEGER) AS band, round(percent_rank() OVER w, 6) + 0.0 AS share_below FROM embeddings WINDOW w AS (PARTITION BY label ORDER BY vec_id)")(
+    lambda s, sf: relational.rank_bands(_e(s, sf).select("label", "vec_id"), "label", ["vec_id"], 4).withColumn("share_below", r6("share_below"))
+)
+
+
+def _near_quantiles(spark: SparkSession, sf: str, how: str) -> DataFrame:
+    """Whether approximate quantiles are within 0.02 of the exact ones."""
+    long, shares = _long(spark, sf), [0.1, 0.5, 0.9]
+    both = relational.quantiles(long, "value", shares).crossJoin(relational.quantiles(long, "value", shares, how=how).withColumnRenamed("quantiles", "other"))
+    return both.select(F.forall(F.zip_with("quantiles", "other", lambda a, b: F.abs(a - b)), lambda v: v < 0.02).alias("near"))
+
+
 _add("stable_sample")(lambda s, sf: prep.sample(_e(s, sf), 0.2, 3).select("vec_id"))
 _add("sql_functions")(lambda s, sf: _sql_functions(s, sf))
 
@@ -675,6 +695,11 @@ for _name, _f in {
     "ablations": workloads.ablations,
     "throughput": workloads.throughput,
     "layout_models": workloads.layout_models,
+    "rerank_latency": workloads.rerank_latency,
+    "recall_at_equal_time": lambda s, sf: measures.recall_at_equal_time(workloads.rerank_latency(s, sf)),
+    "recall_loss_at_equal_r": lambda s, sf: measures.recall_delta(workloads.rerank_sweep(s, sf)),
+    "text_gains_4bit": lambda s, sf: workloads.text_gains(s, sf, 768, 4),
+    "subvectors_8bit": lambda s, sf: workloads.subvectors(s, sf, 8, ms=(1, 2, 4)),
 }.items():
     _add(f"w_{_name}")(_f)
 _add("w_flat_prior", "SELECT true AS near_one")(lambda s, sf: workloads.flat_prior(s, sf).select(F.col("ratio").between(0.95, 1.05).alias("near_one")))

@@ -74,3 +74,10 @@ def timed(df: DataFrame) -> float:
     began = time.perf_counter()
     df.write.format("noop").mode("overwrite").save()
     return time.perf_counter() - began
+
+
+def latency(make, repeats: int, queries: int) -> tuple[float, float, float, float]:  # noqa: ANN001
+    """Mean, median and 95th percentile of seconds a query, and queries a second, over repeated runs."""
+    seconds = sorted(timed(make()) / max(1, queries) for _ in range(repeats))
+    mean = sum(seconds) / len(seconds)
+    return mean, seconds[len(seconds) // 2], seconds[min(len(seconds) - 1, int(0.95 * len(seconds)))], 1 / mean

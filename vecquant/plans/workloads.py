@@ -158,6 +158,27 @@ def rerank_sweep(spark: SparkSession, sf_dir: str, d: int = 768, k: int = 10) ->
     return search.rerank_sweep(candidates, stores_, queries, search.exact_topk(base, queries, k), k, FACTORS)
 
 
+def rerank_latency(spark: SparkSession, sf_dir: str, k: int = 10, factors: tuple[float, ...] = (1, 2, 5, 10, 20)) -> DataFrame:
+    """store, r, recall, seconds a query: candidates by product quantization, timed from fetch to rank."""
+    base, queries = search.holdout(embeddings(spark, sf_dir))
+    base, queries = base.persist(), queries.persist()
+    book = pq.train(base, 4, 256, 5)
+    candidates = pq.scan_topk(pq.encode(base, book), book, queries, int(k * max(factors))).persist()
+    mean, s = prep.fit_mean(base), Search(m=2, max_iter=20)
+    coded = codec.encode(base, s, mean).persist()
+    truth = search.exact_topk(base, queries, k).persist()
+    n, rows = queries.count(), []
+    kinds = {"fp32": (base, None), "coded": (coded, lambda c: codec.decode(c, s, len(mean), mean))}
+    for name, (store, decode) in kinds.items():
+        for r in factors:
+            found = search.rerank(candidates, store, queries, k, r, decode)
+            recall = measures.recall_at_k(found, truth, k).agg(F.avg("recall")).first()[0]
+            rows.append((name, float(r), recall, cost.timed(found) / n))
+    for df in (base, queries, candidates, coded, truth):
+        df.unpersist()
+    return spark.createDataFrame(rows, "store string, r double, recall double, seconds double")
+
+
 def density(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.value_density(table(spark, sf_dir, "embeddings"), [0, 1, 2, 3])
 
