@@ -218,7 +218,7 @@ def edit_sensitivity(
     copies = source.join(F.broadcast(keys), match).groupBy("to_range").agg(F.first("id").alias("id"), F.first("text").alias("text"), F.first(source.tie).alias("tie"))
     rows = source.select("range", "id", "text", "tie", F.lit(0).alias("copy"))
     rows = rows.unionByName(copies.select(F.col("to_range").alias("range"), "id", "text", "tie", F.lit(1).alias("copy")))
-    dealt = rows.repartition(max(1, last + 1), "range").sortWithinPartitions("range", "copy", F.desc_nulls_last("id"), F.desc("tie"))
+    dealt = rows.repartitionById(max(1, last + 1), F.col("range")).sortWithinPartitions("range", "copy", F.desc_nulls_last("id"), F.desc("tie"))
     names = ["id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"]
 
     def compare(rows: list[tuple]) -> pa.RecordBatch:
