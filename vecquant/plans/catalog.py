@@ -684,7 +684,7 @@ for _name, _f in {
     "gains_8bit": workloads.gains,
     "gains_4bit": lambda s, sf: workloads.gains(s, sf, 4),
     "curve_duel": workloads.curve_duel,
-    "param_spread": workloads.spread,
+    "param_spread": workloads.parameter_spread,
     "alpha_shift": workloads.alpha_shift,
     "text_gains": workloads.text_gains,
     "subvectors_4bit": workloads.subvectors,

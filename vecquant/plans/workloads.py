@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import tempfile
 import uuid
 from dataclasses import replace
 
@@ -22,14 +23,26 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def spread(df: DataFrame, key: str) -> DataFrame:
+    """The rows over the session's cores where the scan has fewer partitions; a large table stays as it is read."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores, key) if df.rdd.getNumPartitions() < cores else df
+
+
+def scratch(spark: SparkSession, name: str) -> str:
+    """A new folder under the shared one; a temporary folder only where the session names none."""
+    shared = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="vecquant-")
+    return f"{shared.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
 def embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The given vectors, spread over the session's cores: one file of few rows is one partition otherwise."""
-    return table(spark, sf_dir, "embeddings").select("vec_id", "embedding").repartition(spark.sparkContext.defaultParallelism, "vec_id")
+    """The given vectors."""
+    return spread(table(spark, sf_dir, "embeddings").select("vec_id", "embedding"), "vec_id")
 
 
 def text_set(spark: SparkSession, sf_dir: str, d: int = 768) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text").repartition(spark.sparkContext.defaultParallelism, "doc_id")
-    return features.text_vectors(docs, d)
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return features.text_vectors(spread(docs, "doc_id"), d)
 
 
 def text_queries(spark: SparkSession, sf_dir: str, d: int = 768) -> DataFrame:
@@ -97,7 +110,7 @@ def curve_duel(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.win_rate(found, "logi", "kuma").unionByName(measures.win_rate(found, "logi", "pwl"))
 
 
-def spread(spark: SparkSession, sf_dir: str) -> DataFrame:
+def parameter_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.param_spread(fits(embeddings(spark, sf_dir)), "curve")
 
 
@@ -118,7 +131,7 @@ def subvectors(spark: SparkSession, sf_dir: str, bits: int = 4, curve: str = "lo
     truth, out = search.exact_topk(base, queries, 10), None
     for m in ms:
         s = Search(curve=curve, bits=bits, m=m)
-        coded = codec.encode(base, s, mean)
+        coded = codec.encode(base, s, mean).persist()  # read three times below
         pairs = measures.pairs_of(base, codec.decode(coded, s, d, mean))
         found = search.coded_topk(coded, queries, s, d, 10, mean=mean)
         row = coded.agg(F.avg("gain").alias("gain")).crossJoin(measures.mean_recon(pairs))
@@ -131,8 +144,7 @@ def subvectors(spark: SparkSession, sf_dir: str, bits: int = 4, curve: str = "lo
 
 def footprint(spark: SparkSession, sf_dir: str, d: int = 768) -> DataFrame:
     """Bytes of files of full vectors and of codes, with the modelled index ratio."""
-    shared = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir")
-    root = f"{shared.rstrip('/')}/footprint-{uuid.uuid4().hex}"
+    root = scratch(spark, "footprint")
     base = text_set(spark, sf_dir, d)
     base.write.option("compression", "none").parquet(f"{root}/fp32")
     full = spark.read.schema(base.schema).parquet(f"{root}/fp32")
@@ -271,13 +283,9 @@ def throughput(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def stream_equals_batch(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rows that differ between vectors coded as a file stream and as a batch: none."""
-    import shutil
-    import tempfile
-
     from vecquant.streaming import encode
 
-    shared = spark.conf.get("spark.checkpoint.dir", None)
-    root = f"{shared.rstrip('/')}/stream-{uuid.uuid4().hex}" if shared else tempfile.mkdtemp(prefix="stream-")
+    root = scratch(spark, "stream")
     base = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
     base.repartition(5, "vec_id").write.mode("overwrite").parquet(f"{root}/in")
     s = Search(curve="pwl", fixed_iter=5)
@@ -289,6 +297,4 @@ def stream_equals_batch(spark: SparkSession, sf_dir: str) -> DataFrame:
     columns = ["vec_id", F.hex("codes").alias("codes"), F.col("params").cast("string").alias("params")]
     left, right = batch.select(*columns), made.select(*columns)
     n = left.exceptAll(right).count() + right.exceptAll(left).count()
-    if not shared:
-        shutil.rmtree(root, ignore_errors=True)
     return spark.createDataFrame([(n,)], "differences long")
