@@ -10,13 +10,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from vecquant.operators.pq import lloyd
-from vecquant.operators.prep import column, matrix
+from vecquant.operators.prep import bounded_sample, column, matrix
 from vecquant.operators.search import all_pairs, rank_rows
 
 
-def centroids(df: DataFrame, n: int, iters: int = 10, sample_rows: int = 50_000, seed: int = 0) -> np.ndarray:
-    """n centroids of a bounded sample: the rows whose id hashes lowest."""
-    rows = df.select("vec_id", "embedding").orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample_rows).toPandas().sort_values("vec_id")
+def centroids(df: DataFrame, n: int, iters: int = 10, sample_rows: int = 20_000, seed: int = 0) -> np.ndarray:
+    """n centroids of about sample_rows rows, which the driver gets."""
+    rows = bounded_sample(df.select("vec_id", "embedding"), sample_rows, seed).toPandas().sort_values("vec_id")
     return lloyd(np.array(rows["embedding"].tolist(), dtype=np.float64), n, iters, seed)
 
 

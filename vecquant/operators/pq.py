@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vecquant.operators.prep import column, lists, matrix
+from vecquant.operators.prep import bounded_sample, column, lists, matrix
 from vecquant.operators.search import TOPK, Best, collect_queries, rank_rows
 
 
@@ -38,10 +38,10 @@ def nearest(x: np.ndarray, centers: np.ndarray) -> np.ndarray:
 def train(df: DataFrame, group_dims: int = 4, centroids: int = 256, iters: int = 12, sample_rows: int = 50_000, seed: int = 0) -> np.ndarray:
     """Codebook [groups, centroids, group_dims] from a bounded sample, the groups trained apart.
 
-    sample_rows bounds the rows that are learned from: those whose id hashes lowest. The codebook
-    has d * centroids numbers.
+    About sample_rows rows are learned from where there are more, by a hash of the id. The
+    codebook has d * centroids numbers.
     """
-    sample = df.select("vec_id", "embedding").orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample_rows)
+    sample = bounded_sample(df.select("vec_id", "embedding"), sample_rows, seed)
     width = F.lit(group_dims)
     cut = sample.select(F.posexplode(F.transform(F.sequence(F.lit(0), (F.size("embedding") / width).cast("int") - 1), lambda g: F.slice("embedding", g * width + 1, width))).alias("part", "v"), "vec_id")
 

@@ -45,9 +45,9 @@ def validate_vectors(df: DataFrame, d: int, vector: str = "embedding") -> tuple[
     return marked.where("reason is null").drop("reason"), marked.where("reason is not null")
 
 
-def vector_length(df: DataFrame, vector: str = "embedding") -> int:
-    """The set's number of dimensions: the most frequent array length."""
-    row = df.where(F.size(vector) > 0).groupBy(F.size(vector).alias("d")).count().orderBy(F.desc("count"), "d").first()
+def vector_length(df: DataFrame, vector: str = "embedding", look_at: int = 1_000) -> int:
+    """The set's number of dimensions: the most frequent array length of its first rows."""
+    row = df.select(vector).where(F.size(vector) > 0).limit(look_at).groupBy(F.size(vector).alias("d")).count().orderBy(F.desc("count"), "d").first()
     return int(row.d) if row else 0
 
 
@@ -127,5 +127,11 @@ def sample(df: DataFrame, fraction: float, seed: int = 0, key: str = "vec_id") -
     return df.where(F.pmod(F.xxhash64(F.lit(seed), F.col(key)), F.lit(1_000_000)) < int(fraction * 1_000_000))
 
 
+def bounded_sample(df: DataFrame, rows: int, seed: int = 0, key: str = "vec_id") -> DataFrame:
+    """About `rows` rows, by a hash of the key, where there are more; nothing passes through the driver."""
+    n = df.count()
+    return df if n <= rows else sample(df, rows / n, seed, key)
+
+
 def bounds(vector: Column) -> tuple[Column, Column]:
     return F.array_min(vector), F.array_max(vector)

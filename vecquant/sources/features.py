@@ -7,7 +7,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from vecquant.operators.prep import column, lists
@@ -50,8 +50,10 @@ def text_vectors(df: DataFrame, d: int = 768, seed: int = 0, id_column: str = "d
 def group_arrays(df: DataFrame, key: str, value: str, order: list[str], size: int) -> DataFrame:
     """vec_id, embedding: the first `size` values of each key in a given order; keys with fewer have no row.
 
-    A key's rows are gathered to be ordered, so keys are to be bounded groups.
+    Ranks are cut before and after the exchange, so that no more than `size` rows of a key and
+    task move, and no more than `size` of a key are gathered.
     """
-    rows = df.groupBy(F.col(key).cast("long").alias("vec_id")).agg(F.sort_array(F.collect_list(F.struct(*order, value))).alias("rows"))
-    long_enough = rows.where(F.size("rows") >= size)
-    return long_enough.select("vec_id", F.transform(F.slice("rows", 1, size), lambda r: r[value].cast("float")).alias("embedding"))
+    rank = F.row_number().over(Window.partitionBy("vec_id").orderBy(*order, value))
+    ranked = df.select(F.col(key).cast("long").alias("vec_id"), *order, value).withColumn("rank", rank).where(F.col("rank") <= size)
+    rows = ranked.groupBy("vec_id").agg(F.sort_array(F.collect_list(F.struct("rank", F.col(value).cast("float").alias("v")))).alias("rows"))
+    return rows.where(F.size("rows") == size).select("vec_id", F.transform("rows", lambda r: r["v"]).alias("embedding"))
