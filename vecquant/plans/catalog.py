@@ -687,6 +687,8 @@ for _name, _f in {
     "param_spread": workloads.parameter_spread,
     "alpha_shift": workloads.alpha_shift,
     "text_gains": workloads.text_gains,
+    "wide_gains": workloads.wide_gains,
+    "wide_gains_4bit": lambda s, sf: workloads.wide_gains(s, sf, 1536, 4),
     "subvectors_4bit": workloads.subvectors,
     "footprint_768": workloads.footprint,
     "text_rerank_sweep": workloads.rerank_sweep,

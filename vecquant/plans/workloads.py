@@ -123,6 +123,16 @@ def text_gains(spark: SparkSession, sf_dir: str, d: int = 768, bits: int = 8) ->
     return measures.gain_summary(fits(text_set(spark, sf_dir, d), bits, names=("logi", "pwl"), s=Search(max_iter=15)), "curve")
 
 
+def wide_gains(spark: SparkSession, sf_dir: str, d: int = 1536, bits: int = 8) -> DataFrame:
+    """Gains on vectors of the published length, of the benchmark texts, by curve and kind of result."""
+    base, out = spread(features.text_vectors(table(spark, sf_dir, "benchmark"), d, id_column="item_id"), "vec_id"), None
+    for kind, s in (("last_mean", Search()), ("best_sample", Search(keep_best=True))):
+        one = fits(base, bits, s=s).withColumn("result", F.lit(kind))
+        out = one if out is None else out.unionByName(one)
+    rows = out.groupBy("curve", "result").agg(F.count("*").alias("n"), F.avg("gain").alias("mean"), F.min("gain").alias("least"), F.max("gain").alias("most"), F.avg("iters").alias("iters"))
+    return rows
+
+
 def subvectors(spark: SparkSession, sf_dir: str, bits: int = 4, curve: str = "logi", ms: tuple[int, ...] = (1, 2, 4, 8)) -> DataFrame:
     """m, mean gain, mean squared error, mean dot error, mean average precision."""
     base, queries = search.holdout(embeddings(spark, sf_dir))
