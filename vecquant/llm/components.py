@@ -2,8 +2,9 @@
 
 Links are rewired toward the smallest node in reach until every node hangs on its component's
 smallest one. Each round cuts lineage with a checkpoint in the shared folder, and no node's
-links are gathered in one task: smallest neighbours come from partial aggregates, and the joins
-back are plain equi-joins, which adaptive execution splits where a node has very many links.
+links are gathered in one task: smallest neighbours come from partial aggregates, which are
+written before they are joined back, so that both sides of a join are plain exchanges and
+adaptive execution can split a node that has very many links.
 """
 
 from __future__ import annotations
@@ -26,11 +27,11 @@ def smallest_reachable(links: DataFrame, rounds: int = 60) -> DataFrame:
         if not mark[0]:
             break
         both = edges.select("u", "v").union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
+        low = cut_lineage(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m")))
         large = edges.select(F.col("v").alias("u"), F.col("u").alias("w")).join(low, "u").select(F.col("w").alias("u"), F.col("m").alias("v"))
         # Keep each node's own tie to its smallest neighbour, so that nothing comes apart.
-        large = large.union(low.select("u", F.col("m").alias("v"))).where("u <> v").distinct()
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
+        large = cut_lineage(large.union(low.select("u", F.col("m").alias("v"))).where("u <> v").distinct())
+        least = cut_lineage(large.groupBy("u").agg(F.min("v").alias("m")))
         small = large.join(least, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
         small = small.union(least.select("u", F.col("m").alias("v")))
         small = small.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u <> v")

@@ -260,7 +260,9 @@ def near_duplicates(
         links = ties.union(known.select(F.col("code").alias("a"), F.col("part").alias("b")))
         parts = smallest_reachable(links)
         known = lowest.join(parts, lowest.code == parts.node, "left").select("code", "least_id", F.coalesce("component", "code").alias("part"))
-    roots = known.groupBy("part").agg(F.min("least_id").alias("component_id"))
+    # Written first, so that a part with very many codes can be split in the join.
+    known = cut_lineage(known)
+    roots = cut_lineage(known.groupBy("part").agg(F.min("least_id").alias("component_id")))
     by_code = known.join(roots, "part").select("code", "component_id")
     rows = prints.join(by_code, "code", "left")
     hexed = F.lower(F.lpad(F.hex("code"), 16, "0"))
