@@ -173,7 +173,8 @@ class RankedEncoder:
         import tiktoken
 
         self._special = [t["content"] for t in json.loads(definition).get("added_tokens", [])]
-        self._library = _Library(definition)
+        self._definition = definition
+        self._library: _Library | None = None
         table = byte_table(definition)
         ranks = {t: i for i, t in enumerate(table) if t and t.decode("utf-8", "replace") not in self._special}
         model = tiktoken.Encoding("ranked", pat_str=SPLIT_PATTERN, mergeable_ranks=ranks, special_tokens={})
@@ -182,7 +183,8 @@ class RankedEncoder:
     def encode(self, text: str) -> bytes:
         """Ids as little-endian unsigned 32-bit integers."""
         for s in self._special:
-            if s in text:
+            if s in text:  # rare, so the library is made at first need
+                self._library = self._library or _Library(self._definition)
                 return self._library(text).tobytes()
         ids = array("I", self._ordinary(text))
         if sys.byteorder == "big":
