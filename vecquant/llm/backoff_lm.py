@@ -140,7 +140,7 @@ def score_documents(
     order: int = 2,
     leave_out: bool = True,
     block_chars: int = 12_000_000,
-    max_blocks: int = 100_000,
+    blocks_range: tuple[int, int] = (64, 100_000),
 ) -> DataFrame:
     """doc_id, n_tokens, log10_score (sum over words), mean_log10_score of every row.
 
@@ -153,7 +153,8 @@ def score_documents(
     kind = docs.schema[id_column].dataType
     source = docs.select(F.col(id_column).alias("id"), F.coalesce(F.col(text_column), F.lit("")).alias("text"))
     size = source.agg(F.sum(F.length("text")).alias("n")).first().n or 0
-    blocks = int(min(max_blocks, max(1, -(-size // block_chars))))
+    # Enough blocks to spread a small table over tasks; they only set how rows are dealt.
+    blocks = int(min(blocks_range[1], max(blocks_range[0], -(-size // block_chars))))
     dealt = source.withColumn("block", F.pmod(F.xxhash64(F.col("id"), F.xxhash64("text")), F.lit(blocks)).cast("int"))
 
     def ask(table: pa.Table) -> pa.Table:
@@ -192,7 +193,8 @@ def score_documents(
         columns = {"id": texts["id"], **{k: pa.array(sums[k].astype(np.float64 if k == "log_sum" else np.int64)) for k in SUMS}}
         return pa.table(columns)
 
-    asked = dealt.select("block", "text").groupBy("block").applyInArrow(ask, "bucket int, block int, keys binary, counts binary")
+    # The same columns on both sides, so that texts are dealt once.
+    asked = dealt.groupBy("block").applyInArrow(ask, "bucket int, block int, keys binary, counts binary")
     replies = asked.groupBy("bucket").applyInArrow(answer, "block int, bucket int, totals binary")
     schema = T.StructType([T.StructField("id", kind), T.StructField("n_tokens", T.LongType()), T.StructField("log_sum", T.DoubleType()), T.StructField("n_single", T.LongType()), T.StructField("n_unseen", T.LongType())])
     sums = saved(dealt.groupBy("block").cogroup(replies.groupBy("block")).applyInArrow(score, schema))
