@@ -139,7 +139,7 @@ def score_documents(
     text_column: str = "text",
     order: int = 2,
     leave_out: bool = True,
-    block_chars: int = 12_000_000,
+    block_chars: int = 8_000_000,
     blocks_range: tuple[int, int] = (64, 100_000),
 ) -> DataFrame:
     """doc_id, n_tokens, log10_score (sum over words), mean_log10_score of every row.
