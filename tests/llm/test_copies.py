@@ -144,3 +144,40 @@ def test_pipeline_stages(spark):
     assert {r.doc_id for r in packed.select("doc_id").distinct().collect()} == before
     whole = corpus_pipeline.run(spark, MIDDLE)
     assert {r.doc_id for r in whole.select("doc_id").distinct().collect()} == before
+
+
+def word_sets(texts):
+    out = []
+    for t in texts:
+        w = t.encode().lower().split()
+        out.append({tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set())
+    return out
+
+
+@pytest.mark.parametrize("chunk", [2_000_000, 300])
+def test_pipeline_dedup_links_all_similar_pairs(spark, chunk, monkeypatch):
+    import corpus_pipeline
+    from vecquant.llm import shingles
+
+    monkeypatch.setattr(shingles.links, "__defaults__", ("text", chunk))
+    rng, rows = np.random.default_rng(3), []
+    for g in range(6):
+        base = [f"w{x}" for x in rng.integers(0, 5000, 150)]
+        for c in range(12):
+            w = list(base)
+            for at in rng.choice(150, c % 5, replace=False):  # about 0.97 to 0.75 alike
+                w[at] = f"x{rng.integers(0, 10**6)}"
+            rows.append((100 * g + c, " ".join(w)))
+    rows += [(900, ""), (901, None), (902, "a b"), (903, "A  b"), (904, "a c")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    sets, parent = word_sets([t or "" for _, t in rows]), np.arange(len(rows))
+    for i, a in enumerate(sets):
+        for j in range(i + 1, len(sets)):
+            if a == sets[j] or len(a & sets[j]) >= 0.8 * len(a | sets[j]):
+                x, y = simhash._find(parent, i), simhash._find(parent, j)
+                parent[max(x, y)] = min(x, y)
+    least = {rows[i][0]: rows[simhash._find(parent, i)][0] for i in range(len(rows))}
+    found = {r.doc_id: r.component_id for r in simhash.similar_documents(docs).collect()}
+    assert found == least
+    kept = corpus_pipeline.near_duplicates(spark, docs, SMALL).collect()
+    assert sorted(r.doc_id for r in kept) == sorted(set(least.values()))

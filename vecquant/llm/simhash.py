@@ -10,7 +10,7 @@ still apart are passed on: a spanning forest, not all pairs.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from itertools import combinations
 
 import numpy as np
@@ -19,6 +19,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from vecquant.llm import shingles
 from vecquant.llm.common import cut_lineage, single_column, text_slices
 from vecquant.llm.components import smallest_reachable
 
@@ -249,9 +250,17 @@ def near_duplicates(
     fingerprint's component, or null. An empty table gives no rows. Ids are integers.
     """
     prints = cut_lineage(fingerprints(docs, id_column, text_column, width))
+    rows = _components(prints, lambda codes: link_codes(codes, limit))
+    hexed = F.lower(F.lpad(F.hex("code"), 16, "0"))
+    return rows.select(F.col("doc_id").alias(id_column), hexed.alias("fingerprint"), "component_id")
+
+
+def _components(prints: DataFrame, links_of: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """doc_id, code, component_id of every row of prints (doc_id, code), by links between distinct codes."""
+    prints = prints.select("doc_id", "code")
     lowest = prints.groupBy("code").agg(F.min("doc_id").alias("least_id"))
     lowest = cut_lineage(lowest)
-    parts = smallest_reachable(link_codes(lowest.select("code"), limit))
+    parts = smallest_reachable(links_of(lowest.select("code")))
     known = lowest.join(parts, lowest.code == parts.node, "left").select("code", "least_id", F.coalesce("component", "code").alias("part"))
     # A document that has several fingerprints (a repeated id) ties their parts together.
     repeated = prints.where("doc_id is not null").groupBy("doc_id").agg(F.min("code").alias("a"), F.max("code").alias("b")).where("a <> b")
@@ -264,9 +273,22 @@ def near_duplicates(
     known = cut_lineage(known)
     roots = cut_lineage(known.groupBy("part").agg(F.min("least_id").alias("component_id")))
     by_code = known.join(roots, "part").select("code", "component_id")
-    rows = prints.join(by_code, "code", "left")
-    hexed = F.lower(F.lpad(F.hex("code"), 16, "0"))
-    return rows.select(F.col("doc_id").alias(id_column), hexed.alias("fingerprint"), "component_id")
+    return prints.join(by_code, "code", "left").select("doc_id", "code", "component_id")
+
+
+def similar_documents(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
+    """doc_id, component_id: the smallest id reached by links of 5-word Jaccard similarity 0.8 or more.
+
+    Rows without words, repeated ids and null ids are treated as near_duplicates treats them.
+    """
+    prints = cut_lineage(shingles.codes(docs, id_column, text_column))
+    rows = _components(prints, lambda _: shingles.links(docs, prints, text_column))
+    return rows.select(F.col("doc_id").alias(id_column), "component_id")
+
+
+def keep_one_similar(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
+    """keep_one_per_group, with groups by 5-word Jaccard similarity 0.8 or more."""
+    return _keep_one(docs, id_column, text_column, similar_documents, shingles.codes)
 
 
 def keep_one_per_group(
@@ -277,10 +299,18 @@ def keep_one_per_group(
     Of repeated rows with that id one stays (the text that hashes lowest). Rows with a null id
     stay only where no member of their group has an id, one per group.
     """
+
+    def groups_of(source: DataFrame, key: str, text: str) -> DataFrame:
+        return near_duplicates(source, key, text, limit, width)
+
+    return _keep_one(docs, id_column, text_column, groups_of, lambda source, key, text: fingerprints(source, key, text, width))
+
+
+def _keep_one(docs: DataFrame, id_column: str, text_column: str, groups_of: Callable[..., DataFrame], codes_of: Callable[..., DataFrame]) -> DataFrame:
     names = [f"c{i}" for i in range(len(docs.columns))]
     key, text = names[docs.columns.index(id_column)], names[docs.columns.index(text_column)]
     source = docs.toDF(*names)
-    groups = near_duplicates(source, key, text, limit, width)
+    groups = groups_of(source, key, text)
     heads = groups.where(F.col(key) == F.col("component_id")).select(F.col(key).alias("head")).distinct()
     kept = source.join(heads, F.col(key) == F.col("head")).drop("head")
     # Repeated ids meet in one partition already; most ids have one row.
@@ -295,7 +325,7 @@ def keep_one_per_group(
     nameless = source.where(F.col(key).isNull())
     alone = groups.where(F.col(key).isNull() & F.col("component_id").isNull())
     if not alone.isEmpty():
-        prints = fingerprints(nameless.withColumn("row", F.xxhash64(text)), "row", text, width)
+        prints = codes_of(nameless.withColumn("row", F.xxhash64(text)), "row", text)
         heads = prints.groupBy("code").agg(F.min("doc_id").alias("row"))
         own = nameless.withColumn("row", F.xxhash64(text)).join(heads.select("row"), "row", "left_semi")
         kept = kept.unionByName(own.dropDuplicates(["row"]).drop("row"))
