@@ -78,3 +78,16 @@ def test_sql_functions(spark):
     assert spark.sql("select t.* from e, lateral pcq_trace(embedding, 'logi', 8, 1) t where vec_id = 1").count() >= 10
     codes = spark.sql("select pcq_codes(embedding, 'unif', 4, 0D, 0D) c from e").first().c
     assert min(codes) == 0 and max(codes) == 15
+
+
+def test_wide_gains_take_all_documents(spark, monkeypatch):
+    seen = []
+
+    def fits(base, bits, **kw):
+        seen.append({r.vec_id for r in base.select("vec_id").collect()})
+        return base.selectExpr("vec_id", "'logi' curve", "1.0D gain", "1 iters")
+
+    monkeypatch.setattr(workloads, "fits", fits)
+    workloads.wide_gains(spark, SMALL, d=16)
+    docs = {r.doc_id for r in spark.read.parquet(f"{SMALL}/documents.parquet").where("trim(text) <> ''").collect()}
+    assert seen == [docs, docs]

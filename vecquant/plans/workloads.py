@@ -124,8 +124,8 @@ def text_gains(spark: SparkSession, sf_dir: str, d: int = 768, bits: int = 8) ->
 
 
 def wide_gains(spark: SparkSession, sf_dir: str, d: int = 1536, bits: int = 8) -> DataFrame:
-    """Gains on vectors of the published length, of the benchmark texts, by curve and kind of result."""
-    base, out = spread(features.text_vectors(table(spark, sf_dir, "benchmark"), d, id_column="item_id"), "vec_id"), None
+    """Gains on vectors of the published length, of all documents, by curve and kind of result."""
+    base, out = text_set(spark, sf_dir, d), None
     for kind, s in (("last_mean", Search()), ("best_sample", Search(keep_best=True))):
         one = fits(base, bits, s=s).withColumn("result", F.lit(kind))
         out = one if out is None else out.unionByName(one)
