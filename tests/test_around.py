@@ -91,3 +91,16 @@ def test_wide_gains_take_all_documents(spark, monkeypatch):
     workloads.wide_gains(spark, SMALL, d=16)
     docs = {r.doc_id for r in spark.read.parquet(f"{SMALL}/documents.parquet").where("trim(text) <> ''").collect()}
     assert seen == [docs, docs]
+
+
+def test_text_fits_settle_with_all_curves(spark, monkeypatch):
+    seen = []
+
+    def fits(base, bits, names=("kuma", "logi", "pwl"), s=Search(), **kw):
+        seen.append((set(names), s.max_iter))
+        return base.selectExpr("vec_id", "'logi' curve", "1.0D gain", "1 iters")
+
+    monkeypatch.setattr(workloads, "fits", fits)
+    monkeypatch.setattr(workloads.measures, "gain_summary", lambda found, key: found)
+    workloads.text_gains(spark, SMALL, 16)
+    assert seen == [({"kuma", "logi", "pwl"}, Search().max_iter)]

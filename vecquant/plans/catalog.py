@@ -483,7 +483,7 @@ def graph_on_pq_rerank(spark: SparkSession, sf: str) -> DataFrame:
     book = pq.train(base, 4, 256, 5)
     index = graph.build(pq.decode(pq.encode(base, book), book), shards=8, degree=32, window=100)
     candidates = graph.search(index, queries, 100, 200)
-    s = Search(m=2, max_iter=20)
+    s = Search(m=2)
     mean = prep.fit_mean(base)
     stores = {"fp32": (base, None), "coded": (codec.encode(base, s, mean), lambda c: codec.decode(c, s, D, mean))}
     return search.rerank_sweep(candidates, stores, queries, search.exact_topk(base, queries, 10), 10, [1, 2, 5, 10])

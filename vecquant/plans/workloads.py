@@ -119,8 +119,8 @@ def alpha_shift(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def text_gains(spark: SparkSession, sf_dir: str, d: int = 768, bits: int = 8) -> DataFrame:
-    """Gains on text vectors with few iterations, per curve."""
-    return measures.gain_summary(fits(text_set(spark, sf_dir, d), bits, names=("logi", "pwl"), s=Search(max_iter=15)), "curve")
+    """Gains on text vectors, per curve."""
+    return measures.gain_summary(fits(text_set(spark, sf_dir, d), bits), "curve")
 
 
 def wide_gains(spark: SparkSession, sf_dir: str, d: int = 1536, bits: int = 8) -> DataFrame:
@@ -173,7 +173,7 @@ def rerank_sweep(spark: SparkSession, sf_dir: str, d: int = 768, k: int = 10) ->
     codes = pq.encode(base, book)
     candidates = pq.scan_topk(codes, book, queries, int(k * max(FACTORS))).persist()
     mean = prep.fit_mean(base)
-    s = Search(curve="logi", bits=8, m=2, max_iter=15)
+    s = Search(curve="logi", bits=8, m=2)
     fetched = base.join(candidates.select("vec_id").distinct(), "vec_id", "left_semi")
     coded = codec.encode(fetched, s, mean)
     stores_ = {"fp32": (base, None), "coded": (coded, lambda c: codec.decode(c, s, d, mean))}
@@ -186,7 +186,7 @@ def rerank_latency(spark: SparkSession, sf_dir: str, k: int = 10, factors: tuple
     base, queries = base.persist(), queries.persist()
     book = pq.train(base, 4, 256, 5)
     candidates = pq.scan_topk(pq.encode(base, book), book, queries, int(k * max(factors))).persist()
-    mean, s = prep.fit_mean(base), Search(m=2, max_iter=20)
+    mean, s = prep.fit_mean(base), Search(m=2)
     coded = codec.encode(base, s, mean).persist()
     truth = search.exact_topk(base, queries, k).persist()
     n, rows = queries.count(), []
