@@ -180,3 +180,10 @@ def test_backoff_scores(spark, order):
 def test_backoff_odd(spark, odd):
     assert backoff_lm.score_documents(odd).count() == len(ODD)
     assert backoff_lm.score_documents(odd.where("doc_id > 99")).count() == 0
+
+
+def test_reserved_rights_are_seen(spark):
+    rows = [(1, "a line\nAll rights reserved."), (2, None), (3, "ALL RIGHTS  RESERVED x\nall rights are reserved\nMIT"), (4, "overall rights reserved")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    found = {r.doc_id: (r.family, r.n_reserved) for r in license_scan.scan_licenses(docs, license_scan.train()).collect()}
+    assert found == {1: (None, 1), 2: (None, 0), 3: (None, 2), 4: (None, 0)}

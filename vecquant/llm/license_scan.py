@@ -80,6 +80,8 @@ OTHERS = [
 ]
 #: Words too plain to speak for a family alone.
 _PLAIN = frozenset("a all and any are at be by for from has in is it its may more not note of on or page see text that the this to use was will with without work you".split())
+#: Fixed value: notices that keep all rights, so that they grant no license.
+_RESERVED = r"(?i)\ball\s+rights\s+(?:are\s+)?reserved\b"
 _NOT_WORD = r"[^\p{L}\p{N}.]+"
 
 
@@ -243,7 +245,7 @@ def scan_licenses(
     Rows: the id, family (of the most probable confirmed paragraph, else null), probability,
     overlap (share of a template's words the paragraph has), families (all confirmed ones,
     sorted), n_paragraphs (confirmed ones) and n_unconfirmed (likely, but unlike each template).
-    Paragraphs are lines. A null or empty text has no findings. Every row stays, repeated ones
+    n_reserved counts notices that reserve all rights, which are of no family. Paragraphs are lines. A null or empty text has no findings. Every row stays, repeated ones
     too; ties go to more overlap, then the family last by name. Other columns are ignored.
     """
     stems = model.anchors()
@@ -263,7 +265,8 @@ def scan_licenses(
         F.count(F.when(good, 1)).alias("n_paragraphs"),
         F.count(F.when(~good, 1)).alias("n_unconfirmed"),
     )
-    rows, own = source.select("id", "code").alias("r"), per_text.alias("f")
+    reserved = F.regexp_count("text", F.lit(_RESERVED)).alias("n_reserved")
+    rows, own = source.select("id", "code", reserved).alias("r"), per_text.alias("f")
     joined = rows.join(own, F.col("r.id").eqNullSafe(F.col("f.id")) & (F.col("r.code") == F.col("f.code")), "left")
     return joined.select(
         F.col("r.id").alias(id_column),
@@ -273,4 +276,5 @@ def scan_licenses(
         F.coalesce("f.families", F.lit("")).alias("families"),
         F.coalesce("f.n_paragraphs", F.lit(0)).alias("n_paragraphs"),
         F.coalesce("f.n_unconfirmed", F.lit(0)).alias("n_unconfirmed"),
+        F.col("r.n_reserved").alias("n_reserved"),
     )
