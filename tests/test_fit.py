@@ -120,3 +120,9 @@ def test_best_curve_and_mixed_bits(spark):
     losses = {r.bits: r.l for r in rows}
     assert losses[8] < losses[4]
     assert replace(Search(), m=3).m == 3
+
+
+def test_length_and_mean_take_all_rows(spark):
+    odd = spark.range(1500).selectExpr("array(9.0F) embedding").coalesce(1)
+    rows = odd.unionByName(spark.range(2000).selectExpr("array(1.0F, 3.0F) embedding"))
+    assert prep.vector_length(rows) == 2 and prep.fit_mean(rows) == [1.0, 3.0]

@@ -45,9 +45,9 @@ def validate_vectors(df: DataFrame, d: int, vector: str = "embedding") -> tuple[
     return marked.where("reason is null").drop("reason"), marked.where("reason is not null")
 
 
-def vector_length(df: DataFrame, vector: str = "embedding", look_at: int = 1_000) -> int:
-    """The set's number of dimensions: the most frequent array length of its first rows."""
-    row = df.select(vector).where(F.size(vector) > 0).limit(look_at).groupBy(F.size(vector).alias("d")).count().orderBy(F.desc("count"), "d").first()
+def vector_length(df: DataFrame, vector: str = "embedding") -> int:
+    """The set's number of dimensions: the most frequent array length of all its rows."""
+    row = df.select(F.size(vector).alias("d")).where("d > 0").groupBy("d").count().orderBy(F.desc("count"), "d").first()
     return int(row.d) if row else 0
 
 
