@@ -1,6 +1,8 @@
 """Encoding, prefix counts and packing against the libraries themselves."""
 
+import base64
 import hashlib
+import time
 import zlib
 from collections import defaultdict
 
@@ -172,3 +174,42 @@ def test_packer_fills_every_window_but_one(lengths, waiting):
         total[row[0]] += row[2]
     assert dict(total) == dict(enumerate(lengths))
     assert sum(n not in (256, 512, 1024, 2048) for n in sizes.values()) <= 1
+
+
+def test_two_vocabularies_in_one_session(spark, tmp_path, library):
+    """Worker processes are reused; what they keep must follow the vocabulary."""
+    texts = [(i, f"The answer number {i} isn't known yet.") for i in range(40)]
+    docs = spark.createDataFrame(texts, "doc_id long, text string").repartition(2)
+    ranks = bpe.read_ranks(RANKS)
+    few = {t: r for t, r in ranks.items() if r < 600}
+    path, definition = tmp_path / "few.tiktoken", tmp_path / "few.json"
+    path.write_text("".join(f"{base64.b64encode(t).decode()} {r}\n" for t, r in few.items()))
+    definition.write_text(bpe.tokenizer_json(few))
+    small = Tokenizer.from_file(str(definition))
+    for _ in range(2):
+        for model, ranks_path, json_path in ((library, RANKS, JSON), (small, str(path), str(definition))):
+            ids = {i: model.encode(t, add_special_tokens=False).ids for i, t in texts}
+            coded = codec.encode_documents(docs, ranks_path, keep_ids=True)
+            assert {r.doc_id: r.ids for r in coded.collect()} == ids
+            assert {r.doc_id: r.text for r in codec.decode_documents(coded, ranks_path).collect()} == dict(texts)
+            assert {r.doc_id: r.n_tokens for r in prefix_counts.count_tokens(docs, json_path).collect()} == {i: len(x) for i, x in ids.items()}
+            cut = prefix_counts.truncate_to_budget(docs, json_path, 4).collect()
+            assert all(len(model.encode(r.text, add_special_tokens=False).ids) <= 4 for r in cut)
+            check_packing(packing.pack_documents(docs, json_path).collect(), ids)
+
+
+def test_long_texts_are_counted_in_linear_time(counter, library):
+    start = time.time()
+    letters = "".join(np.random.default_rng(0).choice(list("abcdefghij"), 300_000))
+    text = " ".join(letters[k : k + 7] for k in range(0, 300_000, 7)) * 4
+    for t in (letters[:20_000], text + "<|endoftext|>" + text, text * 2 + "\n x"):
+        assert counter.total(t) == len(library.encode(t, add_special_tokens=False).ids)
+    assert counter.total("-" * 200_000) == counter.counts("-" * 200_000)[-1]
+    counter.total(letters)
+    spaced = counter.counts(text[:400_000])
+    assert spaced[-1] == counter.total(text[:400_000]) and time.time() - start < 60
+
+
+def test_clashing_columns_of_packing(spark):
+    docs = spark.createDataFrame([(1, "a b", 5, "x"), (2, None, 6, "y")], "doc_id long, text string, start int, tier string")
+    assert sorted((r.doc_id, r.doc_tokens) for r in packing.pack_documents(docs, JSON).collect()) == [(1, 3), (2, 1)]

@@ -9,6 +9,7 @@ same ids wherever it stands, and pieces that recur are encoded once per worker.
 from __future__ import annotations
 
 import base64
+import hashlib
 import json
 import re
 import sys
@@ -22,7 +23,7 @@ from tokenizers import Tokenizer
 SPLIT_PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 CONTRACTIONS = ("'s", "'t", "'re", "'ve", "'m", "'ll", "'d")
 _ODD_SPACE = re.compile(r" (?:\s|$)")
-_CUT = re.compile(r" (?=\S)")
+CUT = re.compile(r" (?=\S)")
 
 
 def byte_alphabet() -> list[str]:
@@ -95,7 +96,7 @@ def byte_table(definition: str) -> list[bytes]:
 
 def words_of(text: str) -> list[str]:
     """Cut at single spaces that a non-space character follows; joined by spaces, they are the text."""
-    return text.split(" ") if _ODD_SPACE.search(text) is None else _CUT.split(text)
+    return text.split(" ") if _ODD_SPACE.search(text) is None else CUT.split(text)
 
 
 class _Library:
@@ -192,11 +193,17 @@ class RankedEncoder:
         return ids.tobytes()
 
 
-_KEPT: dict[str, object] = {}
+def digest(definition: str) -> str:
+    """Short name of a vocabulary definition, by its content."""
+    return hashlib.sha256(definition.encode()).hexdigest()[:16]
 
 
-def per_worker(key: str, make: Callable[[], object]) -> object:
-    """One object a worker process, made at first use."""
-    if key not in _KEPT:
-        _KEPT[key] = make()
-    return _KEPT[key]
+_KEPT: dict[str, tuple[str, object]] = {}
+
+
+def per_worker(role: str, vocabulary: str, make: Callable[[], object]) -> object:
+    """One object a worker process and role, made anew whenever the vocabulary's digest changes."""
+    known = _KEPT.get(role)
+    if known is None or known[0] != vocabulary:
+        known = _KEPT[role] = (vocabulary, make())
+    return known[1]

@@ -47,13 +47,13 @@ def encode_documents(
     any length are encoded whole. ranks_path is read on the driver only.
     """
     definition = bpe.tokenizer_json(bpe.read_ranks(ranks_path))
-    shipped = docs.sparkSession.sparkContext.broadcast(definition)
+    shipped, name = docs.sparkSession.sparkContext.broadcast(definition), bpe.digest(definition)
     kind = docs.schema[id_column].dataType.simpleString()
     fields = [pa.field("n_tokens", pa.int64()), pa.field("ids_sha256", pa.string()), pa.field("decoded_sha256", pa.string())]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = bpe.per_worker("codec", lambda: bpe.PieceEncoder(shipped.value))
-        table = bpe.per_worker("codec bytes", lambda: bpe.byte_table(shipped.value))
+        encoder = bpe.per_worker("codec", name, lambda: bpe.PieceEncoder(shipped.value))
+        table = bpe.per_worker("codec bytes", name, lambda: bpe.byte_table(shipped.value))
         for batch, texts in text_slices(batches, "text"):
             coded = encoder.encode(texts)
             counts = [len(x) // 4 for x in coded]
@@ -73,11 +73,12 @@ def encode_documents(
 
 def decode_documents(coded: DataFrame, ranks_path: str, id_column: str = "doc_id", ids_column: str = "ids") -> DataFrame:
     """Text of every row's ids; bytes that are no UTF-8 (a cut character) become U+FFFD."""
-    shipped = coded.sparkSession.sparkContext.broadcast(bpe.tokenizer_json(bpe.read_ranks(ranks_path)))
+    definition = bpe.tokenizer_json(bpe.read_ranks(ranks_path))
+    shipped, name = coded.sparkSession.sparkContext.broadcast(definition), bpe.digest(definition)
     kind = coded.schema[id_column].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = bpe.per_worker("codec bytes", lambda: bpe.byte_table(shipped.value))
+        table = bpe.per_worker("codec bytes", name, lambda: bpe.byte_table(shipped.value))
         for batch in batches:
             rows = single_column(batch, "ids").to_pylist()
             texts = [b"".join(table[i] for i in row or []).decode("utf-8", "replace") for row in rows]

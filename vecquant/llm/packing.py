@@ -161,7 +161,8 @@ def pack_documents(
     most `waiting` rests of less than the longest tier, and one slice of texts.
     """
     with open(definition_path, encoding="utf-8") as file:
-        shipped = docs.sparkSession.sparkContext.broadcast(file.read())
+        definition = file.read()
+    shipped, vocabulary = docs.sparkSession.sparkContext.broadcast(definition), bpe.digest(definition)
     field = docs.schema[id_column].dataType.simpleString()
     names = ["id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset", "tier", "step_group"]
     end = int(end_id).to_bytes(4, "little")
@@ -172,7 +173,7 @@ def pack_documents(
         return pa.RecordBatch.from_arrays(arrays, names=names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode = bpe.per_worker("ranked", lambda: bpe.RankedEncoder(shipped.value)).encode
+        encode = bpe.per_worker("ranked", vocabulary, lambda: bpe.RankedEncoder(shipped.value)).encode
         base = TaskContext.get().partitionId() << _WINDOW_BITS
         packer = TierPacker(base, tiers, step_tokens, waiting)
         kind = None

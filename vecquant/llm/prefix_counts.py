@@ -24,6 +24,8 @@ from vecquant.llm.common import single_column, text_slices
 
 
 _SPACE = regex.compile(r"\s+")
+#: Characters of a stretch of a long text, and of the longest words that are remembered.
+_STRETCH, _CACHED_CHARS = 1 << 20, 256
 
 
 class PrefixCounter:
@@ -38,6 +40,13 @@ class PrefixCounter:
         for content in self._special:
             self._token.pop(content.encode(), None)
         self._longest = max(map(len, self._token))
+        # Tokens by their bytes from last to first; a node's token is kept under -1.
+        self._suffixes: dict = {}
+        for token in self._token:
+            node = self._suffixes
+            for b in reversed(token):
+                node = node.setdefault(b, {})
+            node[-1] = token
         self._split = regex.compile(bpe.SPLIT_PATTERN)
         self._special_split = regex.compile("(" + "|".join(map(regex.escape, self._special)) + ")") if self._special else None
         self._pairs: dict[tuple[bytes, bytes], bool] = {}
@@ -57,54 +66,80 @@ class PrefixCounter:
             self._pairs[left, right] = known
         return known
 
-    def _last_tokens(self, raw: bytes) -> list[int]:
-        """Counts of all prefixes of one split word, by the last token of each."""
-        tokens, longest, pairs = self._token, self._longest, self._pairs
+    def _last_tokens(self, raw: bytes) -> Iterator[int]:
+        """Counts of all prefixes of one split word, by the last token of each.
+
+        Only the last tokens of as many prefixes as the longest token has bytes are held.
+        """
+        tokens, longest, pairs, suffixes = self._token, self._longest, self._pairs, self._suffixes
         last: list[bytes] = [b""]
         counts = [0]
+        gone = 0  # prefixes that no token reaches back to any more
         for end in range(1, len(raw) + 1):
-            if raw[:end] in tokens:
+            if end <= longest and raw[:end] in tokens:
                 last.append(raw[:end])
                 counts.append(1)
+                yield 1
                 continue
-            for start in range(max(1, end - longest), end):
-                right = raw[start:end]
-                if right in tokens:
-                    pair = (last[start], right)
+            node, at, count = suffixes, end - 1, 0
+            while at > 0 and (node := node.get(raw[at])) is not None:
+                right = node.get(-1)
+                if right is not None:
+                    pair = (last[at - gone], right)
                     if pairs[pair] if pair in pairs else self._stays(*pair):
+                        count = counts[at - gone] + 1
                         break
+                at -= 1
             last.append(right)
-            counts.append(counts[start] + 1)
-        return counts[1:]
+            counts.append(count)
+            yield count
+            if len(last) > 16 * longest:
+                drop = len(last) - longest
+                del last[:drop], counts[:drop]
+                gone += drop
+
+    def _final(self, raw: bytes) -> int:
+        """Count of one whole split word."""
+        count = 0
+        for count in self._last_tokens(raw):  # noqa: B007
+            pass
+        return count
 
     def _word(self, text: str) -> np.ndarray:
         """Counts of the byte prefixes of a text without special strings."""
-        out: list[int] = []
+        parts: list[np.ndarray] = [np.zeros(0, dtype=np.int64)]
         base = 0
-        for part in self._split.findall(text):
-            counts = self._last_tokens(part.encode())
+        for match in self._split.finditer(text):
+            part = match.group()
+            raw = part.encode()
+            counts = np.fromiter(self._last_tokens(raw), dtype=np.int64, count=len(raw))
             if len(part) == 3 and part in bpe.CONTRACTIONS:  # of "'re" the prefix "'r" is a mark and a letter
                 counts[1] = 2
-            out += [base + c for c in counts]
-            base = out[-1]
-        ends = np.array(out, dtype=np.int64)
-        if len(text) > 1 and _SPACE.search(text):
-            # A prefix that ends in white space has that whole run as one word.
-            for run in _SPACE.finditer(text):
-                at = len(text[: run.start()].encode())
-                counts = self._last_tokens(run.group().encode())
-                ends[at : at + len(counts)] = (out[at - 1] if at else 0) + np.array(counts)
+            parts.append(counts + base)
+            base = int(parts[-1][-1])
+        plain = np.concatenate(parts)
+        ends = plain.copy()
+        # A prefix that ends in white space has that whole run as one word.
+        seen = at = 0
+        for run in _SPACE.finditer(text):
+            at += len(text[seen : run.start()].encode())
+            raw = run.group().encode()
+            ends[at : at + len(raw)] = np.fromiter(self._last_tokens(raw), dtype=np.int64, count=len(raw)) + (plain[at - 1] if at else 0)
+            at, seen = at + len(raw), run.end()
         return ends
 
     def _sum(self, text: str) -> int:
         """Count of a text without special strings: the last prefix of each of its split words."""
         parts, total = self._parts, 0
-        for part in self._split.findall(text):
+        for match in self._split.finditer(text):
+            part = match.group()
             n = parts.get(part)
             if n is None:
-                if len(parts) > self._limit:
-                    parts.clear()
-                n = parts[part] = self._last_tokens(part.encode())[-1]
+                n = self._final(part.encode())
+                if len(part) <= _CACHED_CHARS:
+                    if len(parts) > self._limit:
+                        parts.clear()
+                    parts[part] = n
             total += n
         return total
 
@@ -132,17 +167,25 @@ class PrefixCounter:
         if not text:
             return 0
         if any(s in text for s in self._special):
-            return int(self.counts(text)[-1])
-        first, *rest = bpe.words_of(text)
-        known = self._words
-        total = self._sum(first)
-        for w in rest:
-            n = known.get(w)
-            if n is None:
-                if len(known) > self._limit:
-                    known.clear()
-                n = known[w] = self._sum(" " + w)
-            total += n
+            # Odd parts are special strings, a token each; what is between them stands alone.
+            return sum(1 if k % 2 else self.total(part) for k, part in enumerate(self._special_split.split(text)))
+        known, total, start = self._words, 0, 0
+        while start < len(text):
+            # A long text is taken in stretches, each up to a place that no split word crosses.
+            cut = bpe.CUT.search(text, start + _STRETCH) if len(text) - start > 2 * _STRETCH else None
+            stop = cut.start() if cut else len(text)
+            first, *rest = bpe.words_of(text[start:stop] if start or cut else text)
+            total += self._sum(first)
+            for w in rest:
+                n = known.get(w)
+                if n is None:
+                    n = self._sum(" " + w)
+                    if len(w) <= _CACHED_CHARS:
+                        if len(known) > self._limit:
+                            known.clear()
+                        known[w] = n
+                total += n
+            start = stop
         return total
 
     def cut(self, text: str, budget: int) -> int:
@@ -167,15 +210,17 @@ def count_tokens(
     """Bytes, tokens and whether the limit is passed, for every text.
 
     With keep_prefixes also prefix_tokens: the count at each byte prefix. A null text counts as
-    empty: 0 bytes, 0 tokens. Strings of special tokens inside texts count as one token, as the
+    empty: 0 bytes, 0 tokens. Time and, without keep_prefixes, the working memory beside the text
+    are linear in its length and bounded by a stretch, one word of any length included. Strings of special tokens inside texts count as one token, as the
     library's default has it. Other columns are ignored, repeated rows stay.
     """
     with open(definition_path, encoding="utf-8") as file:
-        shipped = docs.sparkSession.sparkContext.broadcast(file.read())
+        definition = file.read()
+    shipped, vocabulary = docs.sparkSession.sparkContext.broadcast(definition), bpe.digest(definition)
     kind = docs.schema[id_column].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counter = bpe.per_worker("prefix counts", lambda: PrefixCounter(shipped.value))
+        counter = bpe.per_worker("prefix counts", vocabulary, lambda: PrefixCounter(shipped.value))
         for batch, texts in text_slices(batches, "text"):
             n_bytes = pa.array([len(t.encode()) for t in texts], pa.int64())
             if keep_prefixes:
@@ -201,11 +246,12 @@ def truncate_to_budget(
 ) -> DataFrame:
     """The longest prefix (whole characters) of every text with at most budget tokens."""
     with open(definition_path, encoding="utf-8") as file:
-        shipped = docs.sparkSession.sparkContext.broadcast(file.read())
+        definition = file.read()
+    shipped, vocabulary = docs.sparkSession.sparkContext.broadcast(definition), bpe.digest(definition)
     kind = docs.schema[id_column].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counter = bpe.per_worker("prefix counts", lambda: PrefixCounter(shipped.value))
+        counter = bpe.per_worker("prefix counts", vocabulary, lambda: PrefixCounter(shipped.value))
         for batch, texts in text_slices(batches, "text"):
             cut = [t[: counter.cut(t, budget)] for t in texts]
             yield pa.RecordBatch.from_arrays([single_column(batch, "id"), pa.array(cut, pa.string())], names=["id", "text"])
