@@ -1,7 +1,10 @@
 """Digests, simhash, components and the pipeline: brute force and odd rows."""
 
 import hashlib
+import math
 import re
+import tracemalloc
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -86,13 +89,78 @@ def test_components(spark):
     assert smallest_reachable(chain.where("a > 5000")).count() == 0
 
 
-def test_entropy():
+def plain_bins(raw):
+    """Entropy bins by counting every window anew, in exact steps of the module's unit."""
+    out = []
+    for i in range(len(raw) - 63):
+        total = sum(round(c * math.log2(c) * (1 << 20)) for c in Counter(raw[i : i + 64]).values())
+        out.append(max(0, (6 * 64 * (1 << 20) - total) // (1 << 20)))
+    return out
+
+
+def plain_digest(text, ranks):
+    """Filters of one text by plain loops: (filter, bit) pairs and the number of filters."""
+    raw = text.encode()
+    if not raw:
+        return set(), 0
+    raw = raw.ljust(64, b"\0")
+    bins = plain_bins(raw)
+    wins = Counter()
+    for i in range(len(bins)):
+        wins[min(range(i, min(i + 64, len(bins))), key=lambda j: (ranks[bins[j]], j))] += 1
+    least = min(16, max(wins.values()))
+    features = []
+    for j in sorted(wins):
+        if wins[j] < least:
+            continue
+        h = 0x9E3779B97F4A7C15
+        for k in range(0, 64, 8):
+            h = ((h ^ int.from_bytes(raw[j + k : j + k + 8], "little")) * 0xFF51AFD7ED558CCD) % 2**64
+            h ^= h >> 29
+        h = (h * 0xC4CEB9FE1A85EC53) % 2**64
+        h ^= h >> 32
+        if h not in features:
+            features.append(h)
+    return {(n // 160, h >> 11 * k & 2047) for n, h in enumerate(features) for k in range(5)}, -(-len(features) // 160)
+
+
+def test_digests_match_plain_loops(spark):
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet")
+    texts = [r.text or "" for r in docs.collect()]
+    histogram = Counter(b for t in texts for b in plain_bins(t.encode()))
+    ranks = feature_digest.measure_rarity(docs)
+    # Windows over two texts count too, so only the order of clearly apart bins is fixed.
+    common = max(histogram, key=histogram.get)
+    assert ranks[common] > 350 and sorted(ranks.tolist()) == list(range(feature_digest.BINS))
+    some = [t for t in texts if len(t) < 3000][:25] + ["", "x", "ab" * 400, "é" * 40, "".join(map(chr, range(32, 700)))]
+    for t, digest in zip(some, feature_digest.digests(some, ranks), strict=True):
+        bits, n = plain_digest(t, ranks)
+        found = np.unpackbits(digest, axis=1) if len(digest) else np.zeros((0, 2048))
+        assert len(digest) == n and {(int(a), int(b)) for a, b in zip(*np.nonzero(found), strict=True)} == bits
+
+
+def test_long_texts_are_digested_in_blocks(monkeypatch):
+    ranks = feature_digest.usual_ranks()
+    text = "".join(np.random.default_rng(4).choice(list("abcdefgh ij\n"), 40_000)) + "z" * 5_000
+    whole = feature_digest.digests([text, "x" * 9_000, "short"], ranks)
+    monkeypatch.setattr(feature_digest, "_LONG", 1_000)
+    blocks = feature_digest.digests([text, "x" * 9_000, "short"], ranks)
+    assert all(np.array_equal(a, b) for a, b in zip(whole, blocks, strict=True)) and len(whole[0]) > 3
+
+
+def test_a_very_long_text_takes_bounded_memory():
+    ranks, text = feature_digest.usual_ranks(), "".join(np.random.default_rng(5).choice(list("abcdefgh ij\n"), 1 << 20)) * 50
+    tracemalloc.start()
+    assert len(feature_digest.digests([text], ranks)[0]) > 100
+    assert tracemalloc.get_traced_memory()[1] < 600_000_000  # the text's bytes are 52 million
+    tracemalloc.stop()
+
+
+def test_entropy_bins():
     raw = np.random.default_rng(1).integers(97, 110, 70_000).astype(np.uint8)
-    e = feature_digest.window_entropy(raw)
+    bins = feature_digest.entropy_bins(raw)
     for i in (0, 1, 63, 65_472, 65_536, 69_936):
-        c = np.bincount(raw[i : i + 64])
-        c = c[c > 0] / 64
-        assert e[i] == pytest.approx(-(c * np.log2(c)).sum(), abs=1e-9)
+        assert plain_bins(raw[i : i + 64].tobytes()) == [bins[i]]
 
 
 @pytest.mark.parametrize("range_bytes", [24_000_000, 20_000])
@@ -101,12 +169,13 @@ def test_digests_and_edits(spark, range_bytes):
     order = sorted(((r.doc_id, r.text or "") for r in docs.collect()), reverse=True)
     after = {d: order[(i + 1) % len(order)][1] for i, (d, _) in enumerate(order)}
     texts = dict(order)
+    ranks = feature_digest.measure_rarity(docs)
     rows = feature_digest.edit_sensitivity(docs, range_bytes=range_bytes).collect()
     assert sorted(r.doc_id for r in rows) == sorted(texts)
     for r in rows:
         t = texts[r.doc_id]
         edited = t[: len(t) - len(t) // 2] + after[r.doc_id][: len(t) // 2]
-        own, changed, other = feature_digest.digests([t, edited, after[r.doc_id]])
+        own, changed, other = feature_digest.digests([t, edited, after[r.doc_id]], ranks)
         assert r.n_chars == len(t) and r.edited_sha256 == hashlib.sha256(edited.encode()).hexdigest()
         assert (r.fingerprint, r.edited_fingerprint) == (feature_digest.fingerprint_text(own), feature_digest.fingerprint_text(changed))
         assert r.near_edited == feature_digest.likeness(own, changed) and r.near_next == feature_digest.likeness(own, other)
