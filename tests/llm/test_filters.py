@@ -8,6 +8,7 @@ from collections import Counter
 import duckdb
 import numpy as np
 import pytest
+import regex
 
 from tests.conftest import MIDDLE, SMALL
 from vecquant.llm import backoff_lm, license_scan, quality_rules, queries, rule_ensemble, textstats, url_rules
@@ -80,6 +81,82 @@ def test_quality_counts(spark, odd):
     assert quality_rules.keep_clean(odd).count() == 0 and quality_rules.keep_clean(docs).columns == docs.columns
 
 
+CLASS_CHARS = {"upper": "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "digit": "0123456789", "space": " \t\x0b\x0c\r", "line": "\n", "stop": ".,;:?", "mark": "!\"'()-", "symbol": "#*$%&|<>"}
+
+
+def plain_shares(text):
+    """Distributions of classes and of common words, by character and word."""
+    classes = Counter()
+    for c in text:
+        named = [k for k, chars in CLASS_CHARS.items() if c in chars]
+        classes[named[0] if named else "lower" if "a" <= c <= "z" else "wide" if ord(c) > 127 else "other"] += 1
+    words = re.findall(r"[^\x20\x09-\x0D]+", text)
+    listed = textstats.common_word_list()
+    form = {f: w for w in listed for f in (w, w.capitalize(), w.upper())}
+    common = Counter(form.get(w, "") for w in words)
+    a = [classes[c] / max(1, len(text)) for c in textstats.CLASSES]
+    b = [common[w] / max(1, len(words)) for w in [*listed, ""]]
+    return a, b
+
+
+def plain_distance(p, q):
+    kl = lambda x, m: sum(a * np.log2(a / b) for a, b in zip(x, m, strict=True) if a > 0)
+    m = [(a + b) / 2 for a, b in zip(p, q, strict=True)]
+    return float(np.sqrt(max(0.0, (kl(p, m) + kl(q, m)) / 2)))
+
+
+def plain_verdicts(rows, prior=20.0):
+    """kept, class_distance and word_distance of (text, language) rows, from first principles."""
+    shares, counts = [plain_shares(t or "") for t, _ in rows], [base_counts(t or "") for t, _ in rows]
+    failed = [n[0] < 50 or 100 * n[4] > 50 * n[0] for n in counts]
+    members = {}
+    for i, (_, lang) in enumerate(rows):
+        if not failed[i]:
+            members.setdefault(lang or "und", []).append(i)
+    means = {k: (len(v), *(np.mean([shares[i][s] for i in v], axis=0) for s in (0, 1))) for k, v in members.items()}
+    out = []
+    for i, (t, lang) in enumerate(rows):
+        if not means:
+            out.append((False, None, None))
+            continue
+        near = min(means, key=lambda k: (plain_distance(shares[i][0], means[k][1]) + plain_distance(shares[i][1], means[k][2]), -means[k][0], k))
+        n = means.get(lang or "und", (0,))[0]
+        mixed = [(n * means[lang or "und"][s] + prior * means[near][s]) / (n + prior) if n else means[near][s] for s in (1, 2)]
+        by_class = plain_distance(shares[i][0], mixed[0]) if len(t or "") >= 200 else None
+        by_word = plain_distance(shares[i][1], mixed[1]) if counts[i][0] >= 100 else None
+        far = (by_class or 0) > 0.26 or (by_word or 0) > 0.335 or (by_class or 0) + (by_word or 0) > 0.45
+        out.append((not failed[i] and not far, by_class, by_word))
+    return out
+
+
+@pytest.mark.parametrize("lang", ["lang", "case when lang = 'de' and doc_id % 2 = 0 then 'en' else lang end", "case when lang = 'de' then concat('x', doc_id % 9) else lang end", "null"])
+def test_quality_verdicts_match_brute_force(spark, lang):
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").selectExpr("doc_id", "text", f"cast({lang} as string) as lang")
+    rows = docs.collect()
+    truth = dict(zip([r.doc_id for r in rows], plain_verdicts([(r.text, r.lang) for r in rows]), strict=True))
+    near = lambda a, b: (a is None) == (b is None) and (a is None or abs(a - b) < 1e-5)
+    for r in quality_rules.quality_rules(docs).collect():
+        kept, by_class, by_word = truth[r.doc_id]
+        assert r.kept == kept and near(r.class_distance, by_class) and near(r.word_distance, by_word)
+
+
+def test_many_languages_are_joined(spark):
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet").selectExpr("doc_id", "text", "concat('l', doc_id % 30) as language")
+    stats = textstats.text_statistics(docs, "text", ("doc_id", "language"))
+    sums = quality_rules.language_sums(stats)
+    both = [sorted((r.doc_id, r.kept, r.class_distance, r.word_distance) for r in quality_rules.judge(stats, sums, quality_rules.RuleLimits(), n).where("class_distance is not null and word_distance is not null").collect()) for n in (4_096, 3)]
+    assert both[0] == both[1] and len(both[0]) > 50
+
+
+def test_mislabelled_documents_go(spark):
+    docs = spark.read.parquet(f"{MIDDLE}/documents.parquet")
+    moved = docs.selectExpr("doc_id", "text", "case when lang = 'de' and doc_id % 2 = 0 then 'en' else lang end as lang", "lang as was")
+    rows = quality_rules.quality_rules(moved).join(moved.select("doc_id", "lang", "was"), "doc_id").where("not base_failed and n_words >= 100").collect()
+    share = lambda some: np.mean([r.kept for r in some])
+    assert share([r for r in rows if r.was == "de" and r.lang == "en"]) < 0.1
+    assert share([r for r in rows if r.was == r.lang]) > 0.9
+
+
 def test_quality_rules_agree_with_labels(spark):
     docs, labels = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
     judged = quality_rules.quality_rules(docs).where("not base_failed").join(labels, "doc_id")
@@ -111,6 +188,31 @@ def test_classifier_holds_out(spark, odd):
     assert rule_ensemble.fit_on_documents(odd, labels).rules == []
 
 
+def test_score_column_matches_numpy(spark):
+    docs, labels = (spark.read.parquet(f"{MIDDLE}/{t}.parquet") for t in ("documents", "labels"))
+    model = rule_ensemble.fit_on_documents(docs, labels)
+    columns = rule_ensemble.features()
+    values = {r.doc_id: r for r in textstats.text_statistics(docs, "text", ("doc_id",)).select("doc_id", *[c.alias(n) for n, c in columns.items()]).collect()}
+    assert len(model.rules) > 3
+    for r in rule_ensemble.score_documents(docs, model, ("doc_id",)).collect():
+        total = model.bias + sum(w for rule, w in model.rules if all((values[r.doc_id][n] > t) == up for n, up, t in rule))
+        assert r.score == pytest.approx(1 / (1 + np.exp(-total)), abs=1e-9)
+
+
+def test_classifier_of_empty_and_repeated_rows(spark, odd):
+    docs, labels = (spark.read.parquet(f"{SMALL}/{t}.parquet") for t in ("documents", "labels"))
+    assert rule_ensemble.fit_on_documents(docs, labels.limit(0)).rules == []
+    assert rule_ensemble.fit_on_documents(docs.limit(0), labels).score() is not None
+    model = rule_ensemble.fit_on_documents(docs, labels)
+    assert rule_ensemble.score_documents(odd.where("doc_id > 99"), model, ("doc_id",)).count() == 0
+    # A labelled id that stands on very many rows still teaches once.
+    again = docs
+    for _ in range(5):
+        again = again.unionByName(again)
+    twice = rule_ensemble.fit_on_documents(again, labels)
+    assert (twice.bias, twice.rules) == (model.bias, model.rules)
+
+
 def test_rules_fit_a_conjunction():
     rng = np.random.default_rng(1)
     x = rng.random((2000, 3))
@@ -122,29 +224,68 @@ def test_rules_fit_a_conjunction():
     assert rule_ensemble.fit_rules(x, np.ones(2000), ["a", "b", "c"]).rules == []
 
 
+def plain_license(model, part):
+    """(family or None, whether it is likely) of one paragraph."""
+    if not any(x in part.lower() for x in license_scan.STEMS):
+        return None, False
+    p = model.probabilities(part)
+    k = int(p.argmax())
+    likely = p[k] >= model.threshold
+    return (model.families[k] if likely and license_scan.confirms(part, model.families[k]) else None), likely
+
+
 def test_licenses_match_brute_force(spark, odd):
     model = license_scan.train()
     docs = spark.read.parquet(f"{MIDDLE}/documents.parquet")
     texts = dict(docs.select("doc_id", "text").collect())
     for r in license_scan.scan_licenses(docs, model).collect():
-        found = []
-        for line in (texts[r.doc_id] or "").split("\n"):
-            p = model.probabilities(line)
-            k = int(p.argmax())
-            if p[k] >= model.threshold:
-                own = set(license_scan.words(line))
-                found.append((model.families[k], max(len(own & set(license_scan.words(t))) / len(set(license_scan.words(t))) for t in license_scan.TEMPLATES[model.families[k]])))
-        good = [f for f, o in found if o >= 0.6]
-        assert r.n_paragraphs == len(good) and r.n_unconfirmed == len(found) - len(good)
+        found = [plain_license(model, part) for part in regex.split(license_scan.PARAGRAPH_END, texts[r.doc_id] or "")]
+        good = [f for f, _ in found if f]
+        assert r.n_paragraphs == len(good) and r.n_unconfirmed == sum(likely for f, likely in found if not f)
         assert r.families == ",".join(sorted(set(good))) and (r.family is None) == (not good)
     rows = license_scan.scan_licenses(odd, model).collect()
     assert len(rows) == len(ODD) and all(r.family is None for r in rows)
     more = spark.createDataFrame([(1, "x\nReleased under the MIT License."), (1, "x\nReleased under the MIT License."), (None, "Licensed under CC BY-NC 4.0."), (2, "The license plate was new.")], "doc_id long, text string")
     assert sorted((str(r.doc_id), str(r.family), r.n_paragraphs) for r in license_scan.scan_licenses(more, model).collect()) == [("1", "MIT", 1), ("1", "MIT", 1), ("2", "None", 0), ("None", "CC-BY-NC-4.0", 1)]
+    assert license_scan.scan_licenses(more.where("doc_id > 99"), model).count() == 0
     plan = license_scan.scan_licenses(docs, model)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan
 
 
+WRAPPED = [
+    ("GPL-3.0", "This program is free software: you can redistribute it and/or modify\nit under the terms of the GNU General Public License as published by\nthe Free Software Foundation, either version 3 of the License, or\n(at your option) any later version."),
+    ("BSD", "# Redistribution and use in source and binary forms, with or without\n# modification, are permitted provided that the following conditions\n# are met:"),
+    ("LGPL", "This library is free software; you can redistribute it and/or\nmodify it under the terms of the GNU Lesser General Public\nLicense as published by the Free Software Foundation; either\nversion 2.1 of the License, or (at your option) any later version."),
+]
+
+
+def test_neighbouring_licenses_are_told_apart(spark):
+    rows = [
+        ("CC-BY-SA-4.0", "Creative Commons Attribution-ShareAlike 4.0"), ("CC-BY-4.0", "Attribution 4.0 by Creative Commons"),
+        ("CC-BY-SA-4.0", "This text is licensed under CC BY-SA 4.0"), ("CC-BY-4.0", "Shared under CC BY 4.0"),
+        ("GPL-2.0", "Licensed under the GPL version 2"), ("LGPL", "GNU Lesser General Public License v3"), ("AGPL-3.0", "SPDX-License-Identifier: AGPL-3.0"),
+        ("BSD-2-Clause", "Released under the BSD-2-Clause license"), ("MPL-2.0", "Mozilla Public License 2.0"),
+        (None, "This is not licensed under the MIT license."), (None, "Licensed under CC BY-NC-SA 4.0."), (None, "Eclipse Public License 2.0"),
+        ("MIT", "Released under the MIT License."), ("GPL-3.0", "This work is licensed under the GNU General Public License, version 3."),
+        ("Apache-2.0", "Licensed under the Apache License, Version 2.0."), ("CC-BY-NC-4.0", "Licensed under CC BY-NC 4.0."), (None, "All rights reserved."), *WRAPPED,
+    ]
+    docs = spark.createDataFrame([(i, f"Some words went before.\n{t}\n\nMore words follow here") for i, (_, t) in enumerate(rows)], "doc_id long, text string")
+    found = {r.doc_id: r.family for r in license_scan.scan_licenses(docs, license_scan.train()).collect()}
+    # A neighbour's notice is its own family's or of none, never another one's.
+    assert all(found[i] in (f, None) for i, (f, _) in enumerate(rows))
+    assert sum(found[i] == f for i, (f, _) in enumerate(rows)) >= len(rows) - 2 and all(found[i] == f for i, (f, _) in enumerate(rows) if i >= 12)
+
+
+def test_every_template_has_a_stem():
+    assert all(any(x in t.lower() for x in license_scan.STEMS) for templates in license_scan.TEMPLATES.values() for t in templates)
+
+
+def test_licenses_in_long_texts(spark):
+    rows = [(1, "." * 1_000_000 + "a license"), (2, "\n" * 500_000 + "Released under the MIT License."), (3, "license " * 200_000), (4, "x" * 2_000_000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    assert {r.doc_id: r.family for r in license_scan.scan_licenses(docs, license_scan.train()).collect()} == {1: None, 2: "MIT", 3: None, 4: None}
+
+
 def brute_lm(texts, order):
     words = [t.encode().lower().split() for t in texts]
     grams = lambda w, n: [tuple(w[k : k + n]) for k in range(len(w) - n + 1)]

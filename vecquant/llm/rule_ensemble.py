@@ -167,14 +167,17 @@ def fit_on_documents(
     """Learn from labelled documents outside the held-out part.
 
     sample_rows bounds the labelled rows that are learned from: those whose id hashes lowest.
-    Rows with a null id or label teach nothing; of repeated labels the higher counts. With no
-    usable rows, every score is 0.5.
+    Rows with a null id or label teach nothing; of repeated labels the higher counts, of the rows
+    of a repeated id one (the text that hashes lowest). So at most sample_rows rows of statistics
+    reach the driver. Ties between hashes go to the smaller id. With no usable rows, every score
+    is 0.5.
     """
     usable = labels.where(F.col(label_column).isNotNull() & F.col(id_column).isNotNull() & ~held_out(F.col(id_column)))
     known = usable.groupBy(F.col(id_column).alias("id")).agg(F.max(label_column).alias("label"))
     sample = known.orderBy(F.xxhash64("id"), "id").limit(sample_rows)
     texts = docs.select(F.col(id_column).alias("id"), F.col(text_column).alias("text"))
-    own = texts.join(F.broadcast(sample), "id")
+    # A sampled id may stand on any number of rows; the text that hashes lowest is learned from.
+    own = texts.join(F.broadcast(sample), "id").groupBy("id", "label").agg(F.min_by("text", F.xxhash64("text")).alias("text"))
     columns = features()
     rows = text_statistics(own, "text", ("id", "label")).select("id", "label", *[c.alias(n) for n, c in columns.items()])
     found = rows.toPandas().sort_values(["id", *columns], kind="stable")
@@ -184,8 +187,9 @@ def fit_on_documents(
 def score_documents(docs: DataFrame, model: RuleModel, keep: tuple[str, ...], text_column: str = "text") -> DataFrame:
     """The columns to keep, and score: the probability of label 1 by the rules.
 
-    A null text counts as empty and has a score too. Every row stays, repeated ones too; an empty
-    table gives no rows.
+    A null text counts as empty and has a score too. Every row stays, repeated ones too, and equal
+    texts have equal scores; an empty table gives no rows. Texts are counted whole; working memory
+    is a few times that of the longest text.
     """
     stats = text_statistics(docs, text_column, keep)
     # Arrays are summed once per row, not once per rule.
