@@ -128,6 +128,7 @@ def links(docs: DataFrame, prints: DataFrame, text_column: str = "text", chunk:
     """
     one = prints.groupBy("code").agg(F.min("row").alias("row"), F.first("keys").alias("keys"))
     one = cut_lineage(one)
+    # A key under which one set stands alone links nothing: most keys end here.
     under = one.select(F.explode("keys").alias("key"), "code")
     low = cut_lineage(under.groupBy("key").agg(F.min("code").alias("m"), F.max("code").alias("n")).where("m <> n").select("key", "m"))
     pools = smallest_reachable(under.join(low, "key").select(F.col("code").alias("a"), F.col("m").alias("b")))

@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from vecquant.llm import shingles
-from vecquant.llm.common import cut_lineage, single_column, text_slices
+from vecquant.llm.common import cut_lineage, saved, single_column, text_slices
 from vecquant.llm.components import smallest_reachable
 
 BITS = 64
@@ -199,14 +199,29 @@ def _node_links(batches: Iterator[pa.RecordBatch], limit: int) -> Iterator[pa.Re
         yield out(close(held))
 
 
-def link_codes(codes: DataFrame, limit: int = 4, blocks: int = 6, shared: int = 2, node_rows: int = 20_000) -> DataFrame:
+def index_shape(codes: int, limit: int) -> tuple[int, int]:
+    """(blocks, shared): the fewest shared blocks that leave a node about 256 codes, if codes are spread evenly.
+
+    Every shape finds every pair; more shared blocks mean smaller nodes and more of them.
+    """
+    for shared in range(1, 5):
+        blocks = limit + shared
+        if codes >> (BITS * shared // blocks) <= 256:
+            break
+    return blocks, shared
+
+
+def link_codes(codes: DataFrame, limit: int = 4, blocks: int | None = None, shared: int | None = None, node_rows: int = 20_000) -> DataFrame:
     """Links a, b between distinct codes (column code) within limit bits: a spanning forest of them.
 
     Any two codes within limit bits are connected through the links that come back.
-    blocks - limit >= shared makes sure that each near pair stands under a common node. A node
-    with more than node_rows codes is cut into chunks by Gray rank, and each pair of chunks is
-    a tile of its own, so that no task holds more than two chunks of one node.
+    blocks - limit >= shared makes sure that each near pair stands under a common node; without
+    them the shape follows the number of codes. A node with more than node_rows codes is cut into
+    chunks by a hash of the code, and each pair of chunks is a tile of its own, so that no task
+    holds more than two chunks of one node.
     """
+    if blocks is None or shared is None:
+        blocks, shared = index_shape(codes.count(), limit)
     if blocks - limit < shared:
         raise ValueError("blocks - limit must be at least shared")
     chosen = [_signed(m) for m in masks(blocks, shared)]
@@ -276,57 +291,108 @@ def _components(prints: DataFrame, links_of: Callable[[DataFrame], DataFrame]) -
     return prints.join(by_code, "code", "left").select("doc_id", "code", "component_id")
 
 
-def similar_documents(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
-    """doc_id, component_id: the smallest id reached by links of 5-word Jaccard similarity 0.8 or more.
+def _all_prints(docs: DataFrame, id_column: str, text_column: str) -> DataFrame:
+    """doc_id, row (hash of the text), code (of the set of 5-word shingles), keys, print (4-word fingerprint) in one pass."""
 
-    Rows without words, repeated ids and null ids are treated as near_duplicates treats them.
-    """
-    prints = cut_lineage(shingles.codes(docs, id_column, text_column))
-    rows = _components(prints, lambda _: shingles.links(docs, prints, text_column))
-    return rows.select(F.col("doc_id").alias(id_column), "component_id")
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch, texts in text_slices(batches, "text", 1_000_000):
+            sets = [shingles.shingle_set(t) for t in texts]
+            own = np.array([shingles.set_code(s) for s in sets], dtype=np.uint64).view(np.int64)
+            found = pa.array([shingles.keys(s).view(np.int64) if len(s) else [] for s in sets], pa.list_(pa.int64()))
+            columns = [single_column(batch, "doc_id"), single_column(batch, "row"), pa.array(own), found, pa.array(_fingerprints(texts, 4).view(np.int64))]
+            yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "row", "code", "keys", "print"])
 
+    kind = docs.schema[id_column].dataType.simpleString()
+    source = docs.select(F.col(id_column).alias("doc_id"), F.col(text_column).alias("text"), F.xxhash64(text_column).alias("row"))
+    return source.mapInArrow(run, f"doc_id {kind}, row long, code long, keys array<long>, print long")
 
-def keep_one_similar(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
-    """keep_one_per_group, with groups by 5-word Jaccard similarity 0.8 or more."""
-    return _keep_one(docs, id_column, text_column, similar_documents, shingles.codes)
 
+def _similar(docs: DataFrame, id_column: str, text_column: str, limit: int) -> tuple[DataFrame, DataFrame]:
+    """Members and roots (see _grouped) by sets of 5-word shingles, linked by similarity and by near fingerprints."""
+    prints = saved(_all_prints(docs, id_column, text_column))
+    reps = cut_lineage(prints.groupBy("print").agg(F.min("code").alias("rep"), F.max("code").alias("last")))
+    near = link_codes(reps.select(F.col("print").alias("code")), limit)
+    by_print = reps.select(F.col("print").alias("a"), F.col("rep").alias("b"))
+    ends = near.join(by_print.withColumnRenamed("b", "x"), "a").select("x", F.col("b").alias("a")).join(by_print, "a").select(F.col("x").alias("a"), "b")
+    # Prints of one set alone have nothing to add.
+    common = prints.select("print", "code").join(reps.where("rep <> last").select("print", "rep"), "print").select(F.col("code").alias("a"), F.col("rep").alias("b"))
+    return _grouped(prints, shingles.links(docs, prints, text_column).union(ends).union(common))
 
-def keep_one_per_group(
-    docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", limit: int = 4, width: int = 4
-) -> DataFrame:
-    """The rows of docs without near duplicates: of each group the row with the smallest id.
 
-    Of repeated rows with that id one stays (the text that hashes lowest). Rows with a null id
-    stay only where no member of their group has an id, one per group.
+def _near(docs: DataFrame, id_column: str, text_column: str, limit: int, width: int) -> tuple[DataFrame, DataFrame]:
+    """Members and roots (see _grouped) by fingerprints, linked where they are near."""
+    named = docs.select(F.struct(F.col(id_column).alias("doc_id"), F.xxhash64(text_column).alias("row")).alias("name"), F.col(text_column).alias("text"))
+    prints = saved(fingerprints(named, "name", "text", width).select("doc_id.doc_id", "doc_id.row", "code"))
+    return _grouped(prints, link_codes(prints.select("code").distinct(), limit))
+
+
+def _grouped(prints: DataFrame, edges: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """doc_id, row, part (a number of its group) of every row of prints; part, component_id (its smallest id). Both written."""
+    repeated = prints.where("doc_id is not null").groupBy("doc_id").agg(F.min("code").alias("a"), F.max("code").alias("b")).where("a <> b")
+    repeated = cut_lineage(repeated)
+    if not repeated.isEmpty():  # a document that has several texts ties their groups together
+        edges = edges.union(prints.join(repeated.select("doc_id", "a"), "doc_id").select("a", F.col("code").alias("b")))
+    parts = smallest_reachable(edges)
+    members = prints.select("doc_id", "row", "code").join(parts, F.col("code") == F.col("node"), "left")
+    members = saved(members.select("doc_id", "row", F.coalesce("component", "code").alias("part")))
+    return members, cut_lineage(members.groupBy("part").agg(F.min("doc_id").alias("component_id")))
+
+
+def similar_documents(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", limit: int = 4) -> DataFrame:
+    """doc_id, component_id: the smallest id reached by links of 5-word Jaccard similarity 0.8 or more, or of fingerprints within limit bits.
+
+    Rows without words, repeated ids and null ids are treated as near_duplicates treats them.
     """
+    members, roots = _similar(docs, id_column, text_column, limit)
+    return members.join(roots, "part").select(F.col("doc_id").alias(id_column), "component_id")
 
-    def groups_of(source: DataFrame, key: str, text: str) -> DataFrame:
-        return near_duplicates(source, key, text, limit, width)
 
-    return _keep_one(docs, id_column, text_column, groups_of, lambda source, key, text: fingerprints(source, key, text, width))
+def keep_one_similar(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", limit: int = 4) -> DataFrame:
+    """The rows of docs without near duplicates, by groups as similar_documents has them: of each the row with the smallest id.
 
+    Of repeated rows with that id one stays (the text that hashes lowest). Rows with a null id
+    stay only where no member of their group has an id, one per group.
+    """
+    return _keep_one(docs, id_column, text_column, lambda source, key, text: _similar(source, key, text, limit))
 
-def _keep_one(docs: DataFrame, id_column: str, text_column: str, groups_of: Callable[..., DataFrame], codes_of: Callable[..., DataFrame]) -> DataFrame:
+
+def _keep_one(docs: DataFrame, id_column: str, text_column: str, grouped: Callable[[DataFrame, str, str], tuple[DataFrame, DataFrame]]) -> DataFrame:
     names = [f"c{i}" for i in range(len(docs.columns))]
     key, text = names[docs.columns.index(id_column)], names[docs.columns.index(text_column)]
     source = docs.toDF(*names)
-    groups = groups_of(source, key, text)
-    heads = groups.where(F.col(key) == F.col("component_id")).select(F.col(key).alias("head")).distinct()
-    kept = source.join(heads, F.col(key) == F.col("head")).drop("head")
-    # Repeated ids meet in one partition already; most ids have one row.
-    order = F.struct(F.xxhash64(F.coalesce(text, F.lit(""))), *[F.xxhash64(n) for n in names])
-    kept = kept.withColumn("order", order)
-    twice = kept.groupBy(key).agg(F.count("*").alias("n"), F.min("order").alias("first")).where("n > 1")
-    firsts = cut_lineage(twice.select(F.col(key).alias("twin"), "first"))
-    if not firsts.isEmpty():
-        joined = kept.join(firsts, F.col(key) == F.col("twin"), "left")
-        kept = joined.where("twin is null or order = first").drop("twin", "first").dropDuplicates([key])
-    kept = kept.drop("order")
-    nameless = source.where(F.col(key).isNull())
-    alone = groups.where(F.col(key).isNull() & F.col("component_id").isNull())
+    return _rows_of(source, key, text, *grouped(source, key, text)).toDF(*docs.columns)
+
+
+#: Ids that a broadcast may hold (8 bytes each); more go through a shuffle.
+BROADCAST_IDS = 1_000_000
+
+
+def _few(ids: DataFrame) -> DataFrame:
+    return F.broadcast(ids) if ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS else ids
+
+
+def _rows_of(source: DataFrame, key: str, text: str, members: DataFrame, roots: DataFrame) -> DataFrame:
+    """One row of source a group. Ids are settled first, so that texts move once, or not at all where few ids go."""
+    gone = members.join(roots, "part").where("doc_id is not null and doc_id <> component_id").select("doc_id").distinct()
+    twice = members.where("doc_id is not null").groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id")
+    gone, twice = saved(gone), saved(twice)
+    out = _few(gone.union(twice).select(F.col("doc_id").alias("gone"))) if not twice.isEmpty() else _few(gone.select(F.col("doc_id").alias("gone")))
+    kept = source.where(F.col(key).isNotNull()).join(out, F.col(key) == F.col("gone"), "left_anti")
+    if not twice.isEmpty():
+        own = source.join(_few(twice.join(gone, "doc_id", "left_anti")), F.col(key) == F.col("doc_id"), "left_semi")
+        order = F.struct(F.xxhash64(F.coalesce(text, F.lit(""))), *[F.xxhash64(n) for n in source.columns])
+        firsts = own.groupBy(key).agg(F.min_by(F.struct(*source.columns), order).alias("first"))
+        kept = kept.unionByName(firsts.select("first.*"))
+    alone = members.join(roots, "part").where("doc_id is null and component_id is null")
+    alone = saved(alone.groupBy("part").agg(F.min("row").alias("row")).select(F.col("row").alias("own")).distinct())
     if not alone.isEmpty():
-        prints = codes_of(nameless.withColumn("row", F.xxhash64(text)), "row", text)
-        heads = prints.groupBy("code").agg(F.min("doc_id").alias("row"))
-        own = nameless.withColumn("row", F.xxhash64(text)).join(heads.select("row"), "row", "left_semi")
-        kept = kept.unionByName(own.dropDuplicates(["row"]).drop("row"))
-    return kept.toDF(*docs.columns)
+        own = source.where(F.col(key).isNull()).withColumn("hash", F.xxhash64(text)).join(alone, F.col("hash") == F.col("own"), "left_semi")
+        kept = kept.unionByName(own.dropDuplicates(["hash"]).drop("hash"))
+    return kept
+
+
+def keep_one_per_group(
+    docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", limit: int = 4, width: int = 4
+) -> DataFrame:
+    """keep_one_similar with groups by near fingerprints alone, as near_duplicates has them."""
+    return _keep_one(docs, id_column, text_column, lambda source, key, text: _near(source, key, text, limit, width))
