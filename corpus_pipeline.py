@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from vecquant.llm import packing, quality_rules, rule_ensemble, simhash
-from vecquant.llm.common import ensure_checkpoint_dir, saved
+from vecquant.llm.common import ensure_checkpoint_dir
 from vecquant.llm.queries import QUALITY_THRESHOLD, TOKENIZER_FILE, read
 
 
@@ -33,11 +33,11 @@ def rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group linked by 5-word Jaccard similarity 0.8 or more: the one with the smallest id.
+    """One document of each group, the one with the smallest id.
 
-    Of what is left, one of each group within 4 bits of a fingerprint.
+    Links are fingerprints within 4 bits, and 5-word Jaccard similarity of 0.8 or more.
     """
-    return simhash.keep_one_per_group(saved(simhash.keep_one_similar(docs)))
+    return simhash.keep_one_similar(docs)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
