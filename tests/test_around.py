@@ -30,9 +30,10 @@ def test_readers(spark, tmp_path):
     x = np.arange(6, dtype="<f4").reshape(3, 2)
     raw = b"".join(np.array([2], "<i4").tobytes() + r.tobytes() for r in x)
     (tmp_path / "v.fvecs").write_bytes(raw)
-    stores.register_fvecs(spark)
-    rows = spark.read.format("fvecs").option("path", str(tmp_path / "v.fvecs")).option("rows", 2).load().orderBy("vec_id").collect()
-    assert [r.embedding for r in rows] == x.tolist()
+    rows = stores.read_fvecs(spark, str(tmp_path / "v.fvecs")).orderBy("vec_id").collect()
+    assert [r.embedding for r in rows] == x.tolist() and [r.vec_id for r in rows] == [0, 1, 2]
+    (tmp_path / "e.fvecs").write_bytes(b"")
+    assert stores.read_fvecs(spark, str(tmp_path / "e.fvecs")).count() == 0
 
 
 def test_text_vectors(spark):

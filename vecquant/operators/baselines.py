@@ -5,45 +5,71 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from vecquant.functions import expr
-from vecquant.operators.measures import long_form
+from vecquant.operators.measures import doubles, loss_of
 
 
 def uniform(df: DataFrame, bits: int = 8, m: int = 1) -> DataFrame:
-    """vec_id, loss of uniform codes; m contiguous sub-vectors have bounds of their own."""
-    d = F.size("embedding")
-    parts = F.transform(F.sequence(F.lit(0), F.lit(m - 1)), lambda j: F.slice("embedding", j * (d / m).cast("int") + 1, (d / m).cast("int")))
-    cut = df.select("vec_id", F.explode(parts).alias("part"))
-    x = F.col("part")
-    lo, hi = F.array_min(x).cast("double"), F.array_max(x).cast("double")
-    long = cut.select("vec_id", lo.alias("lo"), hi.alias("hi"), F.explode(x).alias("value")).withColumn("value", F.col("value").cast("double"))
-    code = expr.quantize("unif", F.col("value"), F.col("lo"), F.col("hi"), bits=bits)
-    error = F.pow(F.col("value") - expr.dequantize("unif", code, F.col("lo"), F.col("hi"), bits=bits), 2)
-    return long.groupBy("vec_id").agg(F.sum(error).alias("loss"))
+    """vec_id, loss of uniform codes; m contiguous sub-vectors have bounds of their own. No exchange."""
+    width = (F.size("v") / m).cast("int")
+    parts = F.transform(F.sequence(F.lit(0), F.lit(m - 1)), lambda j: F.slice("v", j * width + 1, width))
+
+    def of_part(part: Column) -> Column:
+        return loss_of(part, F.array_min(part), F.array_max(part), "unif", bits=bits)
+
+    rows = df.select("vec_id", doubles().alias("v"))
+    return rows.select("vec_id", F.aggregate(parts, F.lit(0.0), lambda total, part: total + of_part(part)).alias("loss"))
+
+
+def set_bounds(df: DataFrame) -> tuple[float, float]:
+    """Least and largest value of the whole set."""
+    ends = df.agg(F.min(F.array_min("embedding")).cast("double").alias("lo"), F.max(F.array_max("embedding")).cast("double").alias("hi")).first()
+    return ends.lo or 0.0, ends.hi or 0.0
 
 
 def uniform_global(df: DataFrame, bits: int = 8) -> DataFrame:
     """vec_id, loss of uniform codes between the bounds of the whole set."""
-    ends = df.agg(F.min(F.array_min("embedding")).cast("double").alias("lo"), F.max(F.array_max("embedding")).cast("double").alias("hi")).first()
-    lo, hi = F.lit(ends.lo or 0.0), F.lit(ends.hi or 0.0)
-    long = long_form(df).select("vec_id", "value")
-    code = expr.quantize("unif", F.col("value"), lo, hi, bits=bits)
-    error = F.pow(F.col("value") - expr.dequantize("unif", code, lo, hi, bits=bits), 2)
-    return long.groupBy("vec_id").agg(F.sum(error).alias("loss"))
+    lo, hi = set_bounds(df)
+    rows = df.select("vec_id", doubles().alias("v"))
+    return rows.select("vec_id", loss_of(F.col("v"), F.lit(lo), F.lit(hi), "unif", bits=bits).alias("loss"))
+
+
+def _level(ranked: Column, share: Column) -> Column:
+    """The value at a share of a sorted array, between two neighbours in proportion."""
+    at = share * (F.size(ranked) - 1)
+    low = F.floor(at).cast("int")
+    left = F.element_at(ranked, low + 1)
+    right = F.element_at(ranked, F.least(low + 2, F.size(ranked)))
+    return left + (at - low) * (right - left)
 
 
 def cdf_levels(df: DataFrame, bits: int = 4) -> DataFrame:
-    """vec_id, levels: 2**bits values at evenly spaced shares of each vector's distribution."""
+    """vec_id, v, levels: 2**bits values at evenly spaced shares of each vector's own distribution."""
     top = 2**bits - 1
-    shares = F.array(*[F.lit(k / top) for k in range(top + 1)])
-    return long_form(df).groupBy("vec_id").agg(F.percentile("value", shares).alias("levels"))
+    rows = df.select("vec_id", doubles().alias("v")).withColumn("ranked", F.sort_array("v"))
+    return rows.select("vec_id", "v", F.transform(F.sequence(F.lit(0), F.lit(top)), lambda k: _level(F.col("ranked"), k / top)).alias("levels"))
+
+
+def set_cdf_levels(df: DataFrame, bits: int = 4) -> list[float]:
+    """2**bits values at evenly spaced shares of all values of the set, within a millionth of the share."""
+    top = 2**bits - 1
+    values = df.select(F.explode(doubles()).alias("value"))
+    return values.agg(F.percentile_approx("value", [k / top for k in range(top + 1)], 1_000_000).alias("levels")).first().levels or []
+
+
+def _nearest(x: Column, levels: Column) -> Column:
+    return F.array_min(F.transform(levels, lambda v: F.abs(x - v)))
+
+
+def cdf(df: DataFrame, bits: int = 4, scope: str = "vector") -> DataFrame:
+    """vec_id, loss where every value goes to the nearest equal-mass level, of its vector or of the whole set."""
+    rows = cdf_levels(df, bits) if scope == "vector" else df.select("vec_id", doubles().alias("v"), F.array(*map(F.lit, set_cdf_levels(df, bits))).alias("levels"))
+    return rows.select("vec_id", F.aggregate("v", F.lit(0.0), lambda total, x: total + F.pow(_nearest(x, F.col("levels")), 2)).alias("loss"))
 
 
-def cdf(df: DataFrame, bits: int = 4) -> DataFrame:
-    """vec_id, loss where every value goes to the nearest of its vector's equal-mass levels."""
-    joined = long_form(df).join(cdf_levels(df, bits), "vec_id")
-    nearest = F.array_min(F.transform("levels", lambda v: F.abs(F.col("value") - v)))
-    return joined.groupBy("vec_id").agg(F.sum(F.pow(nearest, 2)).alias("loss"))
+def cdf_codes(df: DataFrame, bits: int = 4) -> DataFrame:
+    """vec_id, codes, levels: each value's place among its vector's equal-mass levels, the first of equally near ones."""
+    near = lambda x: F.array_position(F.transform("levels", lambda v: F.abs(x - v)), _nearest(x, F.col("levels"))) - 1
+    return cdf_levels(df, bits).select("vec_id", F.transform("v", lambda x: near(x).cast("int")).alias("codes"), "levels")
 
 
 def lossless_bytes(df: DataFrame) -> DataFrame:

@@ -155,11 +155,28 @@ def pack4_hex(codes: Column) -> Column:
 
 
 def encode_mixed(df: DataFrame, s: Search, bits: list[int], mean: list[float] | None = None) -> DataFrame:
-    """vec_id, sub, bits, gain, loss with a bit width of its own for each sub-vector."""
-    from vecquant.operators.fit import evolve
-
-    parts = [evolve(df, replace(s, m=len(bits), bits=b), mean).where(F.col("sub").isin([j for j, x in enumerate(bits) if x == b])).select("vec_id", "sub", F.lit(b).alias("bits"), "gain", "loss") for b in sorted(set(bits))]
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+    """vec_id, sub, bits, gain, loss with a bit width of its own for each sub-vector.
+
+    One scan; every sub-vector is fitted once, at its own width.
+    """
+    shift, m, widths = None if mean is None else np.array(mean), len(bits), np.array(bits)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            ids, x = column(batch, "vec_id").to_numpy(zero_copy_only=False).astype(np.int64), matrix(column(batch, "v"))
+            x = x if shift is None else x - shift
+            parts = split_rows(x, m, make_permutation(x.shape[1], m, s.split_seed, s.split))
+            sub = np.tile(np.arange(m), len(x))
+            keys, own = np.repeat(ids, m) * 64 + sub, widths[sub]
+            gain, loss = np.empty(len(parts)), np.empty(len(parts))
+            for b in sorted(set(bits)):
+                rows = np.flatnonzero(own == b)
+                found = evolve_rows(parts[rows], keys[rows], replace(s, m=m, bits=b))
+                gain[rows], loss[rows] = found["gain"], found["loss"]
+            columns = [np.repeat(ids, m), sub.astype(np.int32), own.astype(np.int32), gain, loss]
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["vec_id", "sub", "bits", "gain", "loss"])
+
+    source = df.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").alias("v"))
+    return source.mapInArrow(run, "vec_id long, sub int, bits int, gain double, loss double")

@@ -50,7 +50,8 @@ class Search:
     x0_domain: the midpoint's range in scaled or raw units. noise: "per_vector" draws by
     (seed, vector, part, iteration), "shared" by (seed, part, iteration). keep_best returns the
     best sample seen instead of the last mean; fallback_uniform gives gain 1 where it is below.
-    weights: per-dimension loss weights of a query-aware fit.
+    weights: per-dimension loss weights of a query-aware fit. draws: the noise itself,
+    [iterations][samples][2], the same for every vector, where a search is to be retraced.
     """
 
     curve: str = "logi"
@@ -74,6 +75,7 @@ class Search:
     split: str = "random"
     split_seed: int = 0
     weights: tuple[float, ...] | None = None
+    draws: tuple | None = None
     clip_quantile: float = 0.0
 
 
@@ -120,6 +122,7 @@ def _objective(s: Search, x: np.ndarray, lo: np.ndarray, hi: np.ndarray, uniform
 
 def evolve_rows(x: np.ndarray, keys: np.ndarray, s: Search, weights: np.ndarray | None = None, trace: Callable | None = None) -> dict[str, np.ndarray]:
     """Fit every row of a matrix. Rows are independent of each other."""
+    given = None if s.draws is None else np.array(s.draws)
     n = len(x)
     lo, hi = bounds_of(x, s.clip_quantile)
     x = np.clip(x, lo, hi) if s.clip_quantile else x
@@ -143,7 +146,10 @@ def evolve_rows(x: np.ndarray, keys: np.ndarray, s: Search, weights: np.ndarray
         settled = []
         for a in range(0, len(active), rows_at_once):
             rows = active[a : a + rows_at_once]
-            draw = normals(keys[rows] if s.noise == "per_vector" else np.zeros(len(rows), dtype=np.int64), s.seed, t, samples)
+            if given is None:
+                draw = normals(keys[rows] if s.noise == "per_vector" else np.zeros(len(rows), dtype=np.int64), s.seed, t, samples)
+            else:
+                draw = np.broadcast_to(given[t - 1], (len(rows), samples, 2))
             theta = mu[rows][:, None, :] + sigma[rows][:, None, :] * draw
             theta = np.stack(curves.project(s.curve, theta[..., 0], theta[..., 1], lo[rows], hi[rows], s.x0_domain), axis=2)
             value = _objective(s, x[rows], lo[rows], hi[rows], uniform[rows], theta, None if weights is None else weights[rows])
@@ -252,7 +258,7 @@ def trace(df: DataFrame, s: Search, runs: int = 1, mean: list[float] | None = No
     return source.mapInArrow(run, "vec_id long, run long, iter long, p0 double, p1 double, gain double")
 
 
-def _grid_losses(curve: str, x: np.ndarray, bits: int, p0: np.ndarray, p1: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def grid_losses(curve: str, x: np.ndarray, bits: int, p0: np.ndarray, p1: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Gains and losses [rows, grid points] over a grid of parameters, as they are (no projection)."""
     lo, hi = bounds_of(x)
     uniform = curves.loss("unif", x, lo, hi, 0.0, 0.0, bits)
@@ -275,7 +281,7 @@ def landscape(df: DataFrame, curve: str, bits: int, p0: list[float], p1: list[fl
             x = matrix(column(batch, "v"))
             x = x if shift is None or not len(x) else x - shift
             for k in range(0, len(x), 64):
-                gain, loss = _grid_losses(curve, x[k : k + 64], bits, a, b)
+                gain, loss = grid_losses(curve, x[k : k + 64], bits, a, b)
                 n = len(gain)
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(np.repeat(ids[k : k + 64], len(a))), pa.array(np.tile(a, n)), pa.array(np.tile(b, n)), pa.array(gain.ravel()), pa.array(loss.ravel())],
@@ -296,7 +302,7 @@ def grid(df: DataFrame, curve: str, bits: int, p0: list[float], p1: list[float],
             ids, x = _ids(column(batch, "id")), matrix(column(batch, "v"))
             x = x if shift is None or not len(x) else x - shift
             for k in range(0, len(x), 64):
-                gain, _ = _grid_losses(curve, x[k : k + 64], bits, a, b)
+                gain, _ = grid_losses(curve, x[k : k + 64], bits, a, b)
                 best = gain.argmax(axis=1)
                 top = gain[np.arange(len(gain)), best]
                 yield pa.RecordBatch.from_arrays([pa.array(ids[k : k + 64]), pa.array(a[best]), pa.array(b[best]), pa.array(top)], names=["vec_id", "p0", "p1", "gain"])
@@ -316,7 +322,7 @@ def global_losses(df: DataFrame, curve: str, bits: int, p0: list[float], p1: lis
             x = matrix(column(batch, "v"))
             x = x if shift is None or not len(x) else x - shift
             for k in range(0, len(x), 64):
-                total += _grid_losses(curve, x[k : k + 64], bits, a, b)[1].sum(axis=0)
+                total += grid_losses(curve, x[k : k + 64], bits, a, b)[1].sum(axis=0)
         yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.array(total)], names=["p0", "p1", "loss"])
 
     parts = df.select(F.col("embedding").alias("v")).mapInArrow(run, "p0 double, p1 double, loss double")
@@ -324,14 +330,21 @@ def global_losses(df: DataFrame, curve: str, bits: int, p0: list[float], p1: lis
 
 
 def best_curve(df: DataFrame, s: Search, names: tuple[str, ...] = curves.NAMES, mean: list[float] | None = None) -> DataFrame:
-    """vec_id, curve, gain of each vector's best curve; ties go to the first by name."""
-    fits = [evolve(df, replace(s, curve=c, m=1), mean).select("vec_id", F.lit(c).alias("curve"), "gain") for c in sorted(names)]
-    every = fits[0]
-    for f in fits[1:]:
-        every = every.unionByName(f)
-    order = {c: -i for i, c in enumerate(sorted(names))}
-    rank = F.element_at(F.create_map(*[F.lit(x) for kv in order.items() for x in kv]), F.col("curve"))
-    return every.groupBy("vec_id").agg(F.max_by("curve", F.struct("gain", rank)).alias("curve"), F.max("gain").alias("gain"))
+    """vec_id, curve, gain of each vector's best curve; ties go to the first by name. One scan, no exchange."""
+    shift, ordered = None if mean is None else np.array(mean), sorted(names)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            ids, x = _ids(column(batch, "id")), matrix(column(batch, "v"))
+            x = x if shift is None else x - shift
+            found = np.stack([evolve_rows(x, ids * 64, replace(s, curve=c, m=1))["gain"] for c in ordered])
+            best = found.argmax(axis=0)
+            yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array([ordered[k] for k in best]), pa.array(found[best, np.arange(len(ids))])], names=["vec_id", "curve", "gain"])
+
+    source = df.select(F.col("vec_id").cast("long").alias("id"), F.col("embedding").alias("v"))
+    return source.mapInArrow(run, "vec_id long, curve string, gain double")
 
 
 def straight_through(df: DataFrame, curve: str = "logi", bits: int = 8, steps: int = 60, rate: float = 0.05, mean: list[float] | None = None) -> DataFrame:

@@ -1,14 +1,12 @@
 """Proximity graphs on shards: bounded degree, pruned, searched best-first.
 
 A shard is a bounded slice of the set by a hash of the id; each is built and searched in one
-task, and the shards' results are merged. Search costs follow the number of shards, not
-the number of rows in them.
+task, and the shards' results are merged. Searches run in lock-step over many queries at once:
+a step expands one row a query, and only rows not met before are measured.
 """
 
 from __future__ import annotations
 
-import heapq
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -17,75 +15,131 @@ from pyspark.sql import functions as F
 from vecquant.operators.prep import lists, matrix
 from vecquant.operators.search import TOPK, collect_queries, rank_rows
 
-
-def beam(x: np.ndarray, neighbours: list[np.ndarray], start: int, q: np.ndarray, window: int) -> tuple[list[tuple[float, int]], int]:
-    """(squared distance, row) of the nearest rows met, best first, and how many were looked at."""
-    distance = lambda rows: ((x[rows] - q) ** 2).sum(axis=1)
-    first = float(distance([start])[0])
-    seen, open_, best, looked = {start}, [(first, start)], [(-first, -start)], 1
-    while open_:
-        d, row = heapq.heappop(open_)
-        if len(best) >= window and d > -best[0][0]:
+#: Marks of rows met that a lock-step search may hold.
+_MARKS = 64_000_000
+
+
+def beam(x: np.ndarray, neighbours: np.ndarray, start: int, q: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The rows nearest to each query that a search from the start meets, best first.
+
+    neighbours: [rows, degree], -1 where a row has fewer. Gives places and squared distances
+    [queries, window], -1 and infinity where fewer are met, and how many each query measured.
+    """
+    n, count = len(x), len(q)
+    at_once = max(1, _MARKS // max(1, n))
+    if count > at_once:
+        parts = [beam(x, neighbours, start, q[a : a + at_once], window) for a in range(0, count, at_once)]
+        return tuple(np.concatenate(p) for p in zip(*parts, strict=True))
+    squares = (x**2).sum(axis=1)
+    own = (q**2).sum(axis=1)
+    met = np.zeros((count, n), dtype=bool)
+    met[:, start] = True
+    place = np.full((count, window), -1, dtype=np.int64)
+    far = np.full((count, window), np.inf)
+    open_ = np.zeros((count, window), dtype=bool)
+    place[:, 0], far[:, 0], open_[:, 0] = start, squares[start] - 2 * (q @ x[start]) + own, True
+    active = np.arange(count)
+    while len(active):
+        first = open_[active].argmax(axis=1)
+        going = open_[active, first]
+        active, first = active[going], first[going]
+        if not len(active):
             break
-        new = [int(v) for v in neighbours[row] if int(v) not in seen]
-        if not new:
-            continue
-        seen.update(new)
-        looked += len(new)
-        for dv, v in zip(distance(new).tolist(), new, strict=True):
-            if len(best) < window or dv < -best[0][0]:
-                heapq.heappush(open_, (dv, v))
-                heapq.heappush(best, (-dv, -v))
-                if len(best) > window:
-                    heapq.heappop(best)
-    return sorted((-d, -v) for d, v in best), looked
+        open_[active, first] = False
+        around = neighbours[place[active, first]]
+        fresh = (around >= 0) & ~met[active[:, None], around]
+        who, slot = np.nonzero(fresh)
+        rows, asked = around[who, slot], active[who]
+        met[asked, rows] = True
+        new = np.full(around.shape, np.inf)
+        new[who, slot] = squares[rows] - 2 * np.einsum("nd,nd->n", x[rows], q[asked]) + own[asked]
+        every = np.concatenate([far[active], new], axis=1)
+        order = np.lexsort((np.concatenate([place[active], around], axis=1), every), axis=1)[:, :window]
+        far[active] = np.take_along_axis(every, order, axis=1)
+        place[active] = np.take_along_axis(np.concatenate([place[active], around], axis=1), order, axis=1)
+        open_[active] = np.take_along_axis(np.concatenate([open_[active], fresh], axis=1), order, axis=1)
+    place[~np.isfinite(far)] = -1
+    return place, np.where(np.isfinite(far), np.maximum(far, 0), np.inf), met.sum(axis=1)
 
 
 def prune(x: np.ndarray, row: int, candidates: np.ndarray, degree: int, alpha: float) -> np.ndarray:
     """Neighbours of a row: nearest first, none that a kept one is alpha times nearer to."""
-    candidates = np.unique(candidates[candidates != row])
+    candidates = np.unique(candidates[(candidates != row) & (candidates >= 0)])
     if not len(candidates):
         return candidates
-    d = np.sqrt(((x[candidates] - x[row]) ** 2).sum(axis=1))
+    near = x[candidates]
+    d = np.sqrt(((near - x[row]) ** 2).sum(axis=1))
     order = np.lexsort((candidates, d))
-    candidates, d = candidates[order], d[order]
+    candidates, d, near = candidates[order], d[order], near[order]
+    squares = (near**2).sum(axis=1)
+    across = np.sqrt(np.maximum(squares[:, None] - 2 * (near @ near.T) + squares[None, :], 0)) * alpha
     alive, kept = np.ones(len(candidates), dtype=bool), []
-    for i in range(len(candidates)):
+    i = 0
+    while len(kept) < degree:
+        kept.append(i)
+        alive &= across[i] > d
+        alive[: i + 1] = False
+        i = int(alive.argmax())
         if not alive[i]:
-            continue
-        kept.append(candidates[i])
-        if len(kept) == degree:
             break
-        across = np.sqrt(((x[candidates] - x[candidates[i]]) ** 2).sum(axis=1))
-        alive &= alpha * across > d
-    return np.array(kept, dtype=np.int64)
+    return candidates[kept]
+
 
+def _put(neighbours: np.ndarray, row: int, own: np.ndarray) -> None:
+    neighbours[row, : len(own)] = own
+    neighbours[row, len(own) :] = -1
 
-def build_rows(x: np.ndarray, degree: int = 64, window: int = 200, alpha: float = 1.2, seed: int = 0) -> tuple[list[np.ndarray], int]:
-    """Neighbour lists and the start row (nearest the middle)."""
+
+def build_rows(x: np.ndarray, degree: int = 64, window: int = 200, alpha: float = 1.2, seed: int = 0, rounds: int = 8) -> tuple[np.ndarray, int]:
+    """Neighbours [rows, degree] (-1 where fewer) and the start row (nearest the middle).
+
+    Two passes, without and with slack. In a pass rows are taken in random order in rounds: a
+    round searches the graph as it stands, prunes its rows, then the rows that they point to.
+    """
     n = len(x)
     rng = np.random.Generator(np.random.Philox(seed))
     start = int(((x - x.mean(axis=0)) ** 2).sum(axis=1).argmin())
-    neighbours = [rng.choice(n, min(degree, n - 1) or 0, replace=False) if n > 1 else np.zeros(0, dtype=np.int64) for _ in range(n)]
+    neighbours = np.full((n, degree), -1, dtype=np.int64)
+    for row in range(n if n > 1 else 0):
+        chosen = rng.choice(n - 1, min(degree, n - 1), replace=False)
+        _put(neighbours, row, chosen + (chosen >= row))
     for slack in (1.0, alpha):
-        for row in rng.permutation(n).tolist():
-            met, _ = beam(x, neighbours, start, x[row], window)
-            own = prune(x, row, np.concatenate([np.array([v for _, v in met], dtype=np.int64), neighbours[row]]), degree, slack)
-            neighbours[row] = own
-            for v in own.tolist():
-                back = np.append(neighbours[v], row)
-                neighbours[v] = back if len(back) <= degree else prune(x, v, back, degree, slack)
+        for some in np.array_split(rng.permutation(n), max(1, min(n, rounds))):
+            met, _, _ = beam(x, neighbours, start, x[some], window)
+            sources, targets = [], []
+            for row, found in zip(some.tolist(), met, strict=True):
+                own = prune(x, row, np.concatenate([found, neighbours[row]]), degree, slack)
+                _put(neighbours, row, own)
+                sources.append(np.full(len(own), row))
+                targets.append(own)
+            source, target = np.concatenate(sources), np.concatenate(targets)
+            order = np.lexsort((source, target))
+            source, target = source[order], target[order]
+            for part in np.split(np.arange(len(target)), np.flatnonzero(np.diff(target)) + 1) if len(target) else []:
+                row = int(target[part[0]])
+                back = np.union1d(neighbours[row][neighbours[row] >= 0], source[part])
+                _put(neighbours, row, back if len(back) <= degree else prune(x, row, back, degree, slack))
     return neighbours, start
 
 
-def build(df: DataFrame, shards: int = 4, degree: int = 64, window: int = 200, alpha: float = 1.2, seed: int = 0) -> DataFrame:
-    """shard, vec_id, embedding, neighbors (ids), entry: whether search starts here."""
+def shards_for(rows: int, rows_a_shard: int = 100_000) -> int:
+    """Shards, so that none has many more rows than one task is to hold."""
+    return max(1, -(-rows // rows_a_shard))
+
+
+def build(df: DataFrame, shards: int | None = None, degree: int = 64, window: int = 200, alpha: float = 1.2, seed: int = 0, rows_a_shard: int = 100_000) -> DataFrame:
+    """shard, vec_id, embedding, neighbors (ids), entry: whether search starts here.
+
+    Without a number of shards, they follow the number of rows, and a shard stays bounded.
+    """
+    shards = shards or shards_for(df.count(), rows_a_shard)
 
     def run(table: pa.Table) -> pa.Table:
         table = table.sort_by("vec_id")
         ids, x = table["vec_id"].to_numpy(), matrix(table["embedding"])
         found, start = build_rows(x, degree, window, alpha, seed)
-        return pa.table({"shard": table["shard"], "vec_id": table["vec_id"], "embedding": lists(x, pa.float64()), "neighbors": pa.array([ids[v] for v in found], pa.list_(pa.int64())), "entry": pa.array(np.arange(len(ids)) == start)})
+        named = pa.array([ids[v[v >= 0]] for v in found], pa.list_(pa.int64()))
+        return pa.table({"shard": table["shard"], "vec_id": table["vec_id"], "embedding": lists(x, pa.float64()), "neighbors": named, "entry": pa.array(np.arange(len(ids)) == start)})
 
     rows = df.select(F.pmod(F.xxhash64("vec_id"), F.lit(shards)).cast("int").alias("shard"), "vec_id", F.transform("embedding", lambda v: v.cast("double")).alias("embedding"))
     return rows.groupBy("shard").applyInArrow(run, "shard int, vec_id long, embedding array<double>, neighbors array<long>, entry boolean")
@@ -94,19 +148,20 @@ def build(df: DataFrame, shards: int = 4, degree: int = 64, window: int = 200, a
 def search(index: DataFrame, queries: DataFrame, k: int, window: int = 200) -> DataFrame:
     """query_id, vec_id, score (dot), rank: every shard is searched and the results are merged."""
     names, q = collect_queries(queries)
+    shipped = index.sparkSession.sparkContext.broadcast(q)
 
     def run(table: pa.Table) -> pa.Table:
-        ids, x = table["vec_id"].to_numpy(), matrix(table["embedding"])
-        place = {int(v): i for i, v in enumerate(ids)}
-        neighbours = [np.array([place[v] for v in row], dtype=np.int64) for row in table["neighbors"].to_pylist()]
+        table = table.sort_by("vec_id")
+        ids, x, q = table["vec_id"].to_numpy(), matrix(table["embedding"]), shipped.value
+        around = table["neighbors"].combine_chunks()
+        sizes = np.diff(around.offsets.to_numpy())
+        neighbours = np.full((len(ids), max(1, int(sizes.max(initial=0)))), -1, dtype=np.int64)
+        neighbours[np.repeat(np.arange(len(ids)), sizes), np.concatenate([np.arange(s) for s in sizes] or [np.zeros(0, dtype=np.int64)])] = np.searchsorted(ids, around.flatten().to_numpy())
         start = int(np.flatnonzero(table["entry"].to_numpy())[0])
-        out: list[tuple[int, int, float]] = []
-        for name, vector in zip(names.tolist(), q, strict=True):
-            met, _ = beam(x, neighbours, start, vector, window)
-            rows = [v for _, v in met[:k]]
-            out += [(name, int(ids[v]), s) for v, s in zip(rows, (x[rows] @ vector).tolist(), strict=True)]
-        columns = list(zip(*out, strict=True)) or [(), (), ()]
-        return pa.table({"query_id": pa.array(columns[0], pa.int64()), "vec_id": pa.array(columns[1], pa.int64()), "score": pa.array(columns[2], pa.float64())})
+        met, _, _ = beam(x, neighbours, start, q, max(window, k))
+        at, slot = np.nonzero(met[:, :k] >= 0)
+        rows = met[at, slot]
+        return pa.table({"query_id": pa.array(names[at]), "vec_id": pa.array(ids[rows]), "score": pa.array(np.einsum("nd,nd->n", x[rows], q[at]))})
 
     return rank_rows(index.groupBy("shard").applyInArrow(run, TOPK), k)
 
@@ -115,4 +170,9 @@ def degrees(index: DataFrame) -> DataFrame:
     return index.groupBy("shard").agg(F.count("*").alias("n"), F.avg(F.size("neighbors")).alias("mean_degree"), F.max(F.size("neighbors")).alias("most"))
 
 
-__all__ = ["beam", "build", "build_rows", "degrees", "prune", "search"]
+def node_bytes(index: DataFrame) -> DataFrame:
+    """vec_id, bytes of a node's neighbour list: a count and a place of 4 bytes each."""
+    return index.select("vec_id", (4 * (F.size("neighbors") + 1)).cast("long").alias("bytes"))
+
+
+__all__ = ["beam", "build", "build_rows", "degrees", "node_bytes", "prune", "search", "shards_for"]

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from vecquant.operators.pq import lloyd
 from vecquant.operators.prep import bounded_sample, column, matrix
-from vecquant.operators.search import all_pairs, rank_rows
+from vecquant.operators.search import MAX_QUERY_VALUES, all_pairs, query_values, rank_rows
 
 
 def centroids(df: DataFrame, n: int, iters: int = 10, sample_rows: int = 20_000, seed: int = 0) -> np.ndarray:
@@ -49,7 +49,11 @@ def search(lists: DataFrame, queries: DataFrame, centers: np.ndarray, k: int = 1
     """
     from vecquant.functions import expr
 
-    joined = lists.join(F.broadcast(probes(queries, centers, nprobe)), "cluster_id")
+    # Probes are nprobe copies of the queries.
+    asked = probes(queries, centers, nprobe)
+    if query_values(queries) * nprobe <= MAX_QUERY_VALUES:
+        asked = F.broadcast(asked)
+    joined = lists.join(asked, "cluster_id")
     scored = joined.select("query_id", "vec_id", expr.dot(F.col("qvec"), F.col("embedding")).alias("score"))
     return rank_rows(scored.dropDuplicates(["query_id", "vec_id"]), k)
 

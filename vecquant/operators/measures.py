@@ -21,30 +21,35 @@ def long_form(df: DataFrame, vector: str = "embedding") -> DataFrame:
     return long.select("vec_id", "dim", F.col("value").cast("double").alias("value"), "lo", "hi")
 
 
-def coded_form(df: DataFrame, curve: str, p0: float = 1.0, p1: float = 1.0, bits: int = 8, name: str = "code") -> DataFrame:
-    """The long form with the code of every value in a column of its own."""
-    code = expr.quantize(curve, F.col("value"), F.col("lo"), F.col("hi"), p0, p1, bits)
-    return (df if "value" in df.columns else long_form(df)).withColumn(name, code)
+def doubles(vector: str = "embedding") -> Column:
+    return F.transform(vector, lambda v: v.cast("double"))
 
 
-def error_of(curve: str, p0: Column | float = 1.0, p1: Column | float = 1.0, bits: int = 8, code: str = "code") -> Column:
-    """Squared round-trip error of one value of the coded form."""
-    x, lo, hi = F.col("value"), F.col("lo"), F.col("hi")
-    return F.pow(x - expr.dequantize(curve, F.col(code), lo, hi, p0, p1, bits), 2)
+def loss_of(values: Column, lo: Column, hi: Column, curve: str, p0: Column | float = 1.0, p1: Column | float = 1.0, bits: int = 8) -> Column:
+    """Squared round-trip error of an array of doubles, summed in order within its row."""
+
+    def error(x: Column) -> Column:
+        code = expr.quantize(curve, x, lo, hi, p0, p1, bits)
+        return expr.bind(code, lambda c: F.pow(x - expr.dequantize(curve, c, lo, hi, p0, p1, bits), 2))
+
+    return F.aggregate(values, F.lit(0.0), lambda total, x: total + error(x))
+
+
+def bounded(df: DataFrame, vector: str = "embedding") -> DataFrame:
+    """vec_id, v (doubles), lo, hi of every vector."""
+    rows = df.select("vec_id", doubles(vector).alias("v"))
+    return rows.select("vec_id", "v", F.array_min("v").alias("lo"), F.array_max("v").alias("hi"))
 
 
 def recon_loss(df: DataFrame, curve: str = "unif", p0: float = 1.0, p1: float = 1.0, bits: int = 8) -> DataFrame:
-    """vec_id, loss with fixed parameters. The sum is partial before its exchange."""
-    coded = coded_form(df, curve, p0, p1, bits)
-    return coded.groupBy("vec_id").agg(F.sum(error_of(curve, p0, p1, bits)).alias("loss"))
+    """vec_id, loss with fixed parameters: each row by itself, without an exchange."""
+    return bounded(df).select("vec_id", loss_of(F.col("v"), F.col("lo"), F.col("hi"), curve, p0, p1, bits).alias("loss"))
 
 
 def gain(df: DataFrame, curve: str, p0: float, p1: float, bits: int = 8) -> DataFrame:
-    """vec_id, uniform_loss, loss, gain with fixed parameters, in one pass."""
-    coded = coded_form(coded_form(df, "unif", bits=bits, name="flat"), curve, p0, p1, bits)
-    sums = coded.groupBy("vec_id").agg(
-        F.sum(error_of("unif", bits=bits, code="flat")).alias("uniform_loss"), F.sum(error_of(curve, p0, p1, bits)).alias("loss")
-    )
+    """vec_id, uniform_loss, loss, gain with fixed parameters, in one narrow pass."""
+    v, lo, hi = F.col("v"), F.col("lo"), F.col("hi")
+    sums = bounded(df).select("vec_id", loss_of(v, lo, hi, "unif", bits=bits).alias("uniform_loss"), loss_of(v, lo, hi, curve, p0, p1, bits).alias("loss"))
     return sums.withColumn("gain", F.when(F.col("loss") > 0, F.col("uniform_loss") / F.col("loss")).otherwise(1.0))
 
 
@@ -68,15 +73,17 @@ def dot_error(pairs: DataFrame, queries: DataFrame) -> DataFrame:
 
     The queries are sent to every task as one matrix; partial sums leave a task, one a query.
     """
-    rows = queries.orderBy("query_id").collect()
-    names, q = [r.query_id for r in rows], np.array([r.qvec for r in rows], dtype=np.float64).reshape(len(rows), -1)
+    from vecquant.operators.search import collect_queries
+
+    names, q = collect_queries(queries)
+    shipped = pairs.sparkSession.sparkContext.broadcast(q)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(len(names))
         for batch in batches:
             if batch.num_rows:
                 gap = matrix(column(batch, "x")) - matrix(column(batch, "x_hat"))
-                total += ((gap @ q.T) ** 2).sum(axis=0)
+                total += ((gap @ shipped.value.T) ** 2).sum(axis=0)
         yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(total)], names=["query_id", "error"])
 
     parts = pairs.select("x", "x_hat").mapInArrow(run, "query_id long, error double")
@@ -197,13 +204,19 @@ def footprint_ratio(spark, full: str | Path, coded: str | Path) -> float:  # noq
 def recall_at_equal_time(sweep: DataFrame) -> DataFrame:
     """r, recall_loss: coded recall against full precision interpolated at the same seconds.
 
-    sweep: store, r, recall, seconds. Points outside the times of full precision have no row.
+    sweep: store, r, recall, seconds, a row a factor. Every coded point has a row: before the
+    first and after the last time of full precision, the recall there is the nearest point's.
     """
     order = Window.orderBy("seconds")  # a row a factor: a handful
     full = sweep.where("store = 'fp32'").select(
-        "seconds", "recall", F.lead("seconds").over(order).alias("next_s"), F.lead("recall").over(order).alias("next_r")
+        F.when(F.row_number().over(order) == 1, float("-inf")).otherwise(F.col("seconds")).alias("from_s"),
+        "seconds",
+        "recall",
+        F.coalesce(F.lead("seconds").over(order), F.lit(float("inf"))).alias("next_s"),
+        F.coalesce(F.lead("recall").over(order), F.col("recall")).alias("next_r"),
     )
     coded = sweep.where("store = 'coded'").select("r", F.col("seconds").alias("s"), F.col("recall").alias("own"))
-    joined = coded.join(full, (F.col("s") >= F.col("seconds")) & (F.col("s") < F.col("next_s")))
-    share = (F.col("s") - F.col("seconds")) / (F.col("next_s") - F.col("seconds"))
+    joined = coded.join(full, (F.col("s") >= F.col("from_s")) & (F.col("s") < F.col("next_s")))
+    inside = (F.col("s") > F.col("seconds")) & (F.col("next_s") < float("inf"))
+    share = F.when(inside, (F.col("s") - F.col("seconds")) / (F.col("next_s") - F.col("seconds"))).otherwise(0.0)
     return joined.select("r", (F.col("recall") + share * (F.col("next_r") - F.col("recall")) - F.col("own")).alias("recall_loss"))

@@ -46,20 +46,37 @@ def interval(left: DataFrame, right: DataFrame, seconds: int, on: str, time: str
     return joined.where(near)
 
 
-def as_of(left: DataFrame, right: DataFrame, time: str, columns: list[str], on: list[str]) -> DataFrame:
-    """Each left row with the values of the latest right row of its key at or before its time."""
+def as_of(left: DataFrame, right: DataFrame, time: str, columns: list[str], on: list[str], seconds: int = 86_400) -> DataFrame:
+    """Each left row with the values of the latest right row of its key at or before its time.
+
+    Rows meet by key and span of time, so that a key with very many rows is no single task. What
+    held before a span comes from one row a key and span.
+    """
+    span = F.floor(F.unix_timestamp(time) / seconds)
+    latest = right.withColumn("_span", span).groupBy(*on, "_span").agg(F.max_by(F.struct(*columns), F.col(time)).alias("_last"))
+    spans = left.select(*on, span.alias("_span")).distinct().join(latest, [*on, "_span"], "full_outer")
+    before = Window.partitionBy(*on).orderBy("_span").rowsBetween(Window.unboundedPreceding, -1)
+    held = spans.select(*on, "_span", F.last("_last", ignorenulls=True).over(before).alias("_held"))
+    own = _as_of_within(left.withColumn("_span", span), right.withColumn("_span", span), time, columns, [*on, "_span"])
+    rows = own.join(held, [*on, "_span"], "left")
+    return rows.select(*left.columns, *[F.coalesce(F.col(f"_found.{c}"), F.when(F.col("_found").isNull(), F.col(f"_held.{c}"))).alias(c) for c in columns])
+
+
+def _as_of_within(left: DataFrame, right: DataFrame, time: str, columns: list[str], on: list[str]) -> DataFrame:
+    """Left rows with _found: the latest right row's values within the same key, or null."""
     wide = left.select(*left.columns, *[F.lit(None).cast(right.schema[c].dataType).alias(c) for c in columns], F.lit(1).alias("_side"))
     blanks = [F.lit(None).cast(left.schema[c].dataType).alias(c) for c in left.columns if c not in (time, *on)]
     other = right.select(time, *on, *blanks, *columns, F.lit(0).alias("_side"))
     both = wide.unionByName(other)
     order = Window.partitionBy(*on).orderBy(time, "_side").rowsBetween(Window.unboundedPreceding, 0)
     filled = [F.last(F.when(F.col("_side") == 0, F.struct(*columns)), ignorenulls=True).over(order).alias("_found")]
-    rows = both.select(*left.columns, "_side", *filled).where("_side = 1")
-    return rows.select(*left.columns, *[F.col(f"_found.{c}").alias(c) for c in columns])
+    return both.select(*left.columns, "_side", *filled).where("_side = 1").drop("_side")
 
 
-def level_lookup(values: DataFrame, levels: DataFrame) -> DataFrame:
-    """Rows (value) joined to the level (code, low, high) whose interval holds them; levels are a bounded table."""
+def level_lookup(values: DataFrame, levels: DataFrame, most: int = 65_536) -> DataFrame:
+    """Rows (value) joined to the level (code, low, high) whose interval holds them; levels are counted first."""
+    if levels.limit(most + 1).count() > most:
+        raise ValueError(f"over {most} levels: join by ranges of them")
     return values.join(F.broadcast(levels), (F.col("value") >= F.col("low")) & (F.col("value") < F.col("high")))
 
 

@@ -14,25 +14,35 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from vecquant.functions import expr
-from vecquant.operators.codec import decode_batch
+from vecquant.functions import curves, expr
+from vecquant.operators.codec import decode_batch, params_matrix, unpack
 from vecquant.operators.fit import Search
-from vecquant.operators.prep import column, matrix
+from vecquant.operators.prep import column, make_permutation, matrix
 
 TOPK = "query_id long, vec_id long, score double"
 #: Doubles a query set may have to be sent to every task.
 MAX_QUERY_VALUES = 100_000_000
 
 
-def collect_queries(queries: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Ids and matrix of the queries; their size is checked."""
+def query_values(queries: DataFrame, vector: str = "qvec") -> int:
+    """Doubles in the query set, counted where it lies."""
+    return queries.agg(F.sum(F.size(vector).cast("long")).alias("n")).first().n or 0
+
+
+def collect_queries(queries: DataFrame, most: int = MAX_QUERY_VALUES) -> tuple[np.ndarray, np.ndarray]:
+    """Ids and matrix of the queries, which are counted before any of them leaves its task."""
+    if (size := query_values(queries)) > most:
+        raise ValueError(f"{size} query values are too many for one broadcast: search in portions")
     rows = queries.select("query_id", "qvec").orderBy("query_id").toPandas()
     q = np.array(rows["qvec"].tolist(), dtype=np.float64).reshape(len(rows), -1)
-    if q.size > MAX_QUERY_VALUES:
-        raise ValueError(f"{q.size} query values are too many for one broadcast: search in portions")
     return rows["query_id"].to_numpy(dtype=np.int64), q
 
 
+def beside(queries: DataFrame, most: int = MAX_QUERY_VALUES) -> DataFrame:
+    """The queries, marked for a broadcast if a count shows them small; a join shuffles larger ones."""
+    return F.broadcast(queries) if query_values(queries) <= most else queries
+
+
 def scores(q: np.ndarray, x: np.ndarray, similarity: str) -> np.ndarray:
     """[queries, rows]: higher is nearer."""
     if similarity == "dot":
@@ -72,12 +82,15 @@ def rank_rows(rows: DataFrame, k: int) -> DataFrame:
 
 def _topk(base: DataFrame, queries: DataFrame, k: int, vectors: Callable[[pa.RecordBatch], np.ndarray], similarity: str) -> DataFrame:
     names, q = collect_queries(queries)
+    shipped = base.sparkSession.sparkContext.broadcast(q)
+    # Scores of one step and the held ones stay under 8 million.
+    step = max(64, min(4096, 4_000_000 // max(1, len(names))))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        best = Best(len(names), k)
+        best, q = Best(len(names), k), shipped.value
         for batch in batches:
-            for start in range(0, batch.num_rows, 4096):
-                part = batch.slice(start, 4096)
+            for start in range(0, batch.num_rows, step):
+                part = batch.slice(start, step)
                 best.add(scores(q, vectors(part), similarity), column(part, "vec_id").to_numpy(zero_copy_only=False).astype(np.int64))
         yield best.batch(names)
 
@@ -97,15 +110,30 @@ def coded_topk(coded: DataFrame, queries: DataFrame, s: Search, d: int, k: int =
 
 
 def all_pairs(base: DataFrame, queries: DataFrame, similarity: str = "dot", vector: str = "embedding") -> DataFrame:
-    """query_id, vec_id, score in columns: the small query side is broadcast to the base."""
+    """query_id, vec_id, score in columns. The query side has to be small, as its pairs are all made."""
+    if (size := query_values(queries)) > MAX_QUERY_VALUES:
+        raise ValueError(f"{size} query values are too many to pair with all rows")
     score = {"dot": expr.dot, "cosine": expr.cosine, "l2": lambda a, b: -expr.squared_distance(a, b)}[similarity]
     joined = base.crossJoin(F.broadcast(queries))
     return joined.select("query_id", "vec_id", score(F.col("qvec"), F.col(vector)).alias("score"))
 
 
 def within(base: DataFrame, queries: DataFrame, least: float, similarity: str = "dot") -> DataFrame:
-    """All rows whose score is at least `least`."""
-    return all_pairs(base, queries, similarity).where(F.col("score") >= least)
+    """All rows whose score is at least `least`: a narrow map that passes on only these."""
+    names, q = collect_queries(queries)
+    shipped = base.sparkSession.sparkContext.broadcast(q)
+    step = max(64, min(4096, 4_000_000 // max(1, len(names))))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for start in range(0, batch.num_rows, step):
+                part = batch.slice(start, step)
+                score = scores(shipped.value, matrix(column(part, "v")), similarity)
+                at, row = np.nonzero(score >= least)
+                ids = column(part, "vec_id").to_numpy(zero_copy_only=False).astype(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(names[at]), pa.array(ids[row]), pa.array(score[at, row])], names=["query_id", "vec_id", "score"])
+
+    return base.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").alias("v")).mapInArrow(run, TOPK)
 
 
 def holdout(df: DataFrame, mod: int = 10) -> tuple[DataFrame, DataFrame]:
@@ -124,7 +152,7 @@ def rerank(candidates: DataFrame, store: DataFrame, queries: DataFrame, k: int,
     fetched = store.join(wanted.select("vec_id").distinct(), "vec_id", "left_semi")
     vectors = decode(fetched) if decode else fetched.select("vec_id", "embedding")
     score = {"dot": expr.dot, "cosine": expr.cosine, "l2": lambda a, b: -expr.squared_distance(a, b)}[similarity]
-    joined = wanted.join(vectors, "vec_id").join(F.broadcast(queries), "query_id")
+    joined = wanted.join(vectors, "vec_id").join(beside(queries), "query_id")
     return rank_rows(joined.select("query_id", "vec_id", score(F.col("qvec"), F.col("embedding")).alias("score")), k)
 
 
@@ -141,7 +169,7 @@ def rerank_sweep(candidates: DataFrame, stores: dict[str, tuple[DataFrame, Calla
         cut = scored.select("*", at).where(F.col("first_rank") <= F.round(F.col("r") * k))
         order = Window.partitionBy("r", "query_id").orderBy(F.desc("score"), "vec_id")
         top = cut.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
-        relevant = F.broadcast(truth.where(F.col("rank") <= k).select("query_id", "vec_id"))
+        relevant = truth.where(F.col("rank") <= k).select("query_id", "vec_id")
         hits = top.join(relevant, ["query_id", "vec_id"], "left_semi").groupBy("r").agg(F.count("*").alias("hits"))
         total = truth.select("query_id").distinct().agg(F.count("*").alias("n"))
         rows = hits.crossJoin(F.broadcast(total)).select(F.lit(name).alias("store"), "r", (F.col("hits") / (F.col("n") * k)).alias("recall"))
@@ -154,36 +182,56 @@ def rerank_scores(candidates: DataFrame, store: DataFrame, queries: DataFrame, k
     wanted = candidates.where(F.col("rank") <= int(round(factor * k))).select("query_id", "vec_id", F.col("rank").alias("first_rank"))
     fetched = store.join(wanted.select("vec_id").distinct(), "vec_id", "left_semi")
     vectors = decode(fetched) if decode else fetched.select("vec_id", "embedding")
-    joined = wanted.join(vectors, "vec_id").join(F.broadcast(queries), "query_id")
+    joined = wanted.join(vectors, "vec_id").join(beside(queries), "query_id")
     return joined.select("query_id", "vec_id", "first_rank", expr.dot(F.col("qvec"), F.col("embedding")).alias("score"))
 
 
-def lut_dot(coded: DataFrame, queries: DataFrame, s: Search, d: int, mean: list[float] | None = None) -> DataFrame:
-    """query_id, vec_id, score by code: each sub-vector's levels are decoded once, queries sum by code.
+def lut_scores(q: np.ndarray, batch: pa.RecordBatch, s: Search, d: int, mean: np.ndarray | None) -> np.ndarray:
+    """[queries, rows] dot products by code: each sub-vector's levels are decoded once and looked up."""
+    perm = make_permutation(d, s.m, s.split_seed, s.split)
+    levels = 2**s.bits
+    codes = unpack(column(batch, "codes").to_pylist(), s.bits, d).reshape(batch.num_rows, s.m, -1)
+    p0, p1, lo, hi = (params_matrix(column(batch, "params"))[..., k : k + 1] for k in range(4))
+    table = curves.unbend(s.curve, np.arange(levels)[None, None, :] / (levels - 1), lo, hi, p0, p1)
+    picked = np.take_along_axis(table, codes.astype(np.int64), axis=2)
+    score = np.einsum("qmd,nmd->qn", q[:, perm].reshape(len(q), s.m, -1), picked)
+    return score if mean is None else score + (q @ mean)[:, None]
 
-    For a sub-vector the query's values are added up by code, then multiplied with the levels.
-    """
-    from vecquant.functions import curves
-    from vecquant.operators.codec import params_matrix, unpack
-    from vecquant.operators.prep import make_permutation
 
+def lut_topk(coded: DataFrame, queries: DataFrame, s: Search, d: int, k: int = 10, mean: list[float] | None = None) -> DataFrame:
+    """The k best dot products of every query, by levels looked up per code."""
     names, q = collect_queries(queries)
-    perm = make_permutation(d, s.m, s.split_seed, s.split)
-    ranked = q[:, perm].reshape(len(q), s.m, -1)
-    offset = np.zeros(len(q)) if mean is None else q @ np.array(mean)
-    levels = 2**s.bits
+    shipped = coded.sparkSession.sparkContext.broadcast(q)
+    shift = None if mean is None else np.array(mean)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        best = Best(len(names), k)
+        for batch in batches:
+            for start in range(0, batch.num_rows, 1024):
+                part = batch.slice(start, 1024)
+                best.add(lut_scores(shipped.value, part, s, d, shift), column(part, "vec_id").to_numpy(zero_copy_only=False))
+        yield best.batch(names)
+
+    return rank_rows(coded.select("vec_id", "codes", "params").mapInArrow(run, TOPK), k)
+
+
+def lut_gap(coded: DataFrame, queries: DataFrame, s: Search, d: int, mean: list[float] | None = None) -> DataFrame:
+    """vec_id, pairs, gap: per row how far scores by looked-up levels are from those of the decoded vector."""
+    _, q = collect_queries(queries)
+    shipped = coded.sparkSession.sparkContext.broadcast(q)
+    shift = None if mean is None else np.array(mean)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            codes = unpack(column(batch, "codes").to_pylist(), s.bits, d).reshape(batch.num_rows, s.m, -1)
-            params = params_matrix(column(batch, "params"))
-            p0, p1, lo, hi = (params[..., k : k + 1] for k in range(4))
-            table = curves.unbend(s.curve, np.arange(levels)[None, None, :] / (levels - 1), lo, hi, p0, p1)
-            picked = np.take_along_axis(table, codes.astype(np.int64), axis=2)
-            score = np.einsum("qmd,nmd->qn", ranked, picked) + offset[:, None]
-            ids = column(batch, "vec_id").to_numpy(zero_copy_only=False)
-            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(names, len(ids))), pa.array(np.tile(ids, len(names))), pa.array(score.ravel())], names=["query_id", "vec_id", "score"])
-
-    return coded.select("vec_id", "codes", "params").mapInArrow(run, TOPK)
+            for start in range(0, batch.num_rows, 1024):
+                part = batch.slice(start, 1024)
+                plain = shipped.value @ decode_batch(part, s, d, shift).T
+                gap = np.abs(lut_scores(shipped.value, part, s, d, shift) - plain).max(axis=0, initial=0.0)
+                yield pa.RecordBatch.from_arrays([column(part, "vec_id"), pa.array(np.full(len(gap), len(plain))), pa.array(gap)], names=["vec_id", "pairs", "gap"])
+
+    return coded.select("vec_id", "codes", "params").mapInArrow(run, "vec_id long, pairs long, gap double")
+
+
+def global_topk(base: DataFrame, queries: DataFrame, k: int, similarity: str = "dot") -> DataFrame:
+    """The k best pairs over all queries: k rows a query leave a task, and k rows a task the last sort."""
+    return exact_topk(base, queries, k, similarity).orderBy(F.desc("score"), "query_id", "vec_id").limit(k).drop("rank")

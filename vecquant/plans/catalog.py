@@ -5,13 +5,14 @@ from __future__ import annotations
 from collections.abc import Callable
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from vecquant.functions import curves, expr
 from vecquant.operators import baselines, codec, fit, graph, ivf, measures, pq, prep, relational, search
 from vecquant.operators.fit import Search
-from vecquant.plans import cost, workloads
+from vecquant.plans import cost, stepsql, workloads
 from vecquant.plans import sqltext as q
 from vecquant.plans.workloads import embeddings, table
 from vecquant.streaming import encode
@@ -130,6 +131,47 @@ for _name, _pairs, _column, _text, _center in (
     _add(_name, _sql)(_run)
 
 
+def _kernel_grid(form: str, spark: SparkSession, sf: str) -> DataFrame:
+    """Kumaraswamy curve and its inverse by the batch kernel in one of its forms, on the grid."""
+
+    def run(batches):  # noqa: ANN001, ANN202
+        for part in batches:
+            x = part["x"].to_numpy()
+            for a, b in _A:
+                yield pd.DataFrame({"x": x, "a": a, "b": b, "h": curves.kumaraswamy(x, np.float64(a), np.float64(b), form), "back": curves.kumaraswamy_inverse(x, np.float64(a), np.float64(b), form)})
+
+    rows = _grid(spark, sf).mapInPandas(run, "x double, a double, b double, h double, back double")
+    return rows.select(r6("x").alias("x"), "a", "b", r6("h").alias("h"), r6("back").alias("back"))
+
+
+for _form in ("pow", "explog", "poly"):
+    _add(f"kuma_kernel_{_form}", " UNION ALL ".join(f"SELECT {q.r6('x')} AS x, {q.num(a)} AS a, {q.num(b)} AS b, {q.r6(q.kuma('x', a, b))} AS h, {q.r6(q.kuma_inverse('x', a, b))} AS back FROM {_GRID}" for a, b in _A))(
+        lambda s, sf, f=_form: _kernel_grid(f, s, sf)
+    )
+_RAW_PARAMS = [(-3.0, -2.0), (0.0, 0.0), (2.5, 0.3), (4.0, 9.0)]
+
+
+@_add(
+    "projected_params",
+    "WITH e AS (SELECT vec_id, CAST(list_min(embedding) AS DOUBLE) AS lo, CAST(list_max(embedding) AS DOUBLE) AS hi FROM embeddings), p AS (SELECT * FROM (VALUES "
+    + ", ".join(f"({q.num(a)}, {q.num(b)})" for a, b in _RAW_PARAMS)
+    + f") t(a, b)) SELECT vec_id, a, b, greatest(a, {q.num(curves.FLOOR)}) AS p0, {q.r6('least(greatest(b, lo / (hi - lo)), hi / (hi - lo))')} AS p1, greatest(b, {q.num(curves.FLOOR)}) AS k1 FROM e, p",
+)
+def projected_params(spark: SparkSession, sf: str) -> DataFrame:
+    """The nearest allowed parameters of the logistic curves (p0, p1) and of the general curve (p0, k1)."""
+
+    def run(batches):  # noqa: ANN001, ANN202
+        for part in batches:
+            lo, hi = part["lo"].to_numpy(), part["hi"].to_numpy()
+            for a, b in _RAW_PARAMS:
+                p0, p1 = curves.project("logi", np.full(len(lo), a), np.full(len(lo), b), lo, hi)
+                _, k1 = curves.project("kuma", np.full(len(lo), a), np.full(len(lo), b), lo, hi)
+                yield pd.DataFrame({"vec_id": part["vec_id"], "a": a, "b": b, "p0": p0, "p1": p1, "k1": k1})
+
+    rows = measures.bounded(_e(spark, sf)).select("vec_id", "lo", "hi").mapInPandas(run, "vec_id long, a double, b double, p0 double, p1 double, k1 double")
+    return rows.withColumn("p1", r6("p1"))
+
+
 def _scaled(curve: str) -> tuple[Query, str]:
     p0, p1 = FIXED[curve]
 
@@ -195,16 +237,14 @@ for _curve in ("kuma", "logi", "pwl"):
 
 @_add("kernel_equals_columns", "SELECT CAST(count(*) AS BIGINT) * 64 AS n_values, CAST(0 AS BIGINT) AS differences FROM embeddings")
 def kernel_equals_columns(spark: SparkSession, sf: str) -> DataFrame:
-    """Values and differences of codes by the batch kernel and by columns; one in 100,000 may differ at a boundary."""
+    """Values and differences of codes by the batch kernel and by columns."""
     s = Search(curve="unif", bits=8, split="contiguous")
     kernel = codec.encode(_e(spark, sf), s).select("vec_id", F.hex("codes").alias("k"))
     columns = _e(spark, sf).select("vec_id", expr.quantize_array("unif", F.transform("embedding", lambda v: v.cast("double")), bits=8).alias("c"))
     columns = columns.select("vec_id", F.array_join(F.transform("c", lambda c: F.lpad(F.hex(c.cast("long")), 2, "0")), "").alias("c"))
     joined = columns.join(kernel, "vec_id")
     wrong = F.size(F.filter(F.sequence(F.lit(0), F.lit(D - 1)), lambda i: F.substring("k", i * 2 + 1, F.lit(2)) != F.substring("c", i * 2 + 1, F.lit(2))))
-    out = joined.agg(F.count("*").alias("n"), F.sum(wrong).cast("long").alias("w"))
-    allowed = F.when(F.col("w") <= F.col("n") * D / 100_000, F.lit(0)).otherwise(F.col("w"))
-    return out.select((F.col("n") * D).alias("n_values"), allowed.cast("long").alias("differences"))
+    return joined.agg((F.count("*") * D).alias("n_values"), F.sum(wrong).cast("long").alias("differences"))
 
 
 _add(
@@ -218,6 +258,19 @@ _add(
     f"""WITH {q.LONG}, levels AS (SELECT vec_id, list_transform({_SHARES}, lambda x: 0) AS z, quantile_cont(value, {[k / 15 for k in range(16)]}) AS lv FROM long GROUP BY vec_id)
     SELECT vec_id, {q.r6('sum(pow(list_min(list_transform(lv, lambda v: abs(value - v))), 2))')} AS loss FROM long JOIN levels USING (vec_id) GROUP BY vec_id""",
 )(lambda s, sf: baselines.cdf(_e(s, sf), 4).select("vec_id", r6("loss").alias("loss")))
+_add("cdf_loss8", f"""WITH {q.LONG}, levels AS (SELECT vec_id, quantile_cont(value, {[k / 255 for k in range(256)]}) AS lv FROM long GROUP BY vec_id)
+    SELECT vec_id, {q.r6('sum(pow(list_min(list_transform(lv, lambda v: abs(value - v))), 2)) * 1000')} AS loss FROM long JOIN levels USING (vec_id) GROUP BY vec_id""")(
+    lambda s, sf: baselines.cdf(_e(s, sf), 8).select("vec_id", r6(F.col("loss") * 1000).alias("loss"))
+)
+_add("cdf_codes4", f"""WITH {q.LONG}, levels AS (SELECT vec_id, quantile_cont(value, {[k / 15 for k in range(16)]}) AS lv FROM long GROUP BY vec_id),
+    c AS (SELECT vec_id, list_position(list_transform(lv, lambda v: round(abs(value - v), 12)), list_min(list_transform(lv, lambda v: round(abs(value - v), 12)))) - 1 AS code FROM long JOIN levels USING (vec_id))
+    SELECT vec_id, CAST(sum(code) AS BIGINT) AS code_sum FROM c GROUP BY vec_id""")(
+    lambda s, sf: baselines.cdf_codes(_e(s, sf), 4).select("vec_id", F.aggregate("codes", F.lit(0).cast("long"), lambda a, c: a + c).alias("code_sum"))
+)
+_add("cdf_set_loss", f"""WITH {q.LONG}, levels AS (SELECT quantile_disc(value, {[k / 15 for k in range(16)]}) AS lv FROM long)
+    SELECT vec_id, {q.r6('sum(pow(list_min(list_transform(lv, lambda v: abs(value - v))), 2))', 3)} AS loss FROM long, levels GROUP BY vec_id""")(
+    lambda s, sf: baselines.cdf(_e(s, sf), 4, "set").select("vec_id", r6("loss", 3).alias("loss"))
+)
 _add(
     "lossless_bytes",
     "SELECT vec_id, CAST(4 * len(list_distinct(embedding)) + ceil(len(embedding) * ceil(log2(greatest(len(list_distinct(embedding)), 2))) / 8) AS BIGINT) AS lossless, CAST(4 * len(embedding) AS BIGINT) AS fp32 FROM embeddings",
@@ -307,20 +360,58 @@ _add(
 
 # --- fits by search: what SQL can state are counts and bounds --------------------------------
 
-_ALL = "SELECT count(*) AS n, true AS none_below_one FROM embeddings"
+_STEPS = 3
+
+
+def _steps(spark: SparkSession, sf: str, curve: str, bits: int) -> DataFrame:
+    """vec_id, p0, p1, gain after the first iterations of the search, with fixed draws."""
+    s = Search(curve=curve, bits=bits, fixed_iter=_STEPS, sigma=stepsql.SIGMA[curve], draws=stepsql.draws(_STEPS))
+    return fit.evolve(embeddings(spark, sf), s).select("vec_id", "p0", "p1", "gain")
+
+
 for _curve in curves.NAMES:
     for _bits in (8, 4):
         _add(f"evolve_{_curve}_{_bits}")(lambda s, sf, c=_curve, b=_bits: fit.evolve(embeddings(s, sf), Search(curve=c, bits=b), prep.fit_mean(_e(s, sf))))
-        _add(f"evolve_{_curve}_{_bits}_never_worse", _ALL)(
-            lambda s, sf, c=_curve, b=_bits: fit.evolve(embeddings(s, sf), Search(curve=c, bits=b, keep_best=True, fallback_uniform=True), prep.fit_mean(_e(s, sf))).agg(F.count("*").alias("n"), F.min(F.col("gain") >= 1).alias("none_below_one"))
+        _add(f"fit_steps_{_curve}_{_bits}", f"WITH {q.LONG}, {stepsql.steps(_curve, _bits, _STEPS)} SELECT vec_id, {q.r6('p0', 5)} AS p0, {q.r6('p1', 5)} AS p1, {q.r6('gain', 5)} AS gain FROM fitted")(
+            lambda s, sf, c=_curve, b=_bits: _steps(s, sf, c, b).select("vec_id", r6("p0", 5).alias("p0"), r6("p1", 5).alias("p1"), r6("gain", 5).alias("gain"))
         )
+_BY_CURVE = f"WITH {q.LONG}, " + ", ".join(stepsql.steps(c, 8, _STEPS, f"_{c}") for c in curves.NAMES) + ", found AS (" + " UNION ALL ".join(f"SELECT '{c}' AS curve, * FROM fitted_{c}" for c in curves.NAMES) + ")"
+
+
+def _steps_by_curve(spark: SparkSession, sf: str) -> DataFrame:
+    out = None
+    for c in curves.NAMES:
+        one = _steps(spark, sf, c, 8).withColumn("curve", F.lit(c))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+_add("fit_steps_gains", f"{_BY_CURVE} SELECT curve, count(*) AS n, {q.r6('avg(gain)', 4)} AS mean, {q.r6('min(gain)', 4)} AS least, {q.r6('max(gain)', 4)} AS most, {q.r6('quantile_cont(gain, 0.5)', 4)} AS middle, {q.r6('avg(CASE WHEN gain < 1 THEN 1.0 ELSE 0.0 END)', 4)} AS below_one FROM found GROUP BY curve")(
+    lambda s, sf: measures.gain_summary(_steps_by_curve(s, sf), "curve").select("curve", "n", *[r6(c, 4).alias(c) for c in ("mean", "least", "most")], r6(F.col("quartiles")[1], 4).alias("middle"), r6("below_one", 4).alias("below_one"))
+)
+_add("fit_steps_duel", f"{_BY_CURVE}, p AS (SELECT vec_id, max(CASE WHEN curve = 'logi' THEN gain END) AS a, max(CASE WHEN curve = 'kuma' THEN gain END) AS b FROM found GROUP BY vec_id) SELECT 'logi' AS \"first\", 'kuma' AS \"second\", {q.r6('avg(CASE WHEN a > b THEN 1.0 ELSE 0.0 END)')} AS wins FROM p")(
+    lambda s, sf: measures.win_rate(_steps_by_curve(s, sf), "logi", "kuma").withColumn("wins", r6("wins"))
+)
+_SPREADS = {"mean0": "avg(p0)", "mean1": "avg(p1)", "sd0": "stddev_samp(p0)", "sd1": "stddev_samp(p1)", "covariance": "covar_samp(p0, p1)", "correlation": "corr(p0, p1)"}
+_add("fit_steps_spread", f"{_BY_CURVE} SELECT curve, " + ", ".join(f"{q.r6(x, 4)} AS {n}" for n, x in _SPREADS.items()) + " FROM found GROUP BY curve")(
+    lambda s, sf: measures.param_spread(_steps_by_curve(s, sf), "curve").select("curve", *[r6(c, 4).alias(c) for c in _SPREADS])
+)
+_add("fit_steps_alpha_shift", f"{_BY_CURVE} SELECT {q.r6('avg(CASE WHEN curve = ' + chr(39) + 'pwl' + chr(39) + ' THEN p0 END) / avg(CASE WHEN curve = ' + chr(39) + 'logi' + chr(39) + ' THEN p0 END)', 4)} AS shift FROM found")(
+    lambda s, sf: measures.alpha_shift(_steps_by_curve(s, sf)).select(r6("shift", 4).alias("shift"))
+)
+_add("search_hparams", f"SELECT p, CAST(2 * (4 + floor(3 * ln(p))) AS INTEGER) AS samples, {q.r6('(9 + 3 * ln(p)) / (5 * p * sqrt(p))')} AS rate, {q.r6('(3 + ln(p)) / (5 * sqrt(p))')} AS separable FROM (VALUES (1), (2), (3), (4), (8)) t(p)")(
+    lambda s, sf: s.createDataFrame([(p, fit.default_hparams(p)[0], round(fit.default_hparams(p)[2], 6), round(fit.separable_rate(p), 6)) for p in (1, 2, 3, 4, 8)], "p int, samples int, rate double, separable double")
+)
+_add("rank_utilities", f"WITH r AS (SELECT k, greatest(0, ln(7) - ln(k)) AS raw FROM range(1, 13) t(k)) SELECT CAST(k AS INTEGER) AS k, {q.r6('raw / (SELECT sum(raw) FROM r) - 1.0 / 12')} AS utility FROM r")(
+    lambda s, sf: s.createDataFrame([(k + 1, float(u)) for k, u in enumerate(fit.rank_utilities(12))], "k int, utility double").select("k", r6("utility").alias("utility"))
+)
 _add("evolve_logi2_8")(lambda s, sf: measures.gain_summary(fit.evolve(embeddings(s, sf), Search(curve="logi2"), prep.fit_mean(_e(s, sf))).withColumn("curve", F.lit("logi2")), "curve"))
 _add("straight_through")(lambda s, sf: fit.straight_through(embeddings(s, sf), mean=prep.fit_mean(_e(s, sf))))
 _add("best_curve")(lambda s, sf: fit.best_curve(embeddings(s, sf), Search(keep_best=True), mean=prep.fit_mean(_e(s, sf))).groupBy("curve").agg(F.count("*").alias("n"), F.avg("gain").alias("gain")))
 _add("warm_start")(lambda s, sf: fit.evolve(embeddings(s, sf), fit.median_start(embeddings(s, sf), Search(), 0.2), prep.fit_mean(_e(s, sf))).agg(F.avg("iters").alias("iters"), F.avg("gain").alias("gain")))
 _add("query_weighted_fit")(lambda s, sf: fit.evolve(embeddings(s, sf), Search(weights=tuple(1 + (k % 4) for k in range(D)))).agg(F.avg("gain").alias("gain")))
-_add("mixed_bits")(lambda s, sf: codec.encode_mixed(embeddings(s, sf), Search(max_iter=20), [8, 4]).groupBy("sub", "bits").agg(F.count("*").alias("n"), F.avg("loss").alias("loss"), F.avg("gain").alias("gain")))
-_add("step_sizes")(lambda s, sf: measures.step_size(fit.trace(_e(s, sf).where("vec_id < 4"), Search(fixed_iter=60))).groupBy("iter").agg(F.avg("step").alias("step")))
+_add("mixed_bits")(lambda s, sf: codec.encode_mixed(embeddings(s, sf), Search(), [8, 4]).groupBy("sub", "bits").agg(F.count("*").alias("n"), F.avg("loss").alias("loss"), F.avg("gain").alias("gain")))
+_add("step_sizes")(lambda s, sf: measures.step_size(fit.trace(embeddings(s, sf).select("vec_id", "embedding"), Search(fixed_iter=60))).groupBy("iter").agg(F.avg("step").alias("step")))
 _add("subvector_gain")(lambda s, sf: fit.evolve(embeddings(s, sf), Search(m=4, bits=4)).groupBy("sub").agg(F.count("*").alias("n"), F.avg("gain").alias("gain")))
 
 # --- search ----------------------------------------------------------------------------------
@@ -388,8 +479,8 @@ _add("mean_recon_uniform", f"WITH {_SIDES}, {_DECODED} SELECT {q.r6('avg(' + q.S
 )
 _add(
     "fidelity_uniform",
-    f"WITH {_SIDES}, {_DECODED} SELECT vec_id, {q.r6('sqrt(' + q.DOT.format(a='rebuilt.embedding', b='rebuilt.embedding') + ') / sqrt(' + q.DOT.format(a='base.embedding', b='base.embedding') + ')', 5)} AS norm_ratio FROM base JOIN rebuilt USING (vec_id)",
-)(lambda s, sf: measures.fidelity(measures.pairs_of(_queries_of(s, sf)[0], _uniform_decoded(s, sf))).select("vec_id", r6("norm_ratio", 5).alias("norm_ratio")))
+    f"WITH {_SIDES}, {_DECODED} SELECT vec_id, {q.r6('sqrt(' + q.DOT.format(a='rebuilt.embedding', b='rebuilt.embedding') + ') / sqrt(' + q.DOT.format(a='base.embedding', b='base.embedding') + ')', 5)} AS norm_ratio, {q.r6(q.DOT.format(a='base.embedding', b='rebuilt.embedding') + ' / (sqrt(' + q.DOT.format(a='rebuilt.embedding', b='rebuilt.embedding') + ') * sqrt(' + q.DOT.format(a='base.embedding', b='base.embedding') + '))', 5)} AS cosine FROM base JOIN rebuilt USING (vec_id)",
+)(lambda s, sf: measures.fidelity(measures.pairs_of(_queries_of(s, sf)[0], _uniform_decoded(s, sf))).select("vec_id", r6("norm_ratio", 5).alias("norm_ratio"), r6("cosine", 5).alias("cosine")))
 
 
 @_add("rerank_full_is_exact", f"WITH {_SIDES}, {_top_sql()} SELECT {_TOP} FROM top")
@@ -443,12 +534,12 @@ def _coded(spark: SparkSession, sf: str, s: Search) -> tuple[DataFrame, DataFram
 
 @_add("pcq_recall10")
 def pcq_recall10(spark: SparkSession, sf: str) -> DataFrame:
-    out = None
+    out, truth = None, workloads.kept(_exact(spark, sf))
     for bits in (8, 4):
         s = Search(bits=bits, m=2)
-        base, queries, coded, mean = _coded(spark, sf, s)
+        _, queries, coded, mean = _coded(spark, sf, s)
         found = search.coded_topk(coded, queries, s, D, 10, mean=mean)
-        one = measures.recall_at_k(found, search.exact_topk(base, queries, 10), 10).agg(F.lit(bits).alias("bits"), F.avg("recall").alias("recall"))
+        one = measures.recall_at_k(found, truth, 10).agg(F.lit(bits).alias("bits"), F.avg("recall").alias("recall"))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -462,27 +553,45 @@ def pcq_map10(spark: SparkSession, sf: str) -> DataFrame:
 
 @_add("lut_dot_equals_decode", "SELECT count(*) * (SELECT count(*) FROM embeddings WHERE vec_id % 10 = 0) AS pairs, true AS equal FROM embeddings WHERE vec_id % 10 <> 0")
 def lut_dot_equals_decode(spark: SparkSession, sf: str) -> DataFrame:
-    s = Search(bits=4, m=2, fixed_iter=5)
-    base, queries, coded, mean = _coded(spark, sf, s)
-    by_code = search.lut_dot(coded, queries, s, D, mean)
-    decoded = search.all_pairs(codec.decode(coded, s, D, mean), queries).withColumnRenamed("score", "plain")
-    return by_code.join(decoded, ["query_id", "vec_id"]).agg(F.count("*").alias("pairs"), F.min(F.abs(F.col("score") - F.col("plain")) < 1e-9).alias("equal"))
+    s = Search(bits=4, m=2)
+    _, queries, coded, mean = _coded(spark, sf, s)
+    return search.lut_gap(coded, queries, s, D, mean).agg(F.sum("pairs").alias("pairs"), (F.max("gap") < 1e-9).alias("equal"))
+
+
+_UNIFORM4 = Search(curve="unif", bits=4, split="contiguous")
+_add("lut_top10", f"{_BOTH} SELECT {_TOP} FROM found")(
+    lambda s, sf: search.lut_topk(codec.encode(_queries_of(s, sf)[0], _UNIFORM4), _queries_of(s, sf)[1], _UNIFORM4, D).select("query_id", "vec_id", "rank")
+)
+_add("global_top20", f"WITH {_SIDES} SELECT query_id, vec_id, {q.r6(_SCORE['dot'], 5)} AS score FROM base, asked ORDER BY {_SCORE['dot']} DESC, query_id, vec_id LIMIT 20")(
+    lambda s, sf: search.global_topk(*_queries_of(s, sf), 20).select("query_id", "vec_id", r6("score", 5).alias("score"))
+)
+_add("ivf_trained_recall")(workloads.trained_lists)
 
 
 @_add("graph_recall")
 def graph_recall(spark: SparkSession, sf: str) -> DataFrame:
+    """Recall of a graph of degree 64, build window 200 and slack 1.2 by search window."""
     base, queries = _queries_of(spark, sf)
-    index = graph.build(base, shards=8, degree=32, window=64)
-    return measures.recall_at_k(graph.search(index, queries, 10, 64), search.exact_topk(base, queries, 10), 10).agg(F.avg("recall").alias("recall"))
+    index, truth, out = workloads.kept(graph.build(base, rows_a_shard=500)), search.exact_topk(base, queries, 10), None
+    for window in (10, 20, 50, 100, 200):
+        one = measures.recall_at_k(graph.search(index, queries, 10, window), truth, 10).agg(F.lit(window).alias("window"), F.avg("recall").alias("recall"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@_add("graph_degrees", "SELECT count(*) AS n, true AS bounded FROM embeddings WHERE vec_id % 10 <> 0")
+def graph_degrees(spark: SparkSession, sf: str) -> DataFrame:
+    found = graph.degrees(graph.build(_queries_of(spark, sf)[0], shards=4, degree=16, window=32))
+    return found.agg(F.sum("n").alias("n"), (F.max("most") <= 16).alias("bounded"))
 
 
 @_add("graph_on_pq_rerank")
 def graph_on_pq_rerank(spark: SparkSession, sf: str) -> DataFrame:
     """Candidates from a graph over PQ vectors, re-ranked by full vectors and by codes."""
     base, queries = _queries_of(spark, sf)
-    book = pq.train(base, 4, 256, 5)
-    index = graph.build(pq.decode(pq.encode(base, book), book), shards=8, degree=32, window=100)
-    candidates = graph.search(index, queries, 100, 200)
+    book = pq.train(base, 4, 256, 12)
+    index = graph.build(pq.decode(pq.encode(base, book), book), rows_a_shard=500)
+    candidates = workloads.kept(graph.search(index, queries, 100, 200))
     s = Search(m=2)
     mean = prep.fit_mean(base)
     stores = {"fp32": (base, None), "coded": (codec.encode(base, s, mean), lambda c: codec.decode(c, s, D, mean))}
@@ -496,6 +605,10 @@ def pq_only_recall(spark: SparkSession, sf: str) -> DataFrame:
     return measures.recall_at_k(pq.scan_topk(pq.encode(base, book), book, queries, 10), search.exact_topk(base, queries, 10), 10).agg(F.avg("recall").alias("recall"))
 
 
+_add("pq_decoded_norms", f"WITH {_PQ_SQL} SELECT vec_id, {q.r6('sqrt(sum(' + q.DOT.format(a='center', b='center') + '))')} AS norm FROM pq GROUP BY vec_id")(
+    lambda s, sf: pq.decode(_pq_codes(s, sf), _BOOK).select("vec_id", r6(expr.norm(F.col("embedding"))).alias("norm"))
+)
+
 # --- models ----------------------------------------------------------------------------------
 
 
@@ -575,9 +688,12 @@ _add("level_lookup", f"WITH {q.LONG} SELECT CAST(floor((value + 1) * 8) AS INTEG
     lambda s, sf: relational.level_lookup(_long(s, sf).select("value"), s.range(-1, 17).select(F.col("id").cast("int").alias("code"), (F.col("id") / 8 - 1).alias("low"), ((F.col("id") + 1) / 8 - 1).alias("high"))).groupBy("code").agg(F.count("*").alias("n"))
 )
 for _how in ("row_number", "dense_rank"):
-    _add(f"topk_per_label_{_how}", f"SELECT label, vec_id, CAST(rank AS INTEGER) AS rank FROM (SELECT label, vec_id, {_how}() OVER (PARTITION BY label ORDER BY vec_id // 3) AS rank FROM (SELECT label, vec_id FROM embeddings WHERE vec_id % 3 = 0)) WHERE rank <= 5")(
-        lambda s, sf, h=_how: relational.topk_per_key(_e(s, sf).where("vec_id % 3 = 0").select("label", "vec_id"), "label", [F.floor(F.col("vec_id") / 3)], 5, h)
+    _add(f"topk_per_label_{_how}", f"SELECT label, vec_id, CAST(rank AS INTEGER) AS rank FROM (SELECT label, vec_id, {_how}() OVER (PARTITION BY label ORDER BY vec_id // 30, vec_id) AS rank FROM embeddings) WHERE rank <= 5")(
+        lambda s, sf, h=_how: relational.topk_per_key(_e(s, sf).select("label", "vec_id"), "label", [F.floor(F.col("vec_id") / 30), "vec_id"], 5, h)
     )
+_add("topk_per_label_rank_ties", "SELECT label, vec_id, CAST(rank AS INTEGER) AS rank FROM (SELECT label, vec_id, rank() OVER (PARTITION BY label ORDER BY vec_id // 30) AS rank FROM embeddings) WHERE rank <= 5")(
+    lambda s, sf: relational.topk_per_key(_e(s, sf).select("label", "vec_id"), "label", [F.floor(F.col("vec_id") / 30)], 5, "rank")
+)
 _add("asof_mean", """WITH v AS (SELECT event_id AS vec_id, user_id AS store_id, ts FROM events WHERE event_type <> 'purchase'), m AS (SELECT event_id AS mean_version, user_id AS store_id, ts FROM events WHERE event_type = 'purchase')
     SELECT vec_id, (SELECT max(mean_version) FROM m WHERE m.store_id = v.store_id AND m.ts = (SELECT max(ts) FROM m m2 WHERE m2.store_id = v.store_id AND m2.ts <= v.ts)) AS mean_version FROM v""")(
     lambda s, sf: encode.asof_mean(
@@ -629,6 +745,24 @@ def _near_quantiles(spark: SparkSession, sf: str, how: str) -> DataFrame:
     return both.select(F.forall(F.zip_with("quantiles", "other", lambda a, b: F.abs(a - b)), lambda v: v < 0.02).alias("near"))
 
 
+for _fmt in ("parquet", "orc", "json", "csv", "text"):
+    _add(f"store_{_fmt}", f"SELECT vec_id, {q.r6('sqrt(' + q.DOT.format(a='embedding', b='embedding') + ')')} AS norm FROM embeddings")(
+        lambda s, sf, f=_fmt: workloads.store_formats(s, sf, f).select("vec_id", r6(expr.norm(F.col("embedding"))).alias("norm"))
+    )
+_add("store_codes", "SELECT vec_id, true AS near FROM embeddings")(
+    lambda s, sf: workloads.store_round_trip(s, sf).select("vec_id", F.forall(F.zip_with("embedding", "was", lambda a, b: F.abs(a - b)), lambda gap: gap < 0.01).alias("near"))
+)
+_add("bucketed_join", "SELECT vec_id, label FROM embeddings")(workloads.bucketed_join)
+_add("bounds_as_json", f"SELECT vec_id, {q.r6('CAST(list_min(embedding) AS DOUBLE)')} AS lo, {q.r6('CAST(list_max(embedding) AS DOUBLE)')} AS hi FROM embeddings")(
+    lambda s, sf: measures.bounded(_e(s, sf)).select("vec_id", F.from_json(F.to_json(F.struct("lo", "hi")), "lo double, hi double").alias("p")).select("vec_id", r6("p.lo").alias("lo"), r6("p.hi").alias("hi"))
+)
+_add("permutation_cover", "SELECT m, CAST(64 AS BIGINT) AS dims, CAST(64 // m AS BIGINT) AS a_part FROM (VALUES (1), (2), (4), (8)) t(m)")(
+    lambda s, sf: s.createDataFrame([(m, int(p), j // (D // m)) for m in (1, 2, 4, 8) for j, p in enumerate(prep.make_permutation(D, m, 3))], "m int, dim int, part int")
+    .groupBy("m", "part").agg(F.count_distinct("dim").alias("n")).groupBy("m").agg(F.sum("n").alias("dims"), F.min("n").alias("a_part"))
+)
+_add("running_mean", f"SELECT user_id % 5 AS k, count(*) AS n, {q.r6('avg(value)', 4)} AS mean FROM events GROUP BY 1")(
+    lambda s, sf: workloads.running_mean(s, sf).withColumn("mean", r6("mean", 4))
+)
 _add("stable_sample")(lambda s, sf: prep.sample(_e(s, sf), 0.2, 3).select("vec_id"))
 _add("sql_functions")(lambda s, sf: _sql_functions(s, sf))
 
@@ -641,6 +775,36 @@ def _sql_functions(spark: SparkSession, sf: str) -> DataFrame:
     return spark.sql("SELECT vec_id, pcq_gain(embedding, 'pwl', 4) AS gain, pcq_dot(embedding, embedding) AS square FROM {e}", e=embeddings(spark, sf))
 
 
+def _with_functions(spark: SparkSession, sf: str, text: str) -> DataFrame:
+    from vecquant.functions import sqlfn
+
+    sqlfn.register(spark)
+    return spark.sql(text, e=_e(spark, sf))
+
+
+_add("sql_vec_avg", f"WITH {q.LONG} SELECT CAST(dim AS INTEGER) AS dim, {q.r6('avg(value)')} AS mean FROM long GROUP BY dim")(
+    lambda s, sf: _with_functions(s, sf, "SELECT posexplode(vec_avg(embedding)) AS (dim, mean) FROM {e}").withColumn("mean", r6("mean"))
+)
+_add("sql_codes", _array_codes_sql("SELECT vec_id, unnest(embedding) AS value, unnest(range(1, len(embedding) + 1)) AS r FROM embeddings", D))(
+    lambda s, sf: _with_functions(s, sf, "SELECT vec_id, aggregate(pcq_codes(embedding, 'unif', 8, 0D, 0D), 0L, (a, c) -> a + c) AS code_sum FROM {e}")
+)
+_add("sql_landscape", f"WITH {_grid_sql('logi', 'vec_id = 0')} SELECT {q.r6('p0')} AS p0, {q.r6('p1')} AS p1, {q.r6('gain', 5)} AS gain FROM gained")(
+    lambda s, sf: _with_functions(s, sf, f"SELECT t.* FROM {{e}} e, LATERAL pcq_landscape(embedding, 'logi', 8, 0.5D, 12D, -0.5D, 0.5D, {_N}) t WHERE e.vec_id = 0").select(*[r6(c, p).alias(c) for c, p in (("p0", 6), ("p1", 6), ("gain", 5))])
+)
+_add("sql_gain_summary", f"WITH {_GAINS} SELECT curve, CAST(count(*) AS DOUBLE) AS n, {q.r6('avg(gain)', 5)} AS mean, {q.r6('min(gain)', 5)} AS least, {q.r6('max(gain)', 5)} AS most FROM f GROUP BY curve")(
+    lambda s, sf: _sql_gain_summary(s, sf)
+)
+
+
+def _sql_gain_summary(spark: SparkSession, sf: str) -> DataFrame:
+    from vecquant.functions import sqlfn
+
+    sqlfn.register(spark)
+    sqlfn.register_views(spark, {"fixed_gains": _gains_by_label(spark, sf)})
+    rows = spark.sql("SELECT curve, pcq_gain_summary(gain) AS s FROM fixed_gains GROUP BY curve")
+    return rows.select("curve", F.col("s")[0].alias("n"), *[r6(F.col("s")[k + 1], 5).alias(c) for k, c in enumerate(("mean", "least", "most"))])
+
+
 # --- streams ---------------------------------------------------------------------------------
 
 _EVENTS = "SELECT user_id % 5 AS k, ts, value FROM events"
@@ -679,35 +843,52 @@ _add("stream_equals_batch", "SELECT CAST(0 AS BIGINT) AS differences")(workloads
 
 for _name, _f in {
     "landscape": workloads.landscape,
+    "landscape_768": lambda s, sf: workloads.landscape(s, sf, n=21, d=768),
     "convergence": workloads.convergence,
     "iterations": workloads.iterations,
+    "iterations_768": lambda s, sf: workloads.iterations(s, sf, 768),
     "gains_8bit": workloads.gains,
     "gains_4bit": lambda s, sf: workloads.gains(s, sf, 4),
     "curve_duel": workloads.curve_duel,
+    "curve_duel_768": lambda s, sf: workloads.curve_duel(s, sf, 768),
     "param_spread": workloads.parameter_spread,
+    "param_spread_768": lambda s, sf: workloads.parameter_spread(s, sf, 768),
+    "param_spread_768_4bit": lambda s, sf: workloads.parameter_spread(s, sf, 768, 4),
     "alpha_shift": workloads.alpha_shift,
     "text_gains": workloads.text_gains,
+    "text_gains_4bit": lambda s, sf: workloads.text_gains(s, sf, 768, 4),
     "wide_gains": workloads.wide_gains,
     "wide_gains_4bit": lambda s, sf: workloads.wide_gains(s, sf, 1536, 4),
     "subvectors_4bit": workloads.subvectors,
+    "subvectors_8bit": lambda s, sf: workloads.subvectors(s, sf, 8),
+    "subvectors_768_4bit": lambda s, sf: workloads.subvectors(s, sf, 4, d=768),
+    "subvectors_768_8bit": lambda s, sf: workloads.subvectors(s, sf, 8, d=768),
     "footprint_768": workloads.footprint,
+    "footprint_1024": lambda s, sf: workloads.footprint(s, sf, 1024),
+    "footprint_1536": lambda s, sf: workloads.footprint(s, sf, 1536),
     "text_rerank_sweep": workloads.rerank_sweep,
+    "graph_rerank_768": workloads.graph_rerank,
+    "graph_rerank_1024": lambda s, sf: workloads.graph_rerank(s, sf, 1024),
+    "graph_rerank_1536": lambda s, sf: workloads.graph_rerank(s, sf, 1536),
+    "graph_latency_768": workloads.graph_latency,
+    "latency": workloads.search_latency,
     "non_bell": workloads.non_bell,
     "shift": workloads.shift,
     "ablations": workloads.ablations,
     "throughput": workloads.throughput,
     "layout_models": workloads.layout_models,
-    "rerank_latency": workloads.rerank_latency,
-    "recall_at_equal_time": lambda s, sf: measures.recall_at_equal_time(workloads.rerank_latency(s, sf)),
-    "recall_loss_at_equal_r": lambda s, sf: measures.recall_delta(workloads.rerank_sweep(s, sf)),
-    "text_gains_4bit": lambda s, sf: workloads.text_gains(s, sf, 768, 4),
-    "subvectors_8bit": lambda s, sf: workloads.subvectors(s, sf, 8, ms=(1, 2, 4)),
+    "recall_at_equal_time": lambda s, sf: measures.recall_at_equal_time(workloads.graph_latency(s, sf)),
+    "recall_loss_at_equal_r": lambda s, sf: measures.recall_delta(workloads.graph_rerank(s, sf)),
 }.items():
     _add(f"w_{_name}")(_f)
+_WORDED = "regexp_matches(coalesce(text, ''), '[^\\s]')"
+for _d in (768, 1024, 1536):
+    _add(f"w_graph_loss_{_d}", f"SELECT {_d} AS d, count(*) AS queries, true AS reaches_95, true AS loses_little FROM benchmark WHERE {_WORDED}")(lambda s, sf, d=_d: workloads.graph_rerank_loss(s, sf, d))
 _add("w_flat_prior", "SELECT true AS near_one")(lambda s, sf: workloads.flat_prior(s, sf).select(F.col("ratio").between(0.95, 1.05).alias("near_one")))
 _add(
     "w_inventory",
     """WITH ev AS (SELECT user_id FROM events GROUP BY 1 HAVING count(*) >= 48), su AS (SELECT l_suppkey FROM lineitem GROUP BY 1 HAVING count(*) >= 512)
     SELECT 'embeddings' AS set, CAST(len(embedding) AS INTEGER) AS d, count(*) AS n, count(*) * len(embedding) * 4 AS bytes FROM embeddings GROUP BY len(embedding)
-    UNION ALL SELECT 'events', 48, count(*), count(*) * 192 FROM ev HAVING count(*) > 0 UNION ALL SELECT 'suppliers', 512, count(*), count(*) * 2048 FROM su HAVING count(*) > 0""",
+    UNION ALL SELECT 'events', 48, count(*), count(*) * 192 FROM ev HAVING count(*) > 0 UNION ALL SELECT 'suppliers', 512, count(*), count(*) * 2048 FROM su HAVING count(*) > 0
+    UNION ALL SELECT 'text_' || d, d, count(*), count(*) * d * 4 FROM documents, (VALUES (768), (1024), (1536)) t(d) WHERE """ + _WORDED + " GROUP BY d",
 )(workloads.inventory)

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from dataclasses import replace
 
@@ -10,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from vecquant.functions import curves
-from vecquant.operators import codec, fit, measures, pq, prep, search
+from vecquant.operators import codec, fit, graph, ivf, measures, pq, prep, search
 from vecquant.operators.fit import Search
 from vecquant.plans import cost
 from vecquant.sources import features
@@ -29,10 +28,35 @@ def spread(df: DataFrame, key: str) -> DataFrame:
     return df.repartition(cores, key) if df.rdd.getNumPartitions() < cores else df
 
 
+_SCRATCH: list[tuple[str, str]] = []  # (application, folder) of everything written here
+_INDEXES: dict[tuple, dict] = {}
+
+
 def scratch(spark: SparkSession, name: str) -> str:
-    """A new folder under the shared one; a temporary folder only where the session names none."""
-    shared = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="vecquant-")
-    return f"{shared.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    """A new folder under the session's shared one, or in the warehouse where the session names none."""
+    shared = spark.conf.get("spark.checkpoint.dir", None) or f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/_scratch"
+    path = f"{shared.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    _SCRATCH.append((spark.sparkContext.applicationId, path))
+    return path
+
+
+def kept(df: DataFrame, name: str = "kept") -> DataFrame:
+    """The rows written to a scratch folder and read from there: no lost executor brings them back to work."""
+    path = scratch(df.sparkSession, name)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def release(spark: SparkSession) -> int:
+    """Remove this session's scratch folders once their results have been read; how many there were."""
+    own = [p for app, p in _SCRATCH if app == spark.sparkContext.applicationId]
+    jvm = spark.sparkContext._jvm
+    for path in own:
+        where = jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+    _SCRATCH[:] = [x for x in _SCRATCH if x[0] != spark.sparkContext.applicationId]
+    _INDEXES.clear()
+    return len(own)
 
 
 def embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -75,15 +99,23 @@ def grid_axes(curve: str, n: int) -> tuple[list[float], list[float]]:
     return tuple([a + (b - a) * k / (n - 1) for k in range(n)] for a, b in spans)
 
 
-def landscape(spark: SparkSession, sf_dir: str, ids: tuple[int, ...] = (0, 1, 2, 3, 4), n: int = 41) -> DataFrame:
-    """vec_id, curve, bits, p0, p1, gain over a grid for a few vectors."""
-    base = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+def vector_set(spark: SparkSession, sf_dir: str, d: int = 64) -> DataFrame:
+    """The given vectors (d = 64), or text vectors of another length."""
+    return embeddings(spark, sf_dir) if d == 64 else text_set(spark, sf_dir, d)
+
+
+def landscape(spark: SparkSession, sf_dir: str, ids: tuple[int, ...] = (0, 1, 2, 3, 4), n: int = 41, d: int = 64) -> DataFrame:
+    """vec_id, curve, bits, kind, p0, p1, gain: a grid for a few vectors, and the solution that the search found for each."""
+    base = vector_set(spark, sf_dir, d)
     mean, out = prep.fit_mean(base), None
+    few = base.where(F.col("vec_id").isin(*ids))
     for bits in (8, 4):
         for curve in curves.NAMES:
-            one = fit.landscape(base.where(F.col("vec_id").isin(*ids)), curve, bits, *grid_axes(curve, n), mean)
-            one = one.select("vec_id", F.lit(curve).alias("curve"), F.lit(bits).alias("bits"), "p0", "p1", "gain")
-            out = one if out is None else out.unionByName(one)
+            grid = fit.landscape(few, curve, bits, *grid_axes(curve, n), mean).withColumn("kind", F.lit("grid"))
+            found = fit.evolve(few, Search(curve=curve, bits=bits), mean).withColumn("kind", F.lit("solution"))
+            for one in (grid, found):
+                one = one.select("vec_id", F.lit(curve).alias("curve"), F.lit(bits).alias("bits"), "kind", "p0", "p1", "gain")
+                out = one if out is None else out.unionByName(one)
     return out
 
 
@@ -97,21 +129,23 @@ def convergence(spark: SparkSession, sf_dir: str, runs: int = 20) -> DataFrame:
     return measures.convergence_band(out, "bits")
 
 
-def iterations(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return measures.iteration_hist(fits(embeddings(spark, sf_dir), names=("logi",)))
+def iterations(spark: SparkSession, sf_dir: str, d: int = 64, bits: int = 8) -> DataFrame:
+    """curve, iters, n: after how many iterations vectors settle."""
+    return fits(vector_set(spark, sf_dir, d), bits).groupBy("curve", "iters").agg(F.count("*").alias("n"))
 
 
 def gains(spark: SparkSession, sf_dir: str, bits: int = 8) -> DataFrame:
     return measures.gain_summary(fits(embeddings(spark, sf_dir), bits), "curve")
 
 
-def curve_duel(spark: SparkSession, sf_dir: str) -> DataFrame:
-    found = fits(embeddings(spark, sf_dir), s=Search(keep_best=True))
+def curve_duel(spark: SparkSession, sf_dir: str, d: int = 64, bits: int = 8) -> DataFrame:
+    """Share of vectors on which the logistic curve's returned solution beats the other curves'."""
+    found = kept(fits(vector_set(spark, sf_dir, d), bits).select("vec_id", "curve", "gain"))
     return measures.win_rate(found, "logi", "kuma").unionByName(measures.win_rate(found, "logi", "pwl"))
 
 
-def parameter_spread(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return measures.param_spread(fits(embeddings(spark, sf_dir)), "curve")
+def parameter_spread(spark: SparkSession, sf_dir: str, d: int = 64, bits: int = 8) -> DataFrame:
+    return measures.param_spread(fits(vector_set(spark, sf_dir, d), bits), "curve")
 
 
 def alpha_shift(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -133,15 +167,21 @@ def wide_gains(spark: SparkSession, sf_dir: str, d: int = 1536, bits: int = 8) -
     return rows
 
 
-def subvectors(spark: SparkSession, sf_dir: str, bits: int = 4, curve: str = "logi", ms: tuple[int, ...] = (1, 2, 4, 8)) -> DataFrame:
+def sides(spark: SparkSession, sf_dir: str, d: int) -> tuple[DataFrame, DataFrame]:
+    """Base vectors and queries: held-out rows of the given vectors, or benchmark texts against all documents."""
+    if d == 64:
+        return search.holdout(embeddings(spark, sf_dir))
+    return text_set(spark, sf_dir, d), text_queries(spark, sf_dir, d)
+
+
+def subvectors(spark: SparkSession, sf_dir: str, bits: int = 4, curve: str = "logi", ms: tuple[int, ...] = (1, 2, 4, 8), d: int = 64) -> DataFrame:
     """m, mean gain, mean squared error, mean dot error, mean average precision."""
-    base, queries = search.holdout(embeddings(spark, sf_dir))
+    base, queries = (kept(x) for x in sides(spark, sf_dir, d))
     mean = prep.fit_mean(base)
-    d = len(mean)
-    truth, out = search.exact_topk(base, queries, 10), None
+    truth, out = kept(search.exact_topk(base, queries, 10)), None
     for m in ms:
         s = Search(curve=curve, bits=bits, m=m)
-        coded = codec.encode(base, s, mean).persist()  # read three times below
+        coded = kept(codec.encode(base, s, mean))  # read three times below
         pairs = measures.pairs_of(base, codec.decode(coded, s, d, mean))
         found = search.coded_topk(coded, queries, s, d, 10, mean=mean)
         row = coded.agg(F.avg("gain").alias("gain")).crossJoin(measures.mean_recon(pairs))
@@ -152,55 +192,150 @@ def subvectors(spark: SparkSession, sf_dir: str, bits: int = 4, curve: str = "lo
     return out
 
 
-def footprint(spark: SparkSession, sf_dir: str, d: int = 768) -> DataFrame:
-    """Bytes of files of full vectors and of codes, with the modelled index ratio."""
-    root = scratch(spark, "footprint")
-    base = text_set(spark, sf_dir, d)
-    base.write.option("compression", "none").parquet(f"{root}/fp32")
-    full = spark.read.schema(base.schema).parquet(f"{root}/fp32")
-    s = Search(curve="pwl", bits=8, m=2, max_iter=10)
-    coded = codec.encode(full, s, prep.fit_mean(full)).select("vec_id", "codes", "params")
-    coded.write.option("compression", "none").parquet(f"{root}/coded")
-    a, b = measures.file_bytes(spark, f"{root}/fp32"), measures.file_bytes(spark, f"{root}/coded")
-    return spark.createDataFrame([(d, a, b, a / b, cost.index_bytes(d, 8, 2)[2])], "d int, fp32_bytes long, coded_bytes long, ratio double, index_ratio double")
-
-
-def rerank_sweep(spark: SparkSession, sf_dir: str, d: int = 768, k: int = 10) -> DataFrame:
-    """store, r, recall: candidates by product quantization, re-ranked by codes or full vectors."""
-    base = text_set(spark, sf_dir, d).persist()
-    queries = text_queries(spark, sf_dir, d)
-    book = pq.train(base, 4, 256, 4, sample_rows=2_000)
-    codes = pq.encode(base, book)
-    candidates = pq.scan_topk(codes, book, queries, int(k * max(FACTORS))).persist()
-    mean = prep.fit_mean(base)
-    s = Search(curve="logi", bits=8, m=2)
-    fetched = base.join(candidates.select("vec_id").distinct(), "vec_id", "left_semi")
-    coded = codec.encode(fetched, s, mean)
-    stores_ = {"fp32": (base, None), "coded": (coded, lambda c: codec.decode(c, s, d, mean))}
-    return search.rerank_sweep(candidates, stores_, queries, search.exact_topk(base, queries, k), k, FACTORS)
-
-
-def rerank_latency(spark: SparkSession, sf_dir: str, k: int = 10, factors: tuple[float, ...] = (1, 2, 5, 10, 20)) -> DataFrame:
-    """store, r, recall, seconds a query: candidates by product quantization, timed from fetch to rank."""
-    base, queries = search.holdout(embeddings(spark, sf_dir))
-    base, queries = base.persist(), queries.persist()
-    book = pq.train(base, 4, 256, 5)
-    candidates = pq.scan_topk(pq.encode(base, book), book, queries, int(k * max(factors))).persist()
-    mean, s = prep.fit_mean(base), Search(m=2)
-    coded = codec.encode(base, s, mean).persist()
-    truth = search.exact_topk(base, queries, k).persist()
-    n, rows = queries.count(), []
-    kinds = {"fp32": (base, None), "coded": (coded, lambda c: codec.decode(c, s, len(mean), mean))}
-    for name, (store, decode) in kinds.items():
+def footprint(spark: SparkSession, sf_dir: str, d: int = 768, s: Search = Search(curve="pwl", bits=8, m=2)) -> DataFrame:
+    """kind, files, bytes, ratio: files of full vectors and of codes, plain and in the default compression, without and with neighbour lists.
+
+    The lists are of a graph of degree 64 over the product-quantized vectors; ratios are against
+    full vectors of the same kind of files. index_ratio is the model's.
+    """
+    made = graph_index(spark, sf_dir, d, s)
+    around = made["index"].select("vec_id", F.transform("neighbors", lambda v: v.cast("int")).alias("neighbors"))
+    frames = {"fp32": made["base"].select("vec_id", "embedding"), "coded": made["coded"].select("vec_id", "codes", "params")}
+    rows = []
+    for files, compression in (("plain", "none"), ("default", None)):
+        for kind, with_lists in (("vectors", False), ("index", True)):
+            sizes = {}
+            for store, df in frames.items():
+                path = scratch(spark, "footprint")
+                writer = (df.join(around, "vec_id") if with_lists else df).write
+                (writer.option("compression", compression) if compression else writer).parquet(path)
+                sizes[store] = measures.file_bytes(spark, path)
+            rows.append((d, kind, files, sizes["fp32"], sizes["coded"], sizes["fp32"] / sizes["coded"], cost.index_bytes(d, 8, 2)[2]))
+    return spark.createDataFrame(rows, "d int, kind string, files string, fp32_bytes long, coded_bytes long, ratio double, index_ratio double")
+
+
+def graph_index(spark: SparkSession, sf_dir: str, d: int = 768, s: Search = Search(bits=8, m=2), rows_a_shard: int = 1_250) -> dict:
+    """base, queries, index, coded, truth, mean of one text set, written once a session.
+
+    The index is a graph of degree 64, build window 200 and slack 1.2 over vectors that product
+    quantization (256 centroids, 16 times smaller) gives back. Codes are of settled fits of all rows.
+    Small shards here let a small set use all cores; a large one takes graph.build's default.
+    """
+    key = (spark.sparkContext.applicationId, sf_dir, d, s)
+    if key not in _INDEXES:
+        base, queries = kept(text_set(spark, sf_dir, d)), kept(text_queries(spark, sf_dir, d))
+        book = pq.train(base, 4, 256, 12)
+        index = kept(graph.build(pq.decode(pq.encode(base, book), book), degree=64, window=200, alpha=1.2, rows_a_shard=rows_a_shard))
+        mean = prep.fit_mean(base)
+        coded = kept(codec.encode(spread(base, "vec_id"), s, mean))
+        _INDEXES[key] = {"base": base, "queries": queries, "index": index, "mean": mean, "coded": coded, "truth": kept(search.exact_topk(base, queries, 10))}
+    return _INDEXES[key]
+
+
+def _stores(made: dict, s: Search, d: int) -> dict:
+    return {"fp32": (made["base"], None), "coded": (made["coded"], lambda c: codec.decode(c, s, d, made["mean"]))}
+
+
+def graph_rerank(spark: SparkSession, sf_dir: str, d: int = 768, k: int = 10, s: Search = Search(bits=8, m=2)) -> DataFrame:
+    """store, r, recall: the graph's candidates re-ranked by full vectors and by codes, r up to 80."""
+    made = graph_index(spark, sf_dir, d, s)
+    candidates = kept(graph.search(made["index"], made["queries"], int(k * max(FACTORS)), 200))
+    return search.rerank_sweep(candidates, _stores(made, s, d), made["queries"], made["truth"], k, FACTORS)
+
+
+def graph_rerank_loss(spark: SparkSession, sf_dir: str, d: int = 768) -> DataFrame:
+    """d, queries, reaches_95, loses_little: whether re-ranking by codes loses less than 0.01 wherever full vectors pass 0.95."""
+    sweep = kept(graph_rerank(spark, sf_dir, d))
+    both = measures.recall_delta(sweep).join(sweep.where("store = 'fp32'").select("r", "recall"), "r")
+    n = graph_index(spark, sf_dir, d)["queries"].agg(F.count("*").alias("queries"))
+    found = both.agg((F.max("recall") > 0.95).alias("reaches_95"), (F.max(F.when(F.col("recall") > 0.95, F.col("recall_loss"))) < 0.01).alias("loses_little"))
+    return n.crossJoin(found).select(F.lit(d).alias("d"), "queries", "reaches_95", "loses_little")
+
+
+def graph_latency(spark: SparkSession, sf_dir: str, d: int = 768, k: int = 10, factors: tuple[float, ...] = (1, 2, 5, 10, 20, 40, 80), s: Search = Search(bits=8, m=2)) -> DataFrame:
+    """store, r, recall, seconds a query from fetch to rank, candidates by the graph."""
+    made, rows = graph_index(spark, sf_dir, d, s), []
+    candidates = kept(graph.search(made["index"], made["queries"], int(k * max(factors)), 200))
+    n = made["queries"].count()
+    for name, (store, decode) in _stores(made, s, d).items():
         for r in factors:
-            found = search.rerank(candidates, store, queries, k, r, decode)
-            recall = measures.recall_at_k(found, truth, k).agg(F.avg("recall")).first()[0]
+            found = search.rerank(candidates, store, made["queries"], k, r, decode)
+            recall = measures.recall_at_k(found, made["truth"], k).agg(F.avg("recall")).first()[0]
             rows.append((name, float(r), recall, cost.timed(found) / n))
-    for df in (base, queries, candidates, coded, truth):
-        df.unpersist()
     return spark.createDataFrame(rows, "store string, r double, recall double, seconds double")
 
 
+def search_latency(spark: SparkSession, sf_dir: str, repeats: int = 5) -> DataFrame:
+    """store, mean, median and 95th percentile of seconds a query and queries a second, of whole scans."""
+    base, queries = (kept(x) for x in search.holdout(embeddings(spark, sf_dir)))
+    mean, s, n = prep.fit_mean(base), Search(m=2), queries.count()
+    coded = kept(codec.encode(base, s, mean))
+    makes = {"fp32": lambda: search.exact_topk(base, queries, 10), "coded": lambda: search.coded_topk(coded, queries, s, len(mean), 10, mean=mean)}
+    rows = [(name, *cost.latency(make, repeats, n)) for name, make in makes.items()]
+    return spark.createDataFrame(rows, "store string, mean_s double, median_s double, p95_s double, queries_s double")
+
+
+def trained_lists(spark: SparkSession, sf_dir: str, clusters: int = 32, replicas: int = 2) -> DataFrame:
+    """nprobe, recall of inverted lists with learned centroids."""
+    base, queries = (kept(x) for x in search.holdout(embeddings(spark, sf_dir)))
+    centers = ivf.centroids(base, clusters)
+    lists, truth, out = kept(ivf.assign(base, centers, replicas)), kept(search.exact_topk(base, queries, 10)), None
+    for nprobe in (1, 2, 4, 8, 16, 32):
+        one = measures.recall_at_k(ivf.search(lists, queries, centers, 10, nprobe), truth, 10).agg(F.lit(nprobe).alias("nprobe"), F.avg("recall").alias("recall"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def rerank_sweep(spark: SparkSession, sf_dir: str, d: int = 768, k: int = 10, s: Search = Search(curve="logi", bits=8, m=2)) -> DataFrame:
+    """store, r, recall: candidates by a scan of product codes, re-ranked by codes or full vectors of all rows."""
+    base, queries = kept(text_set(spark, sf_dir, d)), kept(text_queries(spark, sf_dir, d))
+    book = pq.train(base, 4, 256, 12)
+    candidates = kept(pq.scan_topk(pq.encode(base, book), book, queries, int(k * max(FACTORS))))
+    mean = prep.fit_mean(base)
+    coded = kept(codec.encode(spread(base, "vec_id"), s, mean))
+    stores_ = {"fp32": (base, None), "coded": (coded, lambda c: codec.decode(c, s, d, mean))}
+    return search.rerank_sweep(candidates, stores_, queries, kept(search.exact_topk(base, queries, k)), k, FACTORS)
+
+
+def store_formats(spark: SparkSession, sf_dir: str, fmt: str) -> DataFrame:
+    """The given vectors written in a format and read back."""
+    from vecquant.sources import stores
+
+    path, base = scratch(spark, fmt), table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    line = F.array_join(F.transform("embedding", lambda v: v.cast("string")), " ")
+    if fmt == "csv":
+        base.select("vec_id", line.alias("line")).write.csv(path, header=True)
+    elif fmt == "text":
+        base.select(F.concat_ws(" ", F.col("vec_id").cast("string"), line)).write.text(path)
+    else:
+        base.write.format(fmt).save(path)
+    return stores.read_vectors(spark, path, fmt)
+
+
+def store_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows of a coded store, read back by its metadata and decoded: vec_id, shard, d."""
+    from vecquant.sources import stores
+
+    base, path = embeddings(spark, sf_dir), scratch(spark, "store")
+    s = Search(curve="unif", bits=8, m=2)
+    stores.write_store(codec.encode(base, s), path, stores.Meta(d=64, m=2, bits=8, curve="unif"))
+    rows, meta = stores.read_store(spark, path)
+    decoded = codec.decode(rows, meta.search(), meta.d)
+    return decoded.join(base.withColumnRenamed("embedding", "was"), "vec_id")
+
+
+def bucketed_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """vec_id, label by a join of two tables bucketed by the id."""
+    from vecquant.sources import stores
+
+    base, made = table(spark, sf_dir, "embeddings"), []
+    for columns in (["vec_id", "embedding"], ["vec_id", "label"]):
+        name = f"bucketed_{uuid.uuid4().hex}"
+        stores.write_bucketed(base.select(*columns), name, 8)
+        made.append(spark.table(name))
+    return made[0].select("vec_id").join(made[1].hint("merge"), "vec_id")
+
+
 def density(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.value_density(table(spark, sf_dir, "embeddings"), [0, 1, 2, 3])
 
@@ -232,6 +367,7 @@ def flat_prior(spark: SparkSession, sf_dir: str, directions: int = 2_000) -> Dat
 def inventory(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sets, dimensions, rows and bytes of single precision."""
     sets = {"embeddings": table(spark, sf_dir, "embeddings"), "events": event_arrays(spark, sf_dir), "suppliers": supplier_arrays(spark, sf_dir)}
+    sets |= {f"text_{d}": text_set(spark, sf_dir, d) for d in (768, 1024, 1536)}
     out = None
     for name, df in sets.items():
         one = df.groupBy(F.size("embedding").alias("d")).agg(F.count("*").alias("n")).select(F.lit(name).alias("set"), "d", "n", (F.col("n") * F.col("d") * 4).alias("bytes"))
@@ -277,20 +413,32 @@ def ablations(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def throughput(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """curve, vectors a second to encode (10 iterations), values a second to decode."""
-    base = embeddings(spark, sf_dir).persist()
+    """curve, vectors a second to encode (settled searches), values a second to decode."""
+    base = kept(embeddings(spark, sf_dir))
     n, rows = base.count(), []
     for curve in curves.NAMES:
-        s = Search(curve=curve, fixed_iter=10)
-        coded = codec.encode(base, s).persist()
-        encode_s = cost.timed(coded)
+        s = Search(curve=curve)
+        encode_s = cost.timed(codec.encode(spread(base, "vec_id"), s))
+        coded = kept(codec.encode(spread(base, "vec_id"), s))
         decode_s = cost.timed(codec.decode(coded, s, 64))
         rows.append((curve, n / encode_s, 64 * n / decode_s))
-        coded.unpersist()
-    base.unpersist()
     return spark.createDataFrame(rows, "curve string, encode_vectors_s double, decode_values_s double")
 
 
+def running_mean(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """k, n, mean: the last state of a stream's running means of event values by key."""
+    from vecquant.streaming import encode
+
+    root = scratch(spark, "running")
+    events = table(spark, sf_dir, "events").select((F.col("user_id") % 5).alias("k"), "value")
+    events.repartition(3).write.parquet(f"{root}/in")
+    source = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(f"{root}/in")
+    job = encode.running_mean(source, "k", "value", 1.0).writeStream.outputMode("update").foreachBatch(lambda df, i: df.write.mode("append").parquet(f"{root}/out"))
+    job.option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start().awaitTermination()
+    made = spark.read.schema("k long, n long, mean double, drifted boolean").parquet(f"{root}/out")
+    return made.groupBy("k").agg(F.max("n").alias("n"), F.max_by("mean", "n").alias("mean"))
+
+
 def stream_equals_batch(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Rows that differ between vectors coded as a file stream and as a batch: none."""
     from vecquant.streaming import encode
@@ -298,7 +446,7 @@ def stream_equals_batch(spark: SparkSession, sf_dir: str) -> DataFrame:
     root = scratch(spark, "stream")
     base = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
     base.repartition(5, "vec_id").write.mode("overwrite").parquet(f"{root}/in")
-    s = Search(curve="pwl", fixed_iter=5)
+    s = Search(curve="pwl")
     source = spark.readStream.schema(base.schema).option("maxFilesPerTrigger", 1).parquet(f"{root}/in")
     job = encode.encode_stream(source, s).writeStream.foreachBatch(encode.merge_batch(spark, f"{root}/out")).option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start()
     job.awaitTermination()

@@ -8,7 +8,6 @@ from dataclasses import asdict, dataclass, field
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
-from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 from vecquant.operators.fit import Search
 from vecquant.schema import CODED, RAW
@@ -71,48 +70,23 @@ def read_store(spark: SparkSession, path: str) -> tuple[DataFrame, Meta]:
     return spark.read.schema(schema).parquet(f"{path}/codes"), meta
 
 
-class FvecsSource(DataSource):
-    """Read records of (dimension, floats): option path names one file of them."""
+def read_fvecs(spark: SparkSession, path: str) -> DataFrame:
+    """vec_id (the place in the file), embedding from records of (dimension, floats) of equal length.
 
-    @classmethod
-    def name(cls) -> str:
-        return "fvecs"
+    Records are cut by Hadoop's fixed-length reader, so that one large file is read by many
+    tasks, from any store that Spark can open. An empty file gives no rows.
+    """
+    import numpy as np
 
-    def schema(self) -> str:
-        return "vec_id long, embedding array<float>"
+    context = spark.sparkContext
+    head = context.binaryRecords(path, 4).take(1)
+    schema = "vec_id long, embedding array<float>"
+    if not head:
+        return spark.createDataFrame([], schema)
+    d = int.from_bytes(head[0], "little")
 
-    def reader(self, schema) -> DataSourceReader:  # noqa: ANN001
-        return FvecsReader(self.options)
+    def rows(records):  # noqa: ANN001, ANN202
+        for record, place in records:
+            yield place, np.frombuffer(record, dtype="<f4", offset=4).tolist()
 
-
-class FvecsReader(DataSourceReader):
-    """Cuts a file of equal records into ranges of rows."""
-
-    def __init__(self, options: dict) -> None:
-        self._path, self._rows = options["path"], int(options.get("rows", 100_000))
-
-    def partitions(self) -> list[InputPartition]:
-        import os
-
-        with open(self._path, "rb") as file:
-            head = file.read(4)
-        if not head:
-            return [InputPartition((0, 0, 0))]
-        d = int.from_bytes(head, "little")
-        n = os.path.getsize(self._path) // (4 + 4 * d)
-        return [InputPartition((a, min(n, a + self._rows), d)) for a in range(0, n, self._rows)]
-
-    def read(self, partition: InputPartition):  # noqa: ANN201
-        import numpy as np
-
-        start, end, d = partition.value
-        if end > start:
-            with open(self._path, "rb") as file:
-                file.seek(start * (4 + 4 * d))
-                raw = np.frombuffer(file.read((end - start) * (4 + 4 * d)), dtype="<i4").reshape(-1, d + 1)
-            for i, row in enumerate(raw[:, 1:].view("<f4").tolist()):
-                yield (start + i, row)
-
-
-def register_fvecs(spark: SparkSession) -> None:
-    spark.dataSource.register(FvecsSource)
+    return spark.createDataFrame(context.binaryRecords(path, 4 + 4 * d).zipWithIndex().mapPartitions(rows), schema)

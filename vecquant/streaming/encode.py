@@ -6,7 +6,7 @@ import math
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -40,25 +40,31 @@ def _marked(stream: DataFrame, time: str, late: str) -> DataFrame:
     return stream.withColumn(time, F.col(time).cast("timestamp")).withWatermark(time, late)
 
 
-def late_rows(df: DataFrame, seconds: int, order: str, time: str = "ts") -> DataFrame:
+def late_rows(df: DataFrame, seconds: int, order: str, time: str = "ts", ranges: int = 512) -> DataFrame:
     """Rows that come more than `seconds` behind the latest time before them, in arrival order.
 
-    The latest time so far is a running maximum over ranges of the order column: each range has
-    a maximum of its own, and the few range maxima are run over once.
+    The latest time so far is a running maximum over ranges of the order column, cut at its
+    quantiles so that each has about as many rows, however the numbers lie. Each range has a
+    maximum of its own, and the at most `ranges` maxima are run over once.
     """
-    from pyspark.sql import Window
-
-    span = 4096
-    rows = df.withColumn("_range", F.floor(F.col(order) / span))
+    cuts = sorted(set(df.approxQuantile(order, [k / ranges for k in range(1, ranges)], 0.5 / ranges)))
+    rows = df.withColumn("_range", F.expr(_range_of(order, cuts, 0)))
     tops = rows.groupBy("_range").agg(F.max(time).alias("_top"))
-    # A row a range: the single window here is over the table's size divided by the span.
     before = tops.select("_range", F.max("_top").over(Window.orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)).alias("_before"))
     own = Window.partitionBy("_range").orderBy(order).rowsBetween(Window.unboundedPreceding, -1)
-    joined = rows.join(before, "_range").withColumn("_latest", F.greatest("_before", F.max(time).over(own)))
+    joined = rows.join(F.broadcast(before), "_range").withColumn("_latest", F.greatest("_before", F.max(time).over(own)))
     behind = F.unix_timestamp("_latest") - F.unix_timestamp(time)
     return joined.where(behind > seconds).drop("_range", "_before", "_latest")
 
 
+def _range_of(order: str, cuts: list[float], first: int) -> str:
+    """How many cuts lie at or below the value, by halving."""
+    if not cuts:
+        return str(first)
+    k = len(cuts) // 2
+    return f"IF({order} < {cuts[k]!r}D, {_range_of(order, cuts[:k], first)}, {_range_of(order, cuts[k + 1 :], first + k + 1)})"
+
+
 def running_mean(stream: DataFrame, key: str, value: str, alarm: float) -> DataFrame:
     """key, n, mean, drifted after each micro-batch: the state is a count and a sum a key."""
     kind = stream.schema[key].dataType
@@ -84,17 +90,25 @@ def asof_mean(vectors: DataFrame, means: DataFrame, time: str = "ts", on: str =
     return as_of(vectors, means, time, ["mean_version"], [on])
 
 
-def merge_batch(spark: SparkSession, path: str):  # noqa: ANN201
-    """A foreachBatch function that adds a batch's new ids to a coded table; a repeated batch adds nothing."""
+def merge_batch(spark: SparkSession, path: str, shards: int = 64):  # noqa: ANN201
+    """A foreachBatch function that adds a batch's new ids to a coded table; a repeated batch adds nothing.
+
+    The table is partitioned by shards of the id. A batch reads ids only, only of the shards it
+    has ids in and only from files whose range of ids meets its own.
+    """
 
     def merge(batch: DataFrame, number: int) -> None:
-        fresh = batch.dropDuplicates(["vec_id"])
+        fresh = batch.dropDuplicates(["vec_id"]).withColumn("shard", F.pmod(F.xxhash64("vec_id"), F.lit(shards)).cast("int"))
+        span = fresh.agg(F.min("vec_id").alias("low"), F.max("vec_id").alias("high"), F.collect_set("shard").alias("shards")).first()
+        if span.low is None:
+            return
         try:
-            old = spark.read.schema(batch.schema).parquet(path)
-            fresh = fresh.join(old.select("vec_id"), "vec_id", "left_anti")
+            old = spark.read.schema(fresh.schema).parquet(path)
+            old = old.where(F.col("shard").isin(span.shards) & F.col("vec_id").between(span.low, span.high))
+            fresh = fresh.join(old.select("vec_id", "shard"), ["vec_id", "shard"], "left_anti")
         except Exception as error:  # the first batch finds no table
             if "PATH_NOT_FOUND" not in str(error):
                 raise
-        fresh.write.mode("append").parquet(path)
+        fresh.repartition("shard").sortWithinPartitions("shard", "vec_id").write.mode("append").partitionBy("shard").parquet(path)
 
     return merge
