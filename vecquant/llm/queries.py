@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from vecquant.llm import (
+    backoff_joins,
     backoff_lm,
     codec,
     feature_digest,
@@ -76,7 +77,7 @@ def op9_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_backoff_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
-    scored = backoff_lm.score_documents(read(spark, sf_dir, "documents"))
+    scored = backoff_joins.score_documents(read(spark, sf_dir, "documents"))
     return scored.select("doc_id", "n_tokens", *[F.round(c, 4).alias(c) for c in ("log10_score", "mean_log10_score")])
 
 
