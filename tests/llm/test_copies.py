@@ -250,3 +250,28 @@ def test_pipeline_dedup_links_all_similar_pairs(spark, chunk, monkeypatch):
     assert found == least
     kept = corpus_pipeline.near_duplicates(spark, docs, SMALL).collect()
     assert sorted(r.doc_id for r in kept) == sorted(set(least.values()))
+
+
+def test_pipeline_stages_of_odd_rows(spark):
+    import corpus_pipeline
+
+    good = {r.doc_id: r.text for r in spark.read.parquet(f"{SMALL}/documents.parquet").where("n_chars between 1000 and 2000 and lang = 'en'").limit(3).collect()}
+    texts = list(good.values())
+    rows = [(1, texts[0]), (1, texts[0]), (2, texts[0]), (None, texts[1]), (None, texts[1]), (5, None), (6, ""), (7, "x" * 30_000), (8, texts[2]), (8, texts[1] + " more words at the end")]
+    schema = "doc_id long, text string, lang string, source string, n_chars long, code string, part int, gone int, row string, hash int"
+    docs = spark.createDataFrame([(i, t, None if i == 1 else "en", None, None, "c", 1, 2, "r", None) for i, t in rows], schema)
+    none = docs.where("doc_id > 99")
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        left = stage(spark, docs, SMALL)
+        assert left.columns == docs.columns and left.count() <= len(rows), name
+        assert stage(spark, none, SMALL).count() == 0
+    # Documents 1 and 2 are copies; 8 has two texts, one of them near the rows without an id.
+    kept = corpus_pipeline.near_duplicates(spark, docs, SMALL).collect()
+    assert sorted((r.doc_id is None, r.doc_id) for r in kept if r.text and len(r.text) > 100) == [(False, 1), (False, 7), (False, 8)]
+    pieces = corpus_pipeline.STAGES[-1][1](spark, docs, SMALL)
+    assert pieces.where("start = 0").count() == len(rows) and corpus_pipeline.STAGES[-1][1](spark, none, SMALL).count() == 0
+
+
+def test_index_shapes():
+    assert [simhash.index_shape(n, 4) for n in (0, 1_000, 10**6, 10**8, 3 * 10**10)] == [(5, 1), (5, 1), (5, 1), (6, 2), (7, 3)]
+    assert all(b - 4 >= s for n in range(0, 60) for b, s in [simhash.index_shape(2**n, 4)])

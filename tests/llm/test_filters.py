@@ -11,7 +11,7 @@ import pytest
 import regex
 
 from tests.conftest import MIDDLE, SMALL
-from vecquant.llm import backoff_lm, license_scan, quality_rules, queries, rule_ensemble, textstats, url_rules
+from vecquant.llm import backoff_joins, license_scan, quality_rules, queries, rule_ensemble, textstats, url_rules
 
 ODD = [(1, None), (2, ""), (3, " \n\t"), (4, "one"), (5, "a b c " * 60), (6, "X" * 5000), (7, "x\nx\n\nx"), (7, "x\nx\n\nx"), (None, "no id here"), (8, "ÄÖ ß # * $")]
 
@@ -308,19 +308,32 @@ def brute_lm(texts, order):
     return out
 
 
-@pytest.mark.parametrize("order", [1, 2, 3])
-def test_backoff_scores(spark, order):
+@pytest.mark.parametrize("order", [2, 3, 4])
+@pytest.mark.parametrize("tables", [(1 << 18, 1 << 19), (2, 3), (0, 0)])
+def test_backoff_scores(spark, monkeypatch, order, tables):
+    monkeypatch.setattr(backoff_joins, "SHORT_TABLE", tables[0])
+    monkeypatch.setattr(backoff_joins, "LONG_TABLE", tables[1])
     rng = np.random.default_rng(2)
     texts = [" ".join(rng.choice(list("abcdeF"), rng.integers(0, 25))) for _ in range(60)] + ["", "zz", "a b a b a b"]
-    docs = spark.createDataFrame([(i, t, 0) for i, t in enumerate(texts)], "doc_id long, text string, n_tokens int")
-    rows = {r.doc_id: r for r in backoff_lm.score_documents(docs, order=order, block_chars=200).collect()}
+    docs = spark.createDataFrame([(i, t, 0, 1, 2) for i, t in enumerate(texts)], "doc_id long, text string, n_tokens int, key int, rest int")
+    rows = {r.doc_id: r for r in backoff_joins.score_documents(docs, order=order).collect()}
     assert np.allclose([rows[i].log10_score for i in range(len(texts))], brute_lm(texts, order))
     assert rows[60].mean_log10_score is None and rows[60].n_tokens == 0
 
 
 def test_backoff_odd(spark, odd):
-    assert backoff_lm.score_documents(odd).count() == len(ODD)
-    assert backoff_lm.score_documents(odd.where("doc_id > 99")).count() == 0
+    rows = backoff_joins.score_documents(odd).collect()
+    assert len(rows) == len(ODD) and len({r.log10_score for r in rows if r.doc_id == 7}) == 1
+    assert np.allclose(sorted(r.log10_score for r in rows), sorted(brute_lm([t or "" for _, t in ODD], 2)))
+    assert backoff_joins.score_documents(odd.where("doc_id > 99")).count() == 0
+
+
+def test_backoff_of_many_copies(spark):
+    """One text that holds most rows, and one word that fills a text."""
+    texts = ["the same old words again"] * 300 + ["again and again the old"] + ["word " * 20_000]
+    docs = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string").repartition(3, "doc_id")
+    rows = {r.doc_id: r.log10_score for r in backoff_joins.score_documents(docs).collect()}
+    assert np.allclose([rows[i] for i in range(len(texts))], brute_lm(texts, 2))
 
 
 def test_reserved_rights_are_seen(spark):

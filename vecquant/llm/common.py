@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import uuid
 from collections.abc import Iterator
 
@@ -29,9 +31,25 @@ def cut_lineage(df: DataFrame) -> DataFrame:
 
 
 def text_slices(
-    batches: Iterator[pa.RecordBatch], text: str, max_bytes: int = 4_000_000
+    batches: Iterator[pa.RecordBatch], text: str, max_bytes: int = 1_000_000
 ) -> Iterator[tuple[pa.RecordBatch, list[str]]]:
-    """Cut Arrow batches so that each slice holds about max_bytes of text, whole rows only."""
+    """Cut Arrow batches so that each slice holds about max_bytes of text, whole rows only.
+
+    At the end of a task, memory that only the allocators still hold goes back to the machine:
+    worker processes live on and would keep the peak of every stage.
+    """
+    yield from _slices(batches, text, max_bytes)
+    give_back()
+
+
+def give_back() -> None:
+    """Return unused memory of Arrow's pool and of the C allocator, where it can."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def _slices(batches: Iterator[pa.RecordBatch], text: str, max_bytes: int) -> Iterator[tuple[pa.RecordBatch, list[str]]]:
     for batch in batches:
         column = batch.column(batch.schema.get_field_index(text))
         if not batch.num_rows:

@@ -17,7 +17,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vecquant.llm.common import cut_lineage, single_column, text_slices
+from vecquant.llm.common import cut_lineage, give_back, single_column, text_slices
 from vecquant.llm.components import smallest_reachable
 
 WIDTH, SIMILARITY = 5, 0.8
@@ -59,21 +59,6 @@ def keys(shingles: np.ndarray) -> np.ndarray:
     return np.array([xxhash.xxh64_intdigest(r.tobytes(), k) for k, r in enumerate(rows)], dtype=np.uint64)
 
 
-def codes(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
-    """doc_id, code (of the shingle set), row (hash of the text), keys."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch, texts in text_slices(batches, "text"):
-            sets = [shingle_set(t) for t in texts]
-            own = pa.array(np.array([set_code(s) for s in sets], dtype=np.uint64).view(np.int64))
-            found = pa.array([keys(s).view(np.int64) if len(s) else [] for s in sets], pa.list_(pa.int64()))
-            yield pa.RecordBatch.from_arrays([single_column(batch, "doc_id"), own, single_column(batch, "row"), found], names=["doc_id", "code", "row", "keys"])
-
-    kind = docs.schema[id_column].dataType.simpleString()
-    source = docs.select(F.col(id_column).alias("doc_id"), F.col(text_column).alias("text"), F.xxhash64(text_column).alias("row"))
-    return source.mapInArrow(run, f"doc_id {kind}, code long, row long, keys array<long>")
-
-
 def similar_pairs(sets: list[np.ndarray], side: np.ndarray, similarity: float = SIMILARITY) -> list[tuple[int, int]]:
     """Places of pairs with at least that Jaccard similarity: a spanning forest. side: 0 and 1 of a tile of two chunks."""
     sizes = np.array([len(s) for s in sets])
@@ -118,10 +103,12 @@ def _pool_links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             held.append((code, side, np.frombuffer(packed, dtype=np.uint64)))
     if held:
         yield close()
+    held = []
+    give_back()
 
 
-def links(docs: DataFrame, prints: DataFrame, text_column: str = "text", chunk: int = 2_000_000) -> DataFrame:
-    """Links a, b between set codes of at least the wanted similarity. prints: codes(docs), written.
+def links(docs: DataFrame, prints: DataFrame, text_column: str = "text", chunk: int = 500_000) -> DataFrame:
+    """Links a, b between set codes of at least the wanted similarity. prints: doc_id, row (hash of the text), code, keys of every row, written.
 
     Texts of the same pool are connected exactly where a chain of similar pairs connects them.
     A chunk of a pool holds about that many shingles.
