@@ -11,7 +11,7 @@ import pytest
 import regex
 
 from tests.conftest import MIDDLE, SMALL
-from vecquant.llm import backoff_joins, license_scan, quality_rules, queries, rule_ensemble, textstats, url_rules
+from vecquant.llm import backoff_joins, backoff_lm, license_scan, quality_rules, queries, rule_ensemble, textstats, url_rules
 
 ODD = [(1, None), (2, ""), (3, " \n\t"), (4, "one"), (5, "a b c " * 60), (6, "X" * 5000), (7, "x\nx\n\nx"), (7, "x\nx\n\nx"), (None, "no id here"), (8, "ÄÖ ß # * $")]
 
@@ -321,7 +321,19 @@ def test_backoff_scores(spark, monkeypatch, order, tables):
     assert rows[60].mean_log10_score is None and rows[60].n_tokens == 0
 
 
+@pytest.mark.parametrize("order", [2, 3])
+def test_packed_scores_are_those_of_the_joins(spark, order):
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet")
+    plain = {r.doc_id: r.log10_score for r in backoff_joins.score_documents(docs, order=order).collect()}
+    for most in (10_000, 3):  # over 3 blocks, the joins run
+        found = backoff_lm.score_documents(docs, order=order, block_chars=2_000, least_blocks=1, most_blocks=most).collect()
+        assert len(found) == len(plain) and np.allclose([r.log10_score for r in found], [plain[r.doc_id] for r in found])
+
+
 def test_backoff_odd(spark, odd):
+    packed = backoff_lm.score_documents(odd).collect()
+    assert np.allclose(sorted(r.log10_score for r in packed), sorted(brute_lm([t or "" for _, t in ODD], 2)))
+    assert backoff_lm.score_documents(odd.where("doc_id > 99")).count() == 0
     rows = backoff_joins.score_documents(odd).collect()
     assert len(rows) == len(ODD) and len({r.log10_score for r in rows if r.doc_id == 7}) == 1
     assert np.allclose(sorted(r.log10_score for r in rows), sorted(brute_lm([t or "" for _, t in ODD], 2)))

@@ -22,8 +22,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from vecquant.llm.backoff_lm import BACKOFF, ngram_keys
 from vecquant.llm.common import saved, single_column, text_slices
+from vecquant.llm.ngrams import BACKOFF, ngram_keys
 
 #: Scores are added up as integers of this unit, so that sums don't depend on their order.
 UNIT = 1 << 32
@@ -34,11 +34,6 @@ SAMPLE = 8
 _SLICE = 2_000_000
 
 
-def _sum_by(keys: np.ndarray, values: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct keys and how often each occurs."""
-    return np.unique(keys, return_counts=True)
-
-
 def _runs(key: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Of each (n-gram, document): a place, its count; and the count at every place."""
     order = np.argsort(key, kind="stable")  # documents stay in order within equal keys
@@ -251,7 +246,7 @@ def score_documents(docs: DataFrame, id_column: str = "doc_id", text_column: str
     fields = [T.StructField("id", kind)] + [T.StructField(c, T.IntegerType() if c == "m" or c[0] == "o" else T.LongType()) for c in columns]
     dealt = source.mapInArrow(explode, T.StructType(fields)).repartition("key")
     # Every column is named, so that the count table reads the rows from the same exchange.
-    mine = (F.col("m") > 0) & (F.col("rest") < 0) & F.coalesce(F.hash("id", *columns).isNotNull(), F.lit(True))
+    mine = (F.col("m") > 0) & (F.col("rest") < 0) & (F.xxhash64("id", *columns) >= F.lit(-(2**63)))
     table = dealt.groupBy("key").agg(F.sum(F.when(mine, F.col("m")).otherwise(0)).alias("whole"))
     joined = dealt.join(table, "key")
     is_doc = F.col("m") == 0

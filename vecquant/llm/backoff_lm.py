@@ -1,10 +1,12 @@
 """Stupid-backoff scores of all documents against the n-gram counts of all other documents.
 
-Documents are dealt into blocks by a hash of their id. Each block sends its distinct n-gram
-hashes and counts to the hash bucket that owns them; a bucket adds up the count table of its
-n-grams and answers each block with totals in the order of the question; each block then scores
-its documents. So the count table is partitioned by hash, frequent n-grams cost one row a
-block, and neither table is ever in one place.
+The relational plan is in backoff_joins: count tables by hash, joined to exploded n-grams,
+summed per document. Here is the same plan with rows packed, for corpora where that is less to
+shuffle: documents are dealt into blocks; each block sends its distinct n-gram hashes and counts
+to the hash bucket that owns them; a bucket adds up the count table of its n-grams and answers
+each block with totals in the order of the question; each block then scores its documents. A
+packed n-gram takes 6 bytes of a shuffle, a row of the joins 28. But packed rows number blocks
+times buckets, so that above a number of blocks the joins run.
 """
 
 from __future__ import annotations
@@ -13,41 +15,13 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from vecquant.llm import backoff_joins
 from vecquant.llm.common import saved
-
-BACKOFF = 0.4
-_MIX = np.uint64(0x9E3779B97F4A7C15)
-
-
-def tokens(text: str) -> list[bytes]:
-    """Words between white space, A-Z lower-cased."""
-    return text.encode().lower().split()
-
-
-def ngram_keys(texts: list[str], order: int) -> tuple[np.ndarray, list[np.ndarray], list[np.ndarray]]:
-    """Words per text; for each length 1..order the n-grams' hashes, and each one's document."""
-    words = [tokens(t) for t in texts]
-    sizes = np.array([len(w) for w in words], dtype=np.int64)
-    hash_ = xxhash.xxh3_64_intdigest
-    first = np.fromiter((hash_(w) for ws in words for w in ws), dtype=np.uint64, count=int(sizes.sum()))
-    doc = np.repeat(np.arange(len(texts)), sizes)
-    keys, owners = [first], [doc]
-    with np.errstate(over="ignore"):
-        for n in range(2, order + 1):
-            m = max(0, len(first) - n + 1)
-            inside = np.flatnonzero(doc[:m] == doc[n - 1 :]) if m else np.zeros(0, dtype=np.int64)
-            key = np.full(len(inside), n, dtype=np.uint64)
-            for k in range(n):
-                key = (key ^ first[inside + k]) * _MIX
-                key ^= key >> np.uint64(31)
-            keys.append(key)
-            owners.append(doc[inside])
-    return sizes, keys, owners
+from vecquant.llm.ngrams import BACKOFF, ngram_keys
 
 
 def _planes(values: np.ndarray) -> bytes:
@@ -138,24 +112,29 @@ def score_documents(
     id_column: str = "doc_id",
     text_column: str = "text",
     order: int = 2,
-    leave_out: bool = True,
     block_chars: int = 8_000_000,
-    blocks_range: tuple[int, int] = (64, 100_000),
+    least_blocks: int = 64,
+    most_blocks: int = 10_000,
 ) -> DataFrame:
-    """doc_id, n_tokens, log10_score (sum over words), mean_log10_score of every row.
+    """The id, n_tokens, log10_score (sum over words), mean_log10_score of every row.
 
-    A word's score is the count of the longest n-gram (up to order) that ends in it over the
-    count of that n-gram without the word; each shorter length costs a factor 0.4. A word that
-    occurs nowhere else scores 0.4 ** order over the other words plus one. With leave_out a
-    document's own words don't count for it. Counts are of all rows, repeated ones too. A text
-    without words (null, empty) has 0 tokens, score 0 and a null mean. Other columns are ignored.
+    Scores and rows as backoff_joins.score_documents has them, to which this is the same plan with n-grams
+    packed by block and bucket; a pair of them costs a row, so that over most_blocks blocks
+    (80 GB of characters) the joins themselves run. Memory of a task: a few times block_chars.
     """
-    kind = docs.schema[id_column].dataType
     source = docs.select(F.col(id_column).alias("id"), F.coalesce(F.col(text_column), F.lit("")).alias("text"))
     size = source.agg(F.sum(F.length("text")).alias("n")).first().n or 0
     # Enough blocks to spread a small table over tasks; they only set how rows are dealt.
-    blocks = int(min(blocks_range[1], max(blocks_range[0], -(-size // block_chars))))
-    dealt = source.withColumn("block", F.pmod(F.xxhash64(F.col("id"), F.xxhash64("text")), F.lit(blocks)).cast("int"))
+    blocks = max(least_blocks, -(-size // block_chars))
+    if blocks > most_blocks:
+        return backoff_joins.score_documents(docs, id_column, text_column, order)
+    return _packed(docs, id_column, source, order, int(blocks))
+
+
+def _packed(docs: DataFrame, id_column: str, source: DataFrame, order: int, blocks: int, leave_out: bool = True) -> DataFrame:
+    # Equal rows are dealt apart, so that no number of copies fills a block.
+    kind = docs.schema[id_column].dataType
+    dealt = source.withColumn("block", F.pmod(F.xxhash64(F.col("id"), F.xxhash64("text"), F.monotonically_increasing_id()), F.lit(blocks)).cast("int"))
 
     def ask(table: pa.Table) -> pa.Table:
         texts = table["text"].to_pylist()
