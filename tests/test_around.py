@@ -1,4 +1,6 @@
 import numpy as np
+import pytest
+import xxhash
 
 from tests.conftest import MIDDLE, SMALL
 from vecquant.operators import codec, relational
@@ -105,3 +107,63 @@ def test_text_fits_settle_with_all_curves(spark, monkeypatch):
     monkeypatch.setattr(workloads.measures, "gain_summary", lambda found, key: found)
     workloads.text_gains(spark, SMALL, 16)
     assert seen == [({"kuma", "logi", "pwl"}, Search().max_iter)]
+
+
+def test_sample_by_hash_matches_the_library(spark):
+    from vecquant.operators import prep
+
+    kept = {r.vec_id for r in prep.sample(spark.range(2_000).withColumnRenamed("id", "vec_id"), 0.2, 3).collect()}
+
+    def bucket(i):
+        seed = xxhash.xxh64_intdigest((3).to_bytes(4, "little"), 42)
+        h = xxhash.xxh64_intdigest(i.to_bytes(8, "little"), seed)
+        return (h - 2**64 if h >= 2**63 else h) % 1_000_000
+
+    assert kept == {i for i in range(2_000) if bucket(i) < 200_000}
+
+
+def test_as_of_over_spans(spark):
+    rng = np.random.default_rng(0)
+    base = np.datetime64("2024-01-01T00:00:00")
+    left = [(int(k), (base + np.timedelta64(int(t), "s")).item(), i) for i, (k, t) in enumerate(zip(rng.integers(0, 3, 200), rng.integers(0, 500_000, 200), strict=True))]
+    right = [(int(k), (base + np.timedelta64(int(t), "s")).item(), i) for i, (k, t) in enumerate(zip(rng.integers(0, 2, 40), rng.permutation(500_000)[:40], strict=True))]
+    a, b = spark.createDataFrame(left, "k int, ts timestamp, i int"), spark.createDataFrame(right, "k int, ts timestamp, v int")
+    truth = {i: max(((t2, v) for k2, t2, v in right if k2 == k and t2 <= t), default=(None, None))[1] for k, t, i in left}
+    for seconds in (60, 86_400, 10**9):
+        assert {r.i: r.v for r in relational.as_of(a, b, "ts", ["v"], ["k"], seconds).collect()} == truth
+
+
+def test_late_rows_however_arrivals_lie(spark):
+    rng = np.random.default_rng(1)
+    times = rng.integers(0, 100_000, 400)
+    orders = np.cumsum(rng.choice([1, 10**9], 400))
+    rows = [(int(o), (np.datetime64("2024-01-01T00:00:00") + np.timedelta64(int(t), "s")).item(), i) for i, (o, t) in enumerate(zip(orders, times, strict=True))]
+    df = spark.createDataFrame(rows, "o long, ts timestamp, i int").repartition(4)
+    latest = np.maximum.accumulate(times)
+    late = {i for i in range(1, 400) if latest[i - 1] - times[i] > 3600}
+    for ranges in (1, 8, 512):
+        assert {r.i for r in encode.late_rows(df, 3600, "o", ranges=ranges).collect()} == late
+
+
+def test_merging_adds_only_new_ids(spark, tmp_path):
+    merge = encode.merge_batch(spark, str(tmp_path / "t"), shards=4)
+    for number, ids in enumerate(((1, 2, 3), (2, 3, 4), (1, 2, 3), (), (90, 1))):
+        merge(spark.createDataFrame([(i, f"b{number}") for i in ids], "vec_id long, v string"), number)
+    found = {r.vec_id: r.v for r in spark.read.parquet(str(tmp_path / "t")).collect()}
+    assert found == {1: "b0", 2: "b0", 3: "b0", 4: "b1", 90: "b4"}
+
+
+def test_scratch_is_released(spark):
+    path = workloads.scratch(spark, "gone")
+    spark.range(3).write.parquet(path)
+    assert spark.read.parquet(path).count() == 3 and workloads.release(spark) > 0
+    assert workloads.release(spark) == 0
+
+
+def test_queries_are_counted_before_they_are_gathered(spark, monkeypatch):
+    from vecquant.operators import search
+
+    queries = spark.createDataFrame([(1, [1.0, 2.0]), (2, [0.0, 1.0])], "query_id long, qvec array<double>")
+    assert search.query_values(queries) == 4 and search.collect_queries(queries, 4)[1].shape == (2, 2)
+    with pytest.raises(ValueError, match="too many"):
+        search.collect_queries(queries, 3)

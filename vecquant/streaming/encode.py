@@ -47,7 +47,8 @@ def late_rows(df: DataFrame, seconds: int, order: str, time: str = "ts", ranges:
     quantiles so that each has about as many rows, however the numbers lie. Each range has a
     maximum of its own, and the at most `ranges` maxima are run over once.
     """
-    cuts = sorted(set(df.approxQuantile(order, [k / ranges for k in range(1, ranges)], 0.5 / ranges)))
+    shares = [k / ranges for k in range(1, ranges)]
+    cuts = sorted(set(df.approxQuantile(order, shares, 0.5 / ranges))) if shares else []
     rows = df.withColumn("_range", F.expr(_range_of(order, cuts, 0)))
     tops = rows.groupBy("_range").agg(F.max(time).alias("_top"))
     before = tops.select("_range", F.max("_top").over(Window.orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)).alias("_before"))
