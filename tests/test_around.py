@@ -167,3 +167,15 @@ def test_queries_are_counted_before_they_are_gathered(spark, monkeypatch):
     assert search.query_values(queries) == 4 and search.collect_queries(queries, 4)[1].shape == (2, 2)
     with pytest.raises(ValueError, match="too many"):
         search.collect_queries(queries, 3)
+
+
+def test_token_vectors_are_those_of_seeded_generators():
+    words = ["a", "é", "word", "x" * 99]
+    one = [np.random.Generator(np.random.SFC64(xxhash.xxh64_intdigest(w.encode(), 3))).standard_normal(48, dtype=np.float32) for w in words]
+    assert (features.token_vectors(words, 48, 3) == np.stack(one)).all() and features.token_vectors([], 48, 3).shape == (0, 48)
+    keys = [0, 1, 2**32 - 1, 2**32, 2**64 - 1]
+    assert features.seeded_states(np.array(keys, dtype=np.uint64)).tolist() == [np.random.SFC64(k).state["state"]["state"].tolist() for k in keys]
+
+
+def test_text_vectors_are_made_once(spark):
+    assert "MapInArrow" not in workloads.vector_set(spark, SMALL, 16)._jdf.queryExecution().executedPlan().toString()

@@ -66,3 +66,19 @@ def test_projection():
     assert p0 == curves.FLOOR and p1 == 0.75
     assert curves.project("logi", np.array(1.0), np.array(9.0), np.array(-0.5), np.array(1.5), "raw")[1] == 1.5
     assert curves.project("kuma", np.array(-1.0), np.array(-2.0), np.array(0.0), np.array(1.0)) == (curves.FLOOR, curves.FLOOR)
+
+
+@pytest.mark.parametrize("bits", [4, 8])
+@pytest.mark.parametrize("curve", curves.NAMES)
+def test_losses_by_levels_are_the_losses(curve, bits):
+    rng = np.random.default_rng(7)
+    x = rng.standard_normal((12, 300))
+    x[0], x[1], x[2, 0], x[3], x[4] = 3.0, np.repeat([0.0, 1.0], 150), 1e4, np.round(x[3], 1), 1e6 + 1e-3 * x[4]
+    lo, hi = x.min(axis=1, keepdims=True), x.max(axis=1, keepdims=True)
+    p0 = np.abs(rng.normal(curves.START[curve][0], 3 * curves.SPREAD[curve][0], (12, 9)))
+    p1 = rng.normal(curves.START[curve][1], curves.SPREAD[curve][1], (12, 9))
+    p0, p1 = curves.project(curve, p0, p1, lo, hi)
+    some = np.array([11, 1, 2, 3, 4, 5])
+    found = curves.Ordered(x, lo, hi).loss(curve, some, p0[some], p1[some], bits)
+    plain = curves.loss(curve, x[some][:, None], lo[some][:, None], hi[some][:, None], p0[some][..., None], p1[some][..., None], bits)
+    assert np.allclose(found, plain, rtol=1e-6, atol=0)
