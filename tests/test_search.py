@@ -77,3 +77,33 @@ def test_models():
     assert cost.aligned_bytes(1024, 8, 2) == (1088, 0) and cost.aligned_bytes(1000, 8, 1) == (1024, 16)
     total = {(c, side): [n for _, s, _, n in cost.op_counts(c, 1) if s == side] for c in cost.OPERATIONS for side in ("encode", "decode")}
     assert total["pwl", "encode"] == [0, 0, 2, 0, 1] and total["kuma", "decode"] == [2, 2, 18, 8, 0]
+
+
+def test_copies_count_as_the_rows_they_equal(spark):
+    base = spark.createDataFrame([(0, [1.0, 0.0]), (1, [0.5, 0.5]), (2, [0.5, 0.5]), (3, [0.4, 0.0])], "vec_id long, embedding array<double>")
+    queries = spark.createDataFrame([(9, [1.0, 0.5])], "query_id long, qvec array<double>")
+    truth = search.exact_topk(base, queries, 2)
+    # Codes put the copy with the larger id before the other: nothing is lost by that.
+    coded = base.where("vec_id <> 2").unionByName(spark.createDataFrame([(2, [0.5, 0.501])], base.schema))
+    candidates = search.exact_topk(base, queries, 4)
+    found = {(r.store, r.r): r.recall for r in search.rerank_sweep(candidates, {"fp32": (base, None), "coded": (coded, None)}, queries, truth, 2, [1, 2]).collect()}
+    assert found == {("fp32", 1.0): 1.0, ("fp32", 2.0): 1.0, ("coded", 1.0): 1.0, ("coded", 2.0): 1.0}
+
+
+def test_measured_pairs_change_no_graph():
+    x = np.random.default_rng(3).standard_normal((150, 12))
+    held, graph._PAIRED = graph._PAIRED, 0
+    try:
+        plain = graph.build_rows(x, 16, 40)
+    finally:
+        graph._PAIRED = held
+    made = graph.build_rows(x, 16, 40)
+    assert (made[0] == plain[0]).all() and made[1] == plain[1]
+
+
+def test_codebooks_are_trained_without_exploding_values(spark):
+    df = spark.read.parquet(f"{MIDDLE}/embeddings.parquet").select("vec_id", "embedding")
+    rows = sorted(df.collect(), key=lambda r: r.vec_id)
+    x = np.array([r.embedding for r in rows], dtype=float)
+    book = pq.train(df.repartition(3), 4, 16, 3)
+    assert all(np.array_equal(book[g], pq.lloyd(x[:, 4 * g : 4 * g + 4], 16, 3, g)) for g in range(16))
