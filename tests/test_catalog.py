@@ -38,3 +38,12 @@ def test_entry(spark):
 
     assert __spark_entry__.entry(spark).count() == 1000
     assert set(__spark_entry__.oracle_sql()) <= set(__spark_entry__.queries())
+
+
+MOVED = ["aligned_bytes", "base_change", "block_layout", "fp32_gib", "index_bytes_model", "inverted_layout", "kuma_grid", "kuma_kernel_explog", "kuma_kernel_poly", "kuma_kernel_pow", "kuma_pdf_grid", "kuma_quantile_grid"]
+
+
+@pytest.mark.parametrize("name", MOVED)
+def test_query_reads_the_given_vectors(spark, name):
+    plan = catalog.QUERIES[name](spark, SMALL)._jdf.queryExecution().executedPlan().toString()
+    assert "FileScan parquet" in plan and "embedding:array<float>" in plan
