@@ -179,3 +179,23 @@ def test_token_vectors_are_those_of_seeded_generators():
 
 def test_text_vectors_are_made_once(spark):
     assert "MapInArrow" not in workloads.vector_set(spark, SMALL, 16)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_a_merged_batch_is_made_once(spark, tmp_path):
+    seen = spark.sparkContext.accumulator(0)
+
+    def count(batches):
+        for batch in batches:
+            seen.add(batch.num_rows)
+            yield batch
+
+    merge = encode.merge_batch(spark, str(tmp_path / "t"), shards=2)
+    merge(spark.range(10).withColumnRenamed("id", "vec_id").mapInArrow(count, "vec_id long"), 0)
+    assert seen.value == 10 and spark.read.parquet(str(tmp_path / "t")).count() == 10
+
+
+def test_inventory_makes_no_text_vectors(spark, monkeypatch):
+    monkeypatch.setattr(workloads, "text_set", None)
+    rows = {r.set: r.n for r in workloads.inventory(spark, SMALL).collect()}
+    blank = spark.createDataFrame([(1, "  "), (2, None), (3, ""), (4, " x")], "doc_id long, text string")
+    assert rows["text_768"] == rows["text_1536"] > 0 and [r.vec_id for r in features.worded(blank).collect()] == [4]
