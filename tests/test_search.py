@@ -1,10 +1,11 @@
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
-from tests.conftest import MIDDLE
+from tests.conftest import MIDDLE, SMALL
 from vecquant.operators import codec, graph, ivf, measures, pq, prep, search
 from vecquant.operators.fit import Search
-from vecquant.plans import cost
+from vecquant.plans import cost, workloads
 
 
 @pytest.fixture(scope="module")
@@ -107,3 +108,33 @@ def test_codebooks_are_trained_without_exploding_values(spark):
     x = np.array([r.embedding for r in rows], dtype=float)
     book = pq.train(df.repartition(3), 4, 16, 3)
     assert all(np.array_equal(book[g], pq.lloyd(x[:, 4 * g : 4 * g + 4], 16, 3, g)) for g in range(16))
+
+
+def test_round_trips_are_what_each_operator_finds(spark):
+    base, queries = search.holdout(spark.read.parquet(f"{SMALL}/embeddings.parquet").where("vec_id < 60").select("vec_id", "embedding"))
+    mean, found = prep.fit_mean(base), {}
+    searches = [Search(bits=4, m=m, fixed_iter=4) for m in (1, 4)]
+    trips = measures.round_trips(base.repartition(3, "vec_id"), queries, searches, mean, 5).cache()
+    assert "Exchange" not in measures.round_trips(base.coalesce(1), queries, searches, mean, 5)._jdf.queryExecution().executedPlan().toString()
+    key = lambda r: (r.query_id, r.rank, r.vec_id)
+    ranked = search.rank_rows(trips.where("vec_id IS NOT NULL").select("m", "query_id", "vec_id", "score"), 5, "m")
+    for m in (0, 1, 4):
+        found[m] = sorted(key(r) for r in ranked.where(F.col("m") == m).collect())
+    assert found[0] == sorted(key(r) for r in search.exact_topk(base, queries, 5).collect())
+    for s in searches:
+        coded = codec.encode(base, s, mean)
+        assert found[s.m] == sorted(key(r) for r in search.coded_topk(coded, queries, s, 64, 5, mean=mean).collect())
+        pairs = measures.pairs_of(base, codec.decode(coded, s, 64, mean))
+        own = trips.where(F.col("m") == s.m).groupBy("query_id").agg(F.sum("error").alias("error")).where("error IS NOT NULL")
+        apart = {r.query_id: r.error for r in measures.dot_error(pairs, queries).collect()}
+        assert {r.query_id: pytest.approx(r.error) for r in own.collect()} == apart
+        n, gain, recon = trips.where(F.col("m") == s.m).agg(F.sum("n"), F.sum("gain") / F.sum("n"), F.sum("recon") / F.sum("n")).first()
+        assert n == base.count() and gain == pytest.approx(coded.agg(F.avg("gain")).first()[0])
+        assert recon == pytest.approx(measures.mean_recon(pairs).first()[0])
+
+
+def test_sub_vectors_join_no_vectors(spark, monkeypatch):
+    monkeypatch.setattr(measures, "pairs_of", lambda *a: pytest.fail("vectors joined"))
+    rows = {r.m: r for r in workloads.subvectors(spark, SMALL, 4, ms=(1, 8)).collect()}
+    assert set(rows) == {1, 8} and all(0.5 < r.map <= 1 and r.gain > 1 for r in rows.values())
+    assert rows[8].mean_recon < rows[1].mean_recon and rows[8].dot_error < rows[1].dot_error
