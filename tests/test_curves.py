@@ -82,3 +82,20 @@ def test_losses_by_levels_are_the_losses(curve, bits):
     found = curves.Ordered(x, lo, hi).loss(curve, some, p0[some], p1[some], bits)
     plain = curves.loss(curve, x[some][:, None], lo[some][:, None], hi[some][:, None], p0[some][..., None], p1[some][..., None], bits)
     assert np.allclose(found, plain, rtol=1e-6, atol=0)
+
+
+@pytest.mark.parametrize("bits", [4, 8])
+def test_held_losses_are_the_losses(bits):
+    rng = np.random.default_rng(8)
+    x = rng.standard_normal((40, 192))
+    x[0], x[1], x[2, 0], x[3], x[4] = np.repeat([0.0, 1.0], 96), x[1] + 50, 1e4, np.round(x[3], 1), -1 - np.abs(x[4])
+    lo, hi = x.min(axis=1, keepdims=True), x.max(axis=1, keepdims=True)
+    p0, p1 = curves.project("logi", np.abs(rng.normal(4, 6, (40, 12))), rng.normal(0, 0.5, (40, 12)), lo, hi)
+    p0[5] = curves.FLOOR, *np.geomspace(1e-3, 900, 11)
+    rows = np.array([39, *range(30)])
+    plain = curves.loss("logi", x[rows][:, None], lo[rows][:, None], hi[rows][:, None], p0[rows][..., None], p1[rows][..., None], bits)
+    held = curves.Held(x, lo, hi)
+    for _ in range(2):  # the kept memory holds nothing over
+        assert np.allclose(held.loss("logi", rows, p0[rows], p1[rows], bits), plain, rtol=1e-6, atol=1e-20)  # two values are met but for rounding
+    alone = curves.Held(x[7:8], lo[7:8], hi[7:8]).loss("logi", np.array([0]), p0[7:8], p1[7:8], bits)
+    assert np.array_equal(alone[0], held.loss("logi", np.arange(40), p0, p1, bits)[7])

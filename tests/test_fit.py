@@ -126,3 +126,17 @@ def test_length_and_mean_take_all_rows(spark):
     odd = spark.range(1500).selectExpr("array(9.0F) embedding").coalesce(1)
     rows = odd.unionByName(spark.range(2000).selectExpr("array(1.0F, 3.0F) embedding"))
     assert prep.vector_length(rows) == 2 and prep.fit_mean(rows) == [1.0, 3.0]
+
+
+def test_wide_logistic_rows_are_measured_in_held_memory(monkeypatch):
+    x = np.random.default_rng(3).standard_normal((6, 192))
+    was = fit.evolve_rows(x, np.arange(6), Search())
+    calls, plain = [], curves.loss
+    monkeypatch.setattr(curves, "loss", lambda *a: calls.append(a[0]) or plain(*a))
+    made = fit.evolve_rows(x, np.arange(6), Search())
+    assert calls == ["unif", "logi"]  # what the search starts from and what it returns, no iteration
+    monkeypatch.setattr(fit, "_BY_VALUES", 1_000)
+    by_loss = fit.evolve_rows(x, np.arange(6), Search())
+    assert len(calls) > 10
+    for other in (was, by_loss):
+        assert np.allclose(made["gain"], other["gain"], rtol=1e-6) and np.array_equal(made["iters"], other["iters"])
