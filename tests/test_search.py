@@ -138,3 +138,18 @@ def test_sub_vectors_join_no_vectors(spark, monkeypatch):
     rows = {r.m: r for r in workloads.subvectors(spark, SMALL, 4, ms=(1, 8)).collect()}
     assert set(rows) == {1, 8} and all(0.5 < r.map <= 1 and r.gain > 1 for r in rows.values())
     assert rows[8].mean_recon < rows[1].mean_recon and rows[8].dot_error < rows[1].dot_error
+
+
+def test_the_recall_query_searches_one_graph_of_many_rows(spark, monkeypatch):
+    from vecquant.plans import catalog
+
+    made, kept = [], workloads.kept
+    monkeypatch.setattr(workloads, "kept", lambda df, *name: made.append(kept(df, *name)) or made[-1])
+    # The given vectors and as many read backwards: more base rows than a shard of 500 would hold.
+    rows = spark.read.parquet(f"{MIDDLE}/embeddings.parquet").select("vec_id", "embedding")
+    more = rows.select((F.col("vec_id") + 1_000_000).alias("vec_id"), F.reverse("embedding").alias("embedding"))
+    monkeypatch.setattr(catalog, "_queries_of", lambda s, sf: search.holdout(rows.unionByName(more)))
+    found = {r.window: r.recall for r in catalog.QUERIES["graph_recall"](spark, MIDDLE).collect()}
+    (index,) = [df for df in made if "neighbors" in df.columns]
+    assert index.count() == 900 and index.select("shard").distinct().count() == 1
+    assert sorted(found) == [10, 20, 50, 100, 200] and found[10] <= found[200] and found[200] > 0.9
