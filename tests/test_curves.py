@@ -99,3 +99,28 @@ def test_held_losses_are_the_losses(bits):
         assert np.allclose(held.loss("logi", rows, p0[rows], p1[rows], bits), plain, rtol=1e-6, atol=1e-20)  # two values are met but for rounding
     alone = curves.Held(x[7:8], lo[7:8], hi[7:8]).loss("logi", np.array([0]), p0[7:8], p1[7:8], bits)
     assert np.array_equal(alone[0], held.loss("logi", np.arange(40), p0, p1, bits)[7])
+
+
+def test_piecewise_linear_levels_where_odds_have_no_end():
+    rng = np.random.default_rng(5)
+    x = rng.standard_normal((3, 700))
+    lo, hi = x.min(axis=1, keepdims=True), x.max(axis=1, keepdims=True)
+    p0 = np.array([[0.5, 4.0, 60.0, 900.0, 5000.0]] * 3)
+    p1 = np.zeros((3, 5))
+    found = curves.Ordered(x, lo, hi).loss("pwl", np.arange(3), p0, p1, 8)
+    plain = curves.loss("pwl", x[:, None, :], lo[:, None, :], hi[:, None, :], p0[..., None], p1[..., None], 8)
+    assert (np.isfinite(found) == np.isfinite(plain)).all()
+    good = np.isfinite(plain)
+    assert np.allclose(found[good], plain[good], rtol=1e-8)
+
+
+def test_logistic_rows_of_768_values_are_measured_by_levels(monkeypatch):
+    from vecquant.operators import fit
+
+    x = np.random.default_rng(6).standard_normal((4, 768))
+    monkeypatch.setattr(curves.Held, "_loss", None)
+    by_levels = fit.evolve_rows(x, np.arange(4), fit.Search(bits=8))
+    monkeypatch.undo()
+    monkeypatch.setitem(fit._BY_LEVELS, ("logi", 8), 1024)
+    by_values = fit.evolve_rows(x, np.arange(4), fit.Search(bits=8))
+    assert np.allclose(by_levels["gain"], by_values["gain"], rtol=1e-6) and (by_levels["iters"] == by_values["iters"]).all()

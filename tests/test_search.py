@@ -153,3 +153,14 @@ def test_the_recall_query_searches_one_graph_of_many_rows(spark, monkeypatch):
     (index,) = [df for df in made if "neighbors" in df.columns]
     assert index.count() == 900 and index.select("shard").distinct().count() == 1
     assert sorted(found) == [10, 20, 50, 100, 200] and found[10] <= found[200] and found[200] > 0.9
+
+
+def test_a_graph_over_product_codes_is_that_of_their_vectors(sides):
+    base, queries = sides
+    book = pq.train(base, 4, 64, 2)
+    codes = pq.encode(base, book)
+    made, plain = graph.build(codes, shards=3, degree=16, window=40, book=book), graph.build(pq.decode(codes, book), shards=3, degree=16, window=40)
+    assert "pq" in made.columns and "embedding" not in made.columns
+    of = lambda df: {r.vec_id: (r.shard, list(r.neighbors), r.entry) for r in df.select("shard", "vec_id", "neighbors", "entry").collect()}
+    assert of(made) == of(plain)
+    assert ranked(graph.search(made, queries, 10, 60, book)) == ranked(graph.search(plain, queries, 10, 60))
