@@ -164,3 +164,18 @@ def test_a_graph_over_product_codes_is_that_of_their_vectors(sides):
     of = lambda df: {r.vec_id: (r.shard, list(r.neighbors), r.entry) for r in df.select("shard", "vec_id", "neighbors", "entry").collect()}
     assert of(made) == of(plain)
     assert ranked(graph.search(made, queries, 10, 60, book)) == ranked(graph.search(plain, queries, 10, 60))
+
+
+def test_a_sweep_moves_a_fetched_vector_once(sides):
+    base, queries = sides
+    truth = search.exact_topk(base, queries, 10)
+    candidates = search.exact_topk(base, queries, 50).withColumn("rank", F.lit(51) - F.col("rank"))
+    scored = search.rerank_scores(candidates, base, queries, 10, 5)
+    plan = scored._jdf.queryExecution().optimizedPlan().toString()
+    assert "qvec" not in plan and scored.count() == 2500
+    exact = {(r.query_id, r.vec_id): r.score for r in search.exact_topk(base, queries, 50).collect()}
+    assert all(abs(r.score - exact[r.query_id, r.vec_id]) < 1e-9 for r in scored.collect())
+    ranks = {(r.query_id, r.vec_id): r["rank"] for r in candidates.collect()}
+    assert all(ranks[r.query_id, r.vec_id] == r.first_rank for r in scored.collect())
+    found = {r.r: r.recall for r in search.rerank_sweep(candidates, {"fp32": (base, None)}, queries, truth, 10, [1, 4, 5]).collect()}
+    assert found == {5.0: 1.0}
